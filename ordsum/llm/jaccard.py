@@ -24,6 +24,7 @@ inside one pair of sets, about one in 10^10.
 
 from __future__ import annotations
 
+import pickle
 import re
 from collections.abc import Iterable, Iterator
 
@@ -65,20 +66,10 @@ def set_key(s: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63)
 
 
-def unit_rows(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, key) of every row; key is null for empty sets."""
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids = WordIds(_word)
-        for batch in batches:
-            sets = [shingles(t, width, ids) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_key(s) if len(s) else None for s in sets], pa.int64())], names=["doc_id", "n", "key"])
-
-    return docs.mapInArrow(run, "doc_id long, n long, key long")
-
-
 def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
-    """(key, token, df) of the tokens that at least two units have; df counts units. 2^bits buckets."""
+    """(key, token, df): the tokens that at least two units have, df counting units; 2^bits buckets.
+
+    Rows with df <= 0 are documents: token is the id, -df the size of the set, key null if that is 0."""
     low = np.uint64((1 << bits) - 1)
 
     def spread(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,13 +77,17 @@ def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
         done: set[int] = set()
         for batch in batches:
             for part in (batch.slice(i, 1024) for i in range(0, batch.num_rows, 1024)):
-                sets, keys = [], []
-                for t in part.column(1).to_pylist():
+                sets, keys, every = [], [], []
+                for i, t in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     s = shingles(t, width, ids)
-                    if len(s) and (k := set_key(s)) not in done:
+                    k = set_key(s) if len(s) else None
+                    every.append((k, i, -len(s)))
+                    if len(s) and k not in done:
                         if len(done) < 200_000:
                             done.add(k)
                         sets.append(s), keys.append(k)
+                at = -1 - int(xxhash.xxh32_intdigest(repr(every[0]).encode())) % int(low + 1)
+                yield pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([pickle.dumps(every)], pa.binary()), pa.array([b""], pa.binary())], names=["bucket", "k", "v"])
                 if not sets:
                     continue
                 h = np.concatenate(sets)
@@ -122,7 +117,10 @@ def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
                     yield from _bucket(at, held, bits)
                     held = []
                 at = b
-                held.append((k, v))
+                if b < 0:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*pickle.loads(k)), (pa.int64(), pa.int64(), pa.int32()))], names=["key", "token", "df"])
+                else:
+                    held.append((k, v))
         if held:
             yield from _bucket(at, held, bits)
 
@@ -166,23 +164,32 @@ def need(n, percent: int):
 def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(units with doc_id, n, key) and (key, component key) of all units that have a link."""
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("t"))
-    units = durable(unit_rows(src, width), "units")
     if bits is None:  # about a million shingles a bucket, so that one fits any task
-        total = units.agg(F.sum("n").alias("s")).first().s or 0
+        total = (src.agg(F.sum(F.length("t")).alias("s")).first().s or 0) // 6
         bits = min(16, max(5, int(total // 1_000_000).bit_length()))
-    shared = durable(shared_tokens(src, width, bits), "shared")
+    met = durable(shared_tokens(src, width, bits), "shared")
+    shared, units = met.filter("df > 1"), met.filter("df <= 0").select(F.col("token").alias("doc_id"), (-F.col("df")).cast("long").alias("n"), "key")
     sizes = units.filter("key is not null").groupBy("key").agg(F.min("n").alias("n"))
     alive = shared.groupBy("key").agg(F.count("*").alias("k")).join(sizes, "key").withColumn("need", need(F.col("n"), percent).cast("int")).filter("k >= need")
-    alive = durable(alive.select("key", "n", (F.col("k") - F.col("need") + 1).cast("int").alias("slots")), "alive")
-    # tokens of a survivor, few thousand at most: as long as its text
-    sets = durable(shared.join(alive, "key").groupBy("key", "n", "slots").agg(F.collect_list(F.struct("df", "token")).alias("x")), "sets")
+    alive = durable(alive.select("key", "n", "k", (F.col("k") - F.col("need") + 1).cast("int").alias("slots")), "alive")
+    # tokens of a survivor: as many as its text has words at most
+    sets = durable(shared.join(alive, "key").groupBy("key", "n", "k", "slots").agg(F.collect_list(F.struct("df", "token")).alias("x")), "sets")
     firsts = []
     for r in range(ORDERS):
         # order 0 by exact frequency, the others by its power of two; ties by a hash of their own
         step = "d.df" if r == 0 else "cast(floor(log2(d.df)) as int)"
         ranked = f"array_sort(transform(x, d -> struct({step} as a, xxhash64({r}, d.token) as b, d.token as token)))"
         firsts.append(F.expr(f"transform(slice({ranked}, 1, slots), d -> d.token)").alias(f"p{r}"))
-    prefixes = durable(sets.select("key", "n", *firsts), "prefixes")
+    central = F.expr("aggregate(x, 0D, (s, d) -> s + d.df) / n").alias("central")
+    prefixes = durable(sets.select("key", "n", "k", central, *firsts), "prefixes")
+
+    def rows_of(df: DataFrame, r: int, *more: str) -> DataFrame:
+        """A row for each prefix token; rest: shared tokens from it on, the most that two sets first met here share."""
+        return df.select("key", "n", "k", *more, F.posexplode(f"p{r}").alias("at", "token")).withColumn("rest", F.col("k") - F.col("at")).drop("at", "k")
+
+    def possible(n1: str, r1: str, n2: str, r2: str):
+        """Lengths and positions allow a link: both sets have the least overlap left after a first common token."""
+        return F.expr(f"{100 + percent}L * least({r1}, {r2}) >= {percent}L * ({n1} + {n2}) and 100L * least({n1}, {n2}) >= {percent}L * greatest({n1}, {n2})")
 
     def verified(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b) that are linked."""
@@ -192,15 +199,15 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
         common = F.size(F.array_intersect("sa", "sb"))
         return both.withColumn("c", common).filter(F.expr(f"100L * c >= {percent}L * (na + nb - c)")).select("a", "b")
 
-    # one pivot per unit and order: of its buckets' smallest units the one it meets most often
-    close = F.expr(f"100L * least(n, pn) >= {percent}L * greatest(n, pn)")
+    # one pivot per unit and order: of its buckets' heads the one it meets most often. Heads are the
+    # units of commonest tokens (near the middle of a group of copies), of fewest lone ones, or any
     pivots = None
-    for r in range(ORDERS):
-        rows = prefixes.select("key", "n", F.explode(f"p{r}").alias("token"))
-        heads = rows.groupBy("token").agg(F.min(F.struct(F.xxhash64(F.lit(r), "key"), "key", "n")).alias("h"), F.count("*").alias("m")).filter("m > 1")
-        heads = durable(heads.select("token", F.col("h.key").alias("pivot"), F.col("h.n").alias("pn")), f"heads{r}")
-        met = rows.join(heads, "token").filter(F.col("pivot") != F.col("key")).filter(close).groupBy("key", "pivot").count()
-        best = met.groupBy("key").agg(F.max(F.struct("count", "pivot"))["pivot"].alias("b")).select(F.col("key").alias("a"), "b")
+    for r, best_of in enumerate(("central", "k / n", f"xxhash64({ORDERS}, key)")):
+        rows = rows_of(prefixes.withColumn("score", F.expr(f"cast({best_of} as double)")), r, "score")
+        heads = rows.groupBy("token").agg(F.max(F.struct("score", "key", "n", "rest")).alias("h"), F.count("*").alias("m")).filter("m > 1")
+        heads = durable(heads.select("token", F.col("h.key").alias("pivot"), F.col("h.n").alias("pn"), F.col("h.rest").alias("pr")), f"heads{r}")
+        seen = rows.join(heads, "token").filter(F.col("pivot") != F.col("key")).filter(possible("n", "rest", "pn", "pr")).groupBy("key", "pivot").count()
+        best = seen.groupBy("key").agg(F.max(F.struct("count", "pivot"))["pivot"].alias("b")).select(F.col("key").alias("a"), "b")
         pivots = best if pivots is None else pivots.unionByName(best)
     pivots = pivots.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     sure = durable(verified(durable(pivots, "pivots")), "sure")
@@ -209,14 +216,13 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
     # every pair across components: in each bucket the units outside its largest component meet all others
     placed = prefixes.join(first.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     placed = durable(placed, "placed")
-    rows = placed.select("component", "key", "n", F.explode("p0").alias("token"))
+    rows = rows_of(placed, 0, "component")
     per = rows.groupBy("token", "component").count()
     mixed = per.groupBy("token").agg(F.max(F.struct("count", "component"))["component"].alias("main"), F.count("*").alias("parts")).filter("parts > 1").select("token", "main")
     mixed = durable(mixed, "mixed")
     rows = durable(rows.join(mixed, "token"), "mixed_rows")
-    others = rows.filter("component <> main").select("token", F.col("key").alias("o"), F.col("component").alias("oc"), F.col("n").alias("on_"))
-    near = F.expr(f"100L * least(n, on_) >= {percent}L * greatest(n, on_)")
-    pairs = rows.join(others, "token").filter("component <> oc").filter("component = main or key < o").filter(near)
+    others = rows.filter("component <> main").select("token", F.col("key").alias("o"), F.col("component").alias("oc"), F.col("n").alias("on_"), F.col("rest").alias("orest"))
+    pairs = rows.join(others, "token").filter("component <> oc").filter("component = main or key < o").filter(possible("n", "rest", "on_", "orest"))
     pairs = pairs.select(F.least("key", "o").alias("a"), F.greatest("key", "o").alias("b")).distinct()
     rest = placed.select("key", *[f"p{r}" for r in range(1, ORDERS)])
     pairs = pairs.join(rest.select(F.col("key").alias("a"), *[F.col(f"p{r}").alias(f"a{r}") for r in range(1, ORDERS)]), "a")
