@@ -100,9 +100,9 @@ def repeated_runs(docs: DataFrame) -> DataFrame:
 def without_repeats(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with the repeated sentences cut from `text`, and n_units, n_removed added (replaced if there)."""
     src = docs.drop("n_units", "n_removed")
-    cut = repeated_runs(src).groupBy("d", "x").agg(F.collect_set("at").alias("cut"))
+    cut = repeated_runs(src).groupBy("d", "x").agg(F.collect_set("at").alias("cut")).toDF("__cd", "__cx", "__cut")
     keyed = src.withColumns({"__d": F.col("doc_id").cast("long"), "__x": text_key(F.col("text"))})
-    joined = keyed.join(cut, keyed["__d"].eqNullSafe(cut["d"]) & (keyed["__x"] == cut["x"]), "left").select(*src.columns, "cut")
+    joined = keyed.join(cut, F.col("__d").eqNullSafe(F.col("__cd")) & (F.col("__x") == F.col("__cx")), "left").select(*src.columns, "__cut")
     names, at_text, at_cut = [*src.columns, "n_units", "n_removed"], src.columns.index(text_col), len(src.columns)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
