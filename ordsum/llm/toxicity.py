@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from ._shared import WordIds, fold, rank_key, sigmoid
 
 BITS = 20
+ROWS = 10_000  # labelled rows that a fit uses at most
 WORD = re.compile(r"[^\W_]+")
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
@@ -86,7 +87,7 @@ class SparseModel:
         return sigmoid(np.array([dense[grams(t, ids)].sum() for t in texts]) + self.bias)
 
 
-def fit(labelled: DataFrame, rows: int = 24_000, epochs: int = 5) -> SparseModel:
+def fit(labelled: DataFrame, rows: int = ROWS, epochs: int = 5) -> SparseModel:
     """labelled: doc_id, t, y (0 or 1)."""
 
     def encode(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -95,13 +96,18 @@ def fit(labelled: DataFrame, rows: int = 24_000, epochs: int = 5) -> SparseModel
             got = [grams(t, ids).astype(np.int32).tobytes() for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(got, pa.binary()), batch.column(1), batch.column(2)], names=["g", "y", "k"])
 
-    top = labelled.select("t", F.col("y").cast("int").alias("y"), rank_key(F.col("doc_id")).alias("k")).orderBy("k", "y").limit(rows)
-    data = [(np.frombuffer(r.g, np.int32).astype(np.int64), r.y) for r in sorted(top.mapInArrow(encode, "g binary, y int, k long").collect(), key=lambda r: (r.k, r.y))]
+    src = labelled.select("t", F.col("y").cast("int").alias("y"), rank_key(F.col("doc_id")).alias("k"))
+    # texts become features where they lie; only features are ordered, bounded and gathered
+    got = src.mapInArrow(encode, "g binary, y int, k long").orderBy("k", "y").limit(rows).collect()
+    data = [(np.frombuffer(r.g, np.int32), r.y) for r in got]
     if not data:
         return SparseModel(np.zeros(0, np.int64), np.zeros(0), -35.0)
     # a bucket of one document says nothing about others
-    seen = np.bincount(np.concatenate([g for g, _ in data]), minlength=1 << BITS)
+    seen = np.zeros(1 << BITS, np.int32)
+    for g, _ in data:
+        seen[g] += 1
     data = [(g[seen[g] > 1], y) for g, y in data]
+    del got
     model = FtrlBinary(1 << BITS)
     for _ in range(epochs):
         for g, y in data:
@@ -115,7 +121,7 @@ def op9_toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     src = docs.select("doc_id", F.col("text").cast("string").alias("t"))
     known = labels.select("doc_id", F.col("toxic").alias("y")).filter(F.col("y").isin(0, 1) & (fold(F.col("doc_id"), 4) != 2))
     # labels are bounded before texts are touched, so the join below is against few rows
-    known = known.orderBy(rank_key(F.col("doc_id")), "y").limit(24_000)
+    known = known.orderBy(rank_key(F.col("doc_id")), "y").limit(ROWS)
     model = fit(src.join(F.broadcast(known), "doc_id"))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
