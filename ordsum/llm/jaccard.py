@@ -17,15 +17,16 @@ Cases: null, empty and wordless texts have no shingle and no link, and are their
 component; fewer words than a shingle make one token of the whole sequence; repeated rows
 and repeated ids are equal sets; an empty table gives no rows.
 
-Tokens are 64-bit hashes of shingles (54 bits when the table needs 2^10 buckets: those are
-exchanged as bucket and 48 further bits), so a link could only differ through a collision
-inside one pair of sets, about one in 10^10.
+Tokens are hashes of shingles, exchanged as their bucket (8 bits at least, 16 at most) and 40
+further bits, so a link could only differ through a collision inside one pair of sets: for
+two sets of a thousand shingles about one in 10^8 of one false common shingle.
 """
 
 from __future__ import annotations
 
 import pickle
 import re
+import tempfile
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -41,7 +42,9 @@ ORDERS = 3
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 _M = np.uint64(0x9E3779B97F4A7C15)
-_KEEP = np.uint64((1 << 48) - 1)
+_KEEP = np.uint64((1 << 40) - 1)
+#: Bytes of packed shingles that a task holds; of a larger bucket the rest waits in an unlinked file.
+HELD = 32 << 20
 
 
 def _word(w: str) -> int:
@@ -101,40 +104,76 @@ def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
                 for a, b in zip(cut[:-1], cut[1:]):
                     w, x = who[a:b], h[a:b]
                     begin = np.flatnonzero(np.r_[True, np.diff(w) != 0])
-                    count = np.diff(np.r_[begin, len(w)]).astype(np.uint32)
+                    count = np.diff(np.r_[begin, len(w)])
+                    if count.max() > 255:  # a count is one byte: longer runs go as several
+                        begin = np.concatenate([np.arange(i, i + c, 255) for i, c in zip(begin, count)])
+                        count = np.diff(np.r_[begin, len(w)])
                     out_b.append(int(bucket[a]))
-                    out_k.append(names[w[begin]].tobytes() + count.tobytes())
-                    out_v.append((x & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes() + (x >> np.uint64(32)).astype(np.uint16).tobytes())
+                    out_k.append(names[w[begin]].tobytes() + count.astype(np.uint8).tobytes())
+                    out_v.append((x & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes() + (x >> np.uint64(32)).astype(np.uint8).tobytes())
                 yield pa.RecordBatch.from_arrays([pa.array(out_b, pa.int32()), pa.array(out_k, pa.binary()), pa.array(out_v, pa.binary())], names=["bucket", "k", "v"])
 
     def meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # rows come sorted by bucket; one bucket is held at a time
-        held: list[tuple[bytes, bytes]] = []
-        at = None
+        held, at = Held(), None
         for batch in batches:
             for b, k, v in zip(*(c.to_pylist() for c in batch.columns)):
-                if b != at and held:
+                if b != at and held.total:
                     yield from _bucket(at, held, bits)
-                    held = []
+                    held = Held()
                 at = b
                 if b < 0:
                     yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*pickle.loads(k)), (pa.int64(), pa.int64(), pa.int32()))], names=["key", "token", "df"])
                 else:
-                    held.append((k, v))
-        if held:
+                    held.add(k, v)
+        if held.total:
             yield from _bucket(at, held, bits)
 
     packed = docs.mapInArrow(spread, "bucket int, k binary, v binary")
     return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(meet, "key long, token long, df int")
 
 
-def _bucket(bucket: int, rows: list[tuple[bytes, bytes]], bits: int) -> Iterator[pa.RecordBatch]:
+class Held:
+    """The packed rows of one bucket; what exceeds HELD waits in a file without a name."""
+
+    def __init__(self):
+        self.rows: list[tuple[bytes, bytes]] = []
+        self.size = self.total = self.chunks = 0
+        self.file = None
+
+    def add(self, k: bytes, v: bytes) -> None:
+        self.rows.append((k, v))
+        self.size += len(k) + len(v)
+        self.total += len(k) + len(v)
+        if self.size > HELD:
+            self.file = self.file or tempfile.TemporaryFile()
+            pickle.dump(self.rows, self.file)
+            self.rows, self.size, self.chunks = [], 0, self.chunks + 1
+
+    def __iter__(self) -> Iterator[tuple[bytes, bytes]]:
+        if self.file:
+            self.file.seek(0)
+            for _ in range(self.chunks):
+                yield from pickle.load(self.file)
+        yield from self.rows
+
+
+def _bucket(bucket: int, rows: Held, bits: int) -> Iterator[pa.RecordBatch]:
+    """The shared tokens of one bucket, in as many passes by token as keep each within HELD."""
+    passes = 1 + rows.total // HELD
+    for turn in range(passes):
+        yield from _pass(bucket, rows, bits, np.uint64(turn), np.uint64(passes))
+
+
+def _pass(bucket: int, rows: Held, bits: int, turn: np.uint64, passes: np.uint64) -> Iterator[pa.RecordBatch]:
     keys, tokens = [], []
     for k, v in rows:
-        n = len(k) // 12
-        keys.append(np.repeat(np.frombuffer(k, np.int64, n), np.frombuffer(k, np.uint32, n, 8 * n)))
-        m = len(v) // 6
-        tokens.append(np.frombuffer(v, np.uint32, m).astype(np.uint64) | np.frombuffer(v, np.uint16, m, 4 * m).astype(np.uint64) << np.uint64(32))
+        n, m = len(k) // 9, len(v) // 5
+        of = np.repeat(np.frombuffer(k, np.int64, n), np.frombuffer(k, np.uint8, n, 8 * n))
+        token = np.frombuffer(v, np.uint32, m).astype(np.uint64) | np.frombuffer(v, np.uint8, m, 4 * m).astype(np.uint64) << np.uint64(32)
+        mine = slice(None) if passes == 1 else token % passes == turn
+        keys.append(of[mine])
+        tokens.append(token[mine])
     key, token = np.concatenate(keys), np.concatenate(tokens)
     order = np.argsort(token, kind="stable")
     key, token = key[order], token[order]
@@ -166,7 +205,7 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("t"))
     if bits is None:  # about a million shingles a bucket, so that one fits any task
         total = (src.agg(F.sum(F.length("t")).alias("s")).first().s or 0) // 6
-        bits = min(16, max(5, int(total // 1_000_000).bit_length()))
+        bits = min(16, max(8, int(total // 1_000_000).bit_length()))
     met = durable(shared_tokens(src, width, bits), "shared")
     shared, units = met.filter("df > 1"), met.filter("df <= 0").select(F.col("token").alias("doc_id"), (-F.col("df")).cast("long").alias("n"), "key")
     sizes = units.filter("key is not null").groupBy("key").agg(F.min("n").alias("n"))

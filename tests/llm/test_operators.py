@@ -280,3 +280,25 @@ def test_pipeline(spark):
         out = stage(spark, docs, SF)
         assert tuple(out.columns) == p.COLUMNS and 0 < out.count() <= docs.count()
     assert p.run(spark, SF).count() > 0
+
+
+def test_large_buckets_wait_in_a_file(monkeypatch):
+    rng = np.random.default_rng(5)
+    rows, met = [], {}
+    for key in range(60):
+        own = np.unique(rng.integers(0, 3000, 400).astype(np.uint64))
+        for t in own.tolist():
+            met.setdefault(t, set()).add(key)
+        cuts = [own[i : i + 255] for i in range(0, len(own), 255)]
+        counts = np.array([len(c) for c in cuts], np.uint8).tobytes()
+        packed = own.astype(np.uint32).tobytes() + (own >> np.uint64(32)).astype(np.uint8).tobytes()
+        rows.append((np.full(len(cuts), key, np.int64).tobytes() + counts, packed))
+    expected = sorted((k, t << 8 | 3, len(ks)) for t, ks in met.items() if len(ks) > 1 for k in ks)
+    for limit in (1 << 20, 5000):
+        monkeypatch.setattr(jaccard, "HELD", limit)
+        held = jaccard.Held()
+        for k, v in [*rows, rows[7]]:  # the same unit from two tasks counts once
+            held.add(k, v)
+        assert (held.chunks > 1) == (limit == 5000)
+        got = [r for b in jaccard._bucket(3, held, 8) for r in zip(*(c.to_pylist() for c in b.columns))]
+        assert sorted(got) == expected
