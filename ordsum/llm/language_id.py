@@ -134,8 +134,12 @@ def fit(labelled: DataFrame, per_lang: int = 1200, max_langs: int = 200, epochs:
     idf = np.log((1 + total) / (1 + df)) + 0.1
     counted = labelled.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(max_langs).collect()
     langs = sorted(r.lang for r in counted)
-    order = W.partitionBy("lang").orderBy(rank_key(F.col("doc_id")), "doc_id")
-    picked = labelled.filter(F.col("lang").isin(langs)).select("lang", "t", "doc_id").withColumn("r", F.row_number().over(order)).filter(F.col("r") <= per_lang)
+    key = rank_key(F.col("doc_id"))
+    # ranks are spread evenly: those under a language's bound are twice the wanted rows, however large it is
+    bound = [x for r in counted for x in (F.lit(r.lang), F.lit(min((1 << 63) - 1, int((2 * per_lang / r["count"] - 0.5) * 2**64))).cast("long"))]
+    likely = labelled.filter(key <= F.create_map(*bound)[F.col("lang")] if bound else F.lit(False))
+    order = W.partitionBy("lang").orderBy(key, "doc_id")
+    picked = likely.select("lang", "t", "doc_id").withColumn("r", F.row_number().over(order)).filter(F.col("r") <= per_lang)
 
     def encode(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
