@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._shared import scratch_path
+from ._shared import durable, scratch_path
 
 KEYS = ("source", "lang", "tokenizer")
 DELTA = "source string, lang string, tokenizer string, docs long, tokens long"
@@ -35,6 +35,12 @@ def utf8_quads(text: Column) -> Column:
     return F.ceil(F.coalesce(F.octet_length(text), F.lit(0)) / F.lit(4)).cast("long")
 
 
+def words_with_letters(text: Column) -> Column:
+    """White-space words that hold an ASCII letter or digit."""
+    parts = F.split(F.coalesce(text, F.lit("")), r"[\x20\x09-\x0D]+")
+    return F.size(F.filter(parts, lambda x: x.rlike("[A-Za-z0-9]"))).cast("long")
+
+
 TOKENIZERS = {"words-1": white_space_words, "bytes-1": utf8_quads}
 
 
@@ -106,16 +112,16 @@ def op3_rollup(docs: DataFrame, labels: DataFrame) -> DataFrame:
     a second tokenizer version that leaves out words without a letter or digit; one batch is replayed."""
     spark = docs.sparkSession
     roll = Rollup(spark, scratch_path(spark, "rollup"))
-    counts = counted(docs)
+    # one pass over the texts; what meets the labels afterwards are counts, not texts
+    counts = durable(counted(docs, TOKENIZERS | {"words-2": words_with_letters}), "counts")
     bad = labels.filter("quality = 0").select("doc_id").distinct()
-    dropped = docs.join(bad, "doc_id", "left_semi")
-    kept = docs.join(bad, "doc_id", "left_anti")
-    roll.commit("load", inserts(counts))
-    roll.commit("low-quality", deletes(counted(dropped)))
-    words = {"words-1": white_space_words}
-    only = {"words-2": lambda t: F.size(F.filter(F.split(F.coalesce(t, F.lit("")), r"[\x20\x09-\x0D]+"), lambda x: x.rlike("[A-Za-z0-9]"))).cast("long")}
-    roll.commit("words-2", revisions(counted(kept, words), counted(kept, only)))
-    roll.commit("low-quality", deletes(counted(dropped)))
+    first = counts.filter("tokenizer <> 'words-2'")
+    kept = counts.join(bad, "doc_id", "left_anti")
+    roll.commit("load", inserts(first))
+    gone = deletes(first.join(bad, "doc_id", "left_semi"))
+    roll.commit("low-quality", gone)
+    roll.commit("words-2", revisions(kept.filter("tokenizer = 'words-1'"), kept.filter("tokenizer = 'words-2'")))
+    roll.commit("low-quality", gone)
     return roll.totals()
 
 
