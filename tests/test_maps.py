@@ -1,6 +1,7 @@
 import random
 
 import pytest
+from pyspark.sql import Row
 from pyspark.sql import functions as F
 
 from ordsum.functions import monoids as M
@@ -122,3 +123,19 @@ def test_plans_have_no_nested_loops(spark):
         assert "CartesianProduct" not in text, n
         if n == "sum_range_many_canonical":  # maps of one block join their single bound row
             assert "BroadcastNestedLoopJoin" not in text, n
+
+
+@pytest.mark.parametrize("cuts", [[-7, 0, 3, 3_000_000_000], ["b", "it's", "z"], [1.5, 2.5], [Row(a=1, b=-2), Row(a=1, b=5), Row(a=4, b=0)], []])
+def test_block_of_counts_the_splitters_at_or_below(spark, cuts):
+    from bisect import bisect_right
+
+    from ordsum.operators.maps import block_of
+
+    every = [
+        ([-8, -7, -1, 3, 4, 3_000_000_000, 1 << 62], "bigint"), (["", "b", "c", "it's", "zz"], "string"), ([1.0, 1.5, 9.0], "double"),
+        ([Row(a=0, b=9), Row(a=1, b=5), Row(a=1, b=6), Row(a=9, b=9)], "struct<a:bigint,b:int>"),
+    ]
+    keys, kind = next(x for x in every if not cuts or type(x[0][0]) is type(cuts[0]))
+    rows = spark.createDataFrame([(k,) for k in [*keys, None]], f"k {kind}")
+    got = rows.select("k", block_of(F.col("k"), cuts).alias("b")).collect()
+    assert [r.b for r in got] == [bisect_right(cuts, k) for k in keys] + [0]
