@@ -152,6 +152,12 @@ def window_table(m: SummaryMap) -> DataFrame:
     spark = m.rows.sparkSession
     every = spark.range(len(m.splitters) + 1).select(F.col("id").cast("int").alias("block"))
     level = every.join(m.block_table().select("block", "a"), "block", "left").select(F.lit(0).alias("j"), "block", F.coalesce("a", m.monoid.neutral()).alias("a"))
+    if m.monoid.agg is not None:  # frames over the bounded block table: one pass, whatever the number of levels
+        total = len(m.splitters) + 1
+        ahead = lambda j: W.partitionBy(F.lit(0)).orderBy("block").rowsBetween(0, (1 << j) - 1)
+        sums = [F.struct(F.lit(j).alias("j"), m.monoid.agg(F.col("a")).over(ahead(j)).alias("a")) for j in range(total.bit_length())]
+        rows = level.select("block", F.array(*sums).alias("w")).select("block", F.explode("w").alias("w")).select("w.j", "block", "w.a")
+        return rows.filter(F.col("block") + F.expr("shiftleft(1, j)") <= total)
     out, j = level, 0
     while 2 << j <= len(m.splitters) + 1:
         right = level.select((F.col("block") - (1 << j)).alias("block"), F.col("a").alias("b"))
