@@ -1,9 +1,11 @@
 """Substring dedup over sliding sentence spans.
 
 Texts are cut into sentences; a sentence of more than `LONG` words is broken at words
-chosen by their hash, so that equal passages break alike wherever they stand. Every run
-of `RUN` consecutive sentences with at least `LEAST` words is hashed, the hashes meet in
-one join, and sentences under any run that isn't its first occurrence are removed.
+chosen by their hash, so that equal passages break alike wherever they stand. From each
+sentence on, and back from each, the shortest run of `RUN` sentences or more with at least
+`LEAST` words is hashed; so every sentence of a repeated passage of that size lies under a
+run within it, however short its sentences are. The hashes meet in one join, and sentences
+under any run that isn't its first occurrence are removed.
 
 First is the smallest (doc_id, text hash, position). Cases: null texts stay null, empty
 ones empty; rows equal in id and text are one document given twice and are treated
@@ -51,8 +53,8 @@ def units(text: str) -> list[str]:
     return out
 
 
-def runs(parts: list[str]) -> tuple[np.ndarray, np.ndarray, list[int]]:
-    """Hashes of the runs, the number among worded units at which each begins, and the worded units' places."""
+def runs(parts: list[str]) -> tuple[np.ndarray, np.ndarray, list[int], np.ndarray]:
+    """Hashes of the runs, the number among worded units at which each begins, the worded units' places, and the runs' units."""
     keys, sizes, places = [], [], []
     for k, s in enumerate(parts):
         words = s.lower().split()
@@ -60,16 +62,29 @@ def runs(parts: list[str]) -> tuple[np.ndarray, np.ndarray, list[int]]:
             keys.append(xxhash.xxh64_intdigest(" ".join(words).encode("utf-8", "surrogatepass")))
             sizes.append(len(words))
             places.append(k)
-    n = len(keys) - RUN + 1
-    if n <= 0:
-        return np.zeros(0, np.int64), np.zeros(0, np.int32), places
-    x, w = np.array(keys, np.uint64), np.array(sizes)
-    h, total = x[:n].copy(), w[:n].copy()
-    for j in range(1, RUN):
-        h = (h ^ (h >> np.uint64(30))) * _M + x[j : n + j]
-        total += w[j : n + j]
-    at = np.flatnonzero(total >= LEAST)
-    return h[at].view(np.int64), at.astype(np.int32), places
+    n = len(keys)
+    x, before = np.array(keys, np.uint64), np.zeros(n + 1, np.int64)
+    np.cumsum(sizes, out=before[1:])
+    # forwards from each unit, and backwards from each; most runs are found both ways
+    ends = np.maximum(np.arange(n) + RUN, np.searchsorted(before, before[:-1] + LEAST))
+    begins = np.minimum(np.arange(1, n + 1) - RUN, np.searchsorted(before, before[1:] - LEAST, "right") - 1)
+    at = np.concatenate([np.flatnonzero(ends <= n), begins[begins >= 0]])
+    size = np.concatenate([ends[ends <= n], np.flatnonzero(begins >= 0) + 1]) - at
+    at, size = unpack(np.unique(pack(at, size)))
+    h = x[at]
+    for j in range(1, int(size.max(initial=0))):
+        k = np.flatnonzero(size > j)
+        h[k] = (h[k] ^ (h[k] >> np.uint64(30))) * _M + x[at[k] + j]
+    return h.view(np.int64), at, places, size
+
+
+def pack(at, size):
+    """Begin and size in one number; a run has at most max(RUN, LEAST) units, as each has a word."""
+    return at * 16 + size
+
+
+def unpack(run):
+    return run // 16, run % 16
 
 
 def text_key(col) -> "F.Column":
@@ -77,20 +92,20 @@ def text_key(col) -> "F.Column":
 
 
 def repeated_runs(docs: DataFrame) -> DataFrame:
-    """(d, x, at): begin of each non-first run, by document id and text hash."""
+    """(d, x, at): begin and size of each non-first run, packed, by document id and text hash."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
                 h, n, at = [], [], []
                 for t in part.column(2).to_pylist():
-                    a, b, _ = runs(units(t))
-                    h.append(a), at.append(b), n.append(len(a))
+                    a, b, _, size = runs(units(t))
+                    h.append(a), at.append(pack(b, size)), n.append(len(a))
                 rows = np.repeat(np.arange(len(n)), n)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(h)), part.column(0).take(pa.array(rows)), part.column(1).take(pa.array(rows)), pa.array(np.concatenate(at))], names=["h", "d", "x", "at"])
 
     src = docs.filter(F.length("text") > 0).select(F.col("doc_id").cast("long").alias("d"), text_key(F.col("text")).alias("x"), "text")
-    spans = durable(src.mapInArrow(run, "h long, d long, x long, at int"), "spans")
+    spans = durable(src.mapInArrow(run, "h long, d long, x long, at long"), "spans")
     place = F.struct("d", "x", "at")
     firsts = spans.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first < last").select("h", "first")
     firsts = durable(firsts, "firsts")
@@ -114,7 +129,7 @@ def without_repeats(docs: DataFrame, text_col: str = "text") -> DataFrame:
                     continue
                 parts = units(t)
                 places = [k for k, s in enumerate(parts) if s.strip()]
-                gone = {places[b + j] for b in begins or () for j in range(RUN)}
+                gone = {places[b + j] for b, size in map(unpack, begins or ()) for j in range(size)}
                 # the white space up to the next sentence goes with a sentence
                 cut_too = {k for a, b in zip(places, [*places[1:], len(parts)]) if a in gone for k in range(a, b)}
                 texts.append("".join(s for k, s in enumerate(parts) if k not in cut_too) if gone else t)
