@@ -3,9 +3,16 @@
 Pages of one host are read as streams of block tags and text slots. A wrapper is a regular
 expression without alternatives: tags, text slots, `( )?` groups and `( )+` groups. It
 starts from one page and is aligned with the next, again and again; what one side has and
-the other lacks becomes an optional group, neighbouring repeats become a repeated group,
-and differing texts become slots. Equal page shapes are folded first, with the text they
-hold summed up, so a host is a handful of shapes however many pages it has.
+the other lacks becomes an optional group, neighbouring repeats become a repeated group.
+Equal page shapes are folded first, with the text they hold summed up, so a host is a
+handful of shapes however many pages it has.
+
+A text of `WORDS` words or more that stands under one path on half of the host's pages
+with that path, and on `PAGES` different pages at least, is template: it goes into the shapes as a
+literal, `path#hash`. All other texts are slots. Shorter texts are always slots, as
+pages may share a word or a subheading of their own. A page gives no literals, unless they are
+most of its text: then it is a near copy of other pages and stays whole. Pages without
+a host share no template.
 
 From the wrapper comes the host's main region: of the slots outside menus, headers,
 footers, sidebars, notices, adverts, forms and comments, the container (an article or
@@ -27,9 +34,11 @@ from collections.abc import Iterable, Iterator
 
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+WORDS, PAGES = 5, 3
 # tags that end a block of text
 BLOCKS = frozenset(
     "address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head "
@@ -143,7 +152,7 @@ def blocks(page: str) -> list[tuple[str, str, int, bool]]:
     return out
 
 
-# ---- wrappers: a node is a string (path of a slot) or ["?", nodes] or ["+", nodes]
+# ---- wrappers: a node is a string (path of a slot, or path#hash of a literal) or ["?", nodes] or ["+", nodes]
 
 
 def fold(nodes: list) -> list:
@@ -207,8 +216,18 @@ def align(a: list, b: list) -> list:
     return fold(out)
 
 
-def shape(found: list[tuple[str, str, int, bool]]) -> list:
-    return fold([p for p, *_ in found])
+def digest(path: str, text: str) -> int:
+    """A signed 64-bit hash of a text under a path."""
+    h = xxhash.xxh64_intdigest(f"{path}\0{text}".encode("utf-8", "surrogatepass"))
+    return h - (1 << 64) if h >> 63 else h
+
+
+def literal(path: str, text: str) -> str:
+    return f"{path}#{digest(path, text)}"
+
+
+def shape(found: list[tuple[str, str, int, bool]], template: frozenset = frozenset()) -> list:
+    return fold([p if not template or digest(p, t) not in template else literal(p, t) for p, t, *_ in found])
 
 
 def expression(nodes: list) -> str:
@@ -253,9 +272,15 @@ def within(path: str, top: str) -> bool:
     return not top or path == top or path.startswith(top + "/")
 
 
-def main_text(page: str | None, top: str | None) -> str:
+def own_text(good: list[tuple[str, str, int]], literals: set[str]) -> list[tuple[str, str, int]]:
+    """The blocks that fill slots; all of them where literals are most of the page."""
+    own = [(p, t, n) for p, t, n in good if literal(p, t) not in literals] if literals else good
+    return own if 2 * sum(len(t) for _, t, _ in own) >= sum(len(t) for _, t, _ in good) else good
+
+
+def main_text(page: str | None, top: str | None, literals: set[str] = frozenset()) -> str:
     found = blocks(page or "")
-    good = [(p, t, n) for p, t, n, bad in found if not bad]
+    good = own_text([(p, t, n) for p, t, n, bad in found if not bad], literals)
     if top is None or not any(within(p, top) for p, *_ in good):
         mass: dict[str, float] = {}
         for p, t, n in good:
@@ -268,18 +293,43 @@ def host(url):
     return F.lower(F.coalesce(F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1), F.lit("")))
 
 
+def templates(pages: DataFrame) -> DataFrame:
+    """(host, template): hashes of the texts that a host's pages share under one path. pages: (h, x), host and html."""
+    from ._shared import durable
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = set()
+            for h, page in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                good = [(p, t) for p, t, _, bad in blocks(page or "") if not bad]
+                # pages of equal text are one page
+                x = digest("", "\n".join(t for _, t in good))
+                for p, t in good:
+                    slot = digest(p, "")
+                    rows.add((h, slot, None, x))
+                    if len(t.split(None, WORDS)) >= WORDS:
+                        rows.add((h, slot, digest(p, t), x))
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 4, (pa.string(), pa.int64(), pa.int64(), pa.int64()))], names=["h", "slot", "t", "x"])
+
+    rows = pages.filter("h <> ''").mapInArrow(run, "h string, slot long, t long, x long").distinct()
+    often = durable(rows.groupBy("h", "slot", "t").agg(F.count("*").alias("n")).filter(F.col("n") >= PAGES), "shared-texts")
+    of = often.filter("t is null").select("h", "slot", F.col("n").alias("pages"))
+    shared = often.filter("t is not null").join(of, ["h", "slot"]).filter("2 * n >= pages")
+    return shared.groupBy("h").agg(F.collect_set("t").alias("template")).select(F.col("h").alias("host"), "template")
+
+
 def shapes(pages: DataFrame) -> DataFrame:
-    """(host, shape, pages, mass): the distinct page shapes of each host, with the text under each slot path."""
+    """(host, shape, pages, mass): the distinct page shapes of each host, with the text under each slot path. pages: (h, x, template)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = []
-            for h, page in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            for h, page, template in zip(*(c.to_pylist() for c in batch.columns)):
                 found = blocks(page or "")
                 mass: dict[str, int] = {}
                 for p, t, n, _ in found:
                     mass[p] = mass.get(p, 0) + max(0, len(t) - n)
-                s = json.dumps(shape(found))
+                s = json.dumps(shape(found, frozenset(template or ())))
                 rows += [(h, s, p, m, 0) for p, m in mass.items()] + [(h, s, None, 0, 1)]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 5, (pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64()))], names=["h", "s", "p", "m", "n"])
 
@@ -287,7 +337,7 @@ def shapes(pages: DataFrame) -> DataFrame:
 
 
 def infer(pages: DataFrame, salts: int = 16) -> DataFrame:
-    """(host, wrapper, expression, region). Shapes are merged in two steps, so that no task has all of a host's."""
+    """(host, wrapper, expression, region, literals). Shapes are merged in two steps, so that no task has all of a host's."""
 
     def merge(df: pd.DataFrame) -> pd.DataFrame:
         mass = df.groupby("p")["m"].sum().to_dict()
@@ -304,14 +354,16 @@ def infer(pages: DataFrame, salts: int = 16) -> DataFrame:
     def finish(df: pd.DataFrame) -> pd.DataFrame:
         got = merge(df)
         wrapper = json.loads(got["s"].iloc[0])
-        known = set(slots(wrapper))
+        literals = sorted({x for x in slots(wrapper) if "#" in x})
+        known = {x.split("#")[0] for x in slots(wrapper)}
         mass = {p: m for p, m in zip(got["p"], got["m"]) if p in known}
-        return pd.DataFrame({"host": [got["h"].iloc[0]], "wrapper": [got["s"].iloc[0]], "expression": [expression(wrapper)], "region": [region(mass)]})
+        return pd.DataFrame({"host": [got["h"].iloc[0]], "wrapper": [got["s"].iloc[0]], "expression": [expression(wrapper)], "region": [region(mass)], "literals": [literals]})
 
-    found = shapes(pages.select(host(F.col("url").cast("string")).alias("h"), F.col("html").cast("string").alias("x")))
+    src = pages.select(host(F.col("url").cast("string")).alias("h"), F.col("html").cast("string").alias("x"))
+    found = shapes(src.join(templates(src), F.col("h") == F.col("host"), "left").select("h", "x", "template"))
     salted = found.withColumn("salt", F.pmod(F.xxhash64("s"), F.lit(salts)))
     part = salted.groupBy("h", "salt").applyInPandas(lambda df: merge(df), "h string, s string, p string, m long, n long")
-    return part.groupBy("h").applyInPandas(lambda df: finish(df), "host string, wrapper string, expression string, region string")
+    return part.groupBy("h").applyInPandas(lambda df: finish(df), "host string, wrapper string, expression string, region string, literals array<string>")
 
 
 def extract(pages: DataFrame, wrappers: DataFrame) -> DataFrame:
@@ -319,12 +371,12 @@ def extract(pages: DataFrame, wrappers: DataFrame) -> DataFrame:
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = [main_text(page, top) for page, top in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+            got = [main_text(page, top, set(literals or ())) for page, top, literals in zip(*(c.to_pylist() for c in batch.columns[2:]))]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.string()), pa.array([len(t) for t in got], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     src = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("x"))
-    joined = src.join(wrappers.select("host", "region"), host(F.col("url")) == F.col("host"), "left")
-    return joined.select("page_id", "url", "x", "region").mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    joined = src.join(wrappers.select("host", "region", "literals"), host(F.col("url")) == F.col("host"), "left")
+    return joined.select("page_id", "url", "x", "region", "literals").mapInArrow(run, "page_id long, url string, text string, n_chars long")
 
 
 def op7_html(pages: DataFrame) -> DataFrame:

@@ -3,7 +3,7 @@
 import pytest
 
 pytest.importorskip("ordsum.llm")
-from ordsum.llm import spans  # noqa: E402
+from ordsum.llm import spans, wrappers  # noqa: E402
 
 
 def cut(spark, *texts):
@@ -34,3 +34,22 @@ def test_every_unit_of_a_passage_is_under_a_run():
         _, at, _, size = spans.runs([" ".join(f"w{k}x{j}" for j in range(n)) + "." for k, n in enumerate(sizes)])
         whole = len(sizes) >= spans.RUN and sum(sizes) >= spans.LEAST
         assert {k for a, n in zip(at.tolist(), size.tolist()) for k in range(a, a + n)} == (set(range(len(sizes))) if whole else set())
+
+
+def extracted(spark, *pages):
+    """What op7 gives for pages of (url, html)."""
+    df = spark.createDataFrame([(i, *p) for i, p in enumerate(pages)], "page_id bigint, url string, html string")
+    return [r.text for r in wrappers.op7_html(df).orderBy("page_id").collect()]
+
+
+def test_wrappers_tell_template_from_slots(spark):
+    box = "<div class=box><p>Get our weekly letter with all the news</p></div>"
+    page = f"<body><article><h1>Facts</h1><p>The body of page number {{0}} tells of {{0}} things and {{0}} more of them.</p>{box}<p>Page {{0}} ends.</p></article></body>"
+    own = [f"Facts\nThe body of page number {i} tells of {i} things and {i} more of them.\nPage {i} ends." for i in range(5)]
+    assert extracted(spark, *[(f"http://a.example/{i}", page.format(i)) for i in range(5)]) == own
+    # copies of one page, near copies, and pages without a host hold no template
+    copies = extracted(spark, *[("http://b.example/", page.format(1))] * 5)
+    assert all("weekly letter" in t for t in copies)
+    near = "<article><p>A long text that many pages of this host give word for word.</p><p>Copy {}</p></article>"
+    assert all("word for word" in t for t in extracted(spark, *[(f"http://c.example/{i}", near.format(i)) for i in range(5)]))
+    assert all("weekly letter" in t for t in extracted(spark, *[(None, page.format(i)) for i in range(5)]))
