@@ -4,8 +4,8 @@ Pages of one host are read as streams of block tags and text slots. A wrapper is
 expression without alternatives: tags, text slots, `( )?` groups and `( )+` groups. It
 starts from one page and is aligned with the next, again and again; what one side has and
 the other lacks becomes an optional group, neighbouring repeats become a repeated group.
-Equal page shapes are folded first, with the text they hold summed up, so a host is a
-handful of shapes however many pages it has.
+Equal page shapes are folded first, so a host is a handful of shapes however many pages
+it has.
 
 A text of `WORDS` words or more that stands under one path on half of the host's pages
 with that path, and on `PAGES` different pages at least, is template: it goes into the shapes as a
@@ -14,10 +14,8 @@ pages may share a word or a subheading of their own. A page gives no literals, u
 most of its text: then it is a near copy of other pages and stays whole. Pages without
 a host share no template.
 
-From the wrapper comes the host's main region: of the slots outside menus, headers,
-footers, sidebars, notices, adverts, forms and comments, the container (an article or
-main element where there is one) with the most text that isn't in links. A page gives the
-text blocks inside that region; one without it is read by the same rule on its own.
+A page gives every text block outside menus, headers, footers, sidebars, notices, adverts,
+forms and comments that its host's wrapper doesn't show to be template.
 
 Cases: null, empty or tagless html: empty text, or the bare text of a tagless page;
 missing end tags, stray ones, comments and cut-off markup are read leniently; pages with
@@ -239,54 +237,14 @@ def slots(nodes: list) -> list[str]:
     return [s for x in nodes for s in ([x] if isinstance(x, str) else slots(x[1]))]
 
 
-def region(mass: dict[str, float]) -> str:
-    """The path of the main region, from characters outside links by slot path. '' is the whole page."""
-    good = {p: m for p, m in mass.items() if "!" not in p and m > 0}
-    for tag in ("article", "main"):
-        tops: dict[str, float] = {}
-        for p, m in good.items():
-            steps = p.split("/")
-            if tag in steps:
-                top = "/".join(steps[: steps.index(tag) + 1])
-                tops[top] = tops.get(top, 0) + m
-        if tops:
-            return max(sorted(tops), key=tops.get)
-    total = sum(good.values())
-    at = ""
-    while True:
-        inner: dict[str, float] = {}
-        for p, m in good.items():
-            if p == at or not p.startswith(at):
-                continue
-            rest = p[len(at) :].strip("/").split("/")
-            if rest[0] in ("html", "body", "div", "section", "center", "table", "tbody", "tr", "td"):
-                top = f"{at}/{rest[0]}".strip("/")
-                inner[top] = inner.get(top, 0) + m
-        top = max(sorted(inner), key=inner.get, default=None)
-        if top is None or inner[top] < 0.9 * total:
-            return at
-        at = top
-
-
-def within(path: str, top: str) -> bool:
-    return not top or path == top or path.startswith(top + "/")
-
-
-def own_text(good: list[tuple[str, str, int]], literals: set[str]) -> list[tuple[str, str, int]]:
-    """The blocks that fill slots; all of them where literals are most of the page."""
-    own = [(p, t, n) for p, t, n in good if literal(p, t) not in literals] if literals else good
-    return own if 2 * sum(len(t) for _, t, _ in own) >= sum(len(t) for _, t, _ in good) else good
-
-
-def main_text(page: str | None, top: str | None, literals: set[str] = frozenset()) -> str:
-    found = blocks(page or "")
-    good = own_text([(p, t, n) for p, t, n, bad in found if not bad], literals)
-    if top is None or not any(within(p, top) for p, *_ in good):
-        mass: dict[str, float] = {}
-        for p, t, n in good:
-            mass[p] = mass.get(p, 0) + max(0, len(t) - n)
-        top = region(mass)
-    return "\n".join(t for p, t, _ in good if within(p, top))
+def own_text(good: list[tuple[str, str]], literals: set[str]) -> list[str]:
+    """The texts that fill slots; all of them where literals are most of the page."""
+    own = [t for p, t in good if not literals or literal(p, t) not in literals]
+    return own if 2 * sum(map(len, own)) >= sum(len(t) for _, t in good) else [t for _, t in good]
+
+
+def main_text(page: str | None, literals: set[str] = frozenset()) -> str:
+    return "\n".join(own_text([(p, t) for p, t, _, bad in blocks(page or "") if not bad], literals))
 
 
 def host(url):
@@ -315,55 +273,44 @@ def templates(pages: DataFrame) -> DataFrame:
     often = durable(rows.groupBy("h", "slot", "t").agg(F.count("*").alias("n")).filter(F.col("n") >= PAGES), "shared-texts")
     of = often.filter("t is null").select("h", "slot", F.col("n").alias("pages"))
     shared = often.filter("t is not null").join(of, ["h", "slot"]).filter("2 * n >= pages")
-    return shared.groupBy("h").agg(F.collect_set("t").alias("template")).select(F.col("h").alias("host"), "template")
+    # written, so that its size is known before pages would be dealt by host
+    return durable(shared.groupBy("h").agg(F.collect_set("t").alias("template")).select(F.col("h").alias("host"), "template"), "templates")
 
 
 def shapes(pages: DataFrame) -> DataFrame:
-    """(host, shape, pages, mass): the distinct page shapes of each host, with the text under each slot path. pages: (h, x, template)."""
+    """(host, shape, pages): the distinct page shapes of each host. pages: (h, x, template)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
-            for h, page, template in zip(*(c.to_pylist() for c in batch.columns)):
-                found = blocks(page or "")
-                mass: dict[str, int] = {}
-                for p, t, n, _ in found:
-                    mass[p] = mass.get(p, 0) + max(0, len(t) - n)
-                s = json.dumps(shape(found, frozenset(template or ())))
-                rows += [(h, s, p, m, 0) for p, m in mass.items()] + [(h, s, None, 0, 1)]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 5, (pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64()))], names=["h", "s", "p", "m", "n"])
+            h, x, template = (c.to_pylist() for c in batch.columns)
+            got = [json.dumps(shape(blocks(page or ""), frozenset(t or ()))) for page, t in zip(x, template)]
+            yield pa.RecordBatch.from_arrays([pa.array(h, pa.string()), pa.array(got, pa.string())], names=["h", "s"])
 
-    return pages.mapInArrow(run, "h string, s string, p string, m long, n long").groupBy("h", "s", "p").agg(F.sum("m").alias("m"), F.sum("n").alias("n"))
+    return pages.mapInArrow(run, "h string, s string").groupBy("h", "s").agg(F.count("*").alias("n"))
 
 
 def infer(pages: DataFrame, salts: int = 16) -> DataFrame:
-    """(host, wrapper, expression, region, literals). Shapes are merged in two steps, so that no task has all of a host's."""
+    """(host, wrapper, expression, literals). Shapes are merged in two steps, so that no task has all of a host's."""
 
     def merge(df: pd.DataFrame) -> pd.DataFrame:
-        mass = df.groupby("p")["m"].sum().to_dict()
-        pages_of = df.groupby("s")["n"].sum().sort_values(ascending=False, kind="stable")
+        pages_of = df.groupby("s")["n"].sum()
         wrapper: list | None = None
         for s in sorted(pages_of.index, key=lambda s: (-pages_of[s], s)):
             nodes = json.loads(s)
             wrapper = nodes if wrapper is None else wrapper if wrapper == nodes else align(wrapper, nodes)
-        text = json.dumps(wrapper or [])
-        n = int(df["n"].sum())
-        rows = [(df["h"].iloc[0], text, p, int(m), 0) for p, m in mass.items()] + [(df["h"].iloc[0], text, None, 0, n)]
-        return pd.DataFrame(rows, columns=["h", "s", "p", "m", "n"])
+        return pd.DataFrame({"h": [df["h"].iloc[0]], "s": [json.dumps(wrapper or [])], "n": [int(df["n"].sum())]})
 
     def finish(df: pd.DataFrame) -> pd.DataFrame:
         got = merge(df)
         wrapper = json.loads(got["s"].iloc[0])
         literals = sorted({x for x in slots(wrapper) if "#" in x})
-        known = {x.split("#")[0] for x in slots(wrapper)}
-        mass = {p: m for p, m in zip(got["p"], got["m"]) if p in known}
-        return pd.DataFrame({"host": [got["h"].iloc[0]], "wrapper": [got["s"].iloc[0]], "expression": [expression(wrapper)], "region": [region(mass)], "literals": [literals]})
+        return pd.DataFrame({"host": [got["h"].iloc[0]], "wrapper": [got["s"].iloc[0]], "expression": [expression(wrapper)], "literals": [literals]})
 
     src = pages.select(host(F.col("url").cast("string")).alias("h"), F.col("html").cast("string").alias("x"))
     found = shapes(src.join(templates(src), F.col("h") == F.col("host"), "left").select("h", "x", "template"))
     salted = found.withColumn("salt", F.pmod(F.xxhash64("s"), F.lit(salts)))
-    part = salted.groupBy("h", "salt").applyInPandas(lambda df: merge(df), "h string, s string, p string, m long, n long")
-    return part.groupBy("h").applyInPandas(lambda df: finish(df), "host string, wrapper string, expression string, region string, literals array<string>")
+    part = salted.groupBy("h", "salt").applyInPandas(lambda df: merge(df), "h string, s string, n long")
+    return part.groupBy("h").applyInPandas(lambda df: finish(df), "host string, wrapper string, expression string, literals array<string>")
 
 
 def extract(pages: DataFrame, wrappers: DataFrame) -> DataFrame:
@@ -371,12 +318,12 @@ def extract(pages: DataFrame, wrappers: DataFrame) -> DataFrame:
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = [main_text(page, top, set(literals or ())) for page, top, literals in zip(*(c.to_pylist() for c in batch.columns[2:]))]
+            got = [main_text(page, set(literals or ())) for page, literals in zip(*(c.to_pylist() for c in batch.columns[2:]))]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.string()), pa.array([len(t) for t in got], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     src = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("x"))
-    joined = src.join(wrappers.select("host", "region", "literals"), host(F.col("url")) == F.col("host"), "left")
-    return joined.select("page_id", "url", "x", "region", "literals").mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    joined = src.join(wrappers.select("host", "literals"), host(F.col("url")) == F.col("host"), "left")
+    return joined.select("page_id", "url", "x", "literals").mapInArrow(run, "page_id long, url string, text string, n_chars long")
 
 
 def op7_html(pages: DataFrame) -> DataFrame:

@@ -53,3 +53,11 @@ def test_wrappers_tell_template_from_slots(spark):
     near = "<article><p>A long text that many pages of this host give word for word.</p><p>Copy {}</p></article>"
     assert all("word for word" in t for t in extracted(spark, *[(f"http://c.example/{i}", near.format(i)) for i in range(5)]))
     assert all("weekly letter" in t for t in extracted(spark, *[(None, page.format(i)) for i in range(5)]))
+
+
+def test_wrappers_keep_blocks_outside_the_densest_container(spark):
+    long = "words of a long body " * 60
+    plain = f"<body><h1>Title</h1><p>Lead</p><div>{long}</div></body>"
+    two = f"<body><article>{long}</article><div><article>A second article.</article></div><p>An end.</p></body>"
+    got = extracted(spark, ("http://a.example/1", plain), ("http://b.example/1", two), (None, plain), ("bad", two))
+    assert got == [f"Title\nLead\n{long.strip()}", f"{long.strip()}\nA second article.\nAn end."] * 2
