@@ -13,9 +13,8 @@ once; an empty table gives no rows; very long texts are cut, never shortened.
 
 from __future__ import annotations
 
-import base64
+import bisect
 import random
-import re
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -25,72 +24,23 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._shared import durable
+from .vocabulary import encoded
 
 LENGTH = 2048
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
-_SPACES = re.compile(r"\s \s")
-_encoders: dict[str, "Encoder"] = {}
 
 
-class Encoder:
-    """Token ids as little-endian 32-bit bytes, for a byte-level vocabulary whose words begin at single spaces.
-
-    Between two non-spaces a space always begins a new word of the vocabulary's pattern,
-    so what follows each space is encoded once and remembered. Texts with runs of
-    spaces are encoded whole."""
-
-    def __init__(self, ranks_path: str, pattern: str, most: int = 300_000):
-        import tiktoken
-
-        with open(ranks_path, "rb") as f:
-            ranks = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
-        self.whole = tiktoken.Encoding("vocabulary", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_to_numpy
-        self.known: dict[str, bytes] = {}
-        self.most = most
-
-    def raw(self, text: str) -> bytes:
-        return self.whole(text, disallowed_special=()).astype("<u4").tobytes() if text else b""
-
-    def encode(self, text: str) -> bytes:
-        if "  " in text or _SPACES.search(text):
-            return self.raw(text)
-        first, *rest = text.split(" ")
-        known, out = self.known, [self.raw(first)]
-        for word in rest:
-            got = known.get(word)
-            if got is None:
-                got = self.raw(" " + word)
-                if len(word) < 48:
-                    if len(known) >= self.most:
-                        known.clear()
-                    known[word] = got
-            out.append(got)
-        return b"".join(out)
-
-
-def encoder(name: str) -> Encoder:
-    if name not in _encoders:
-        import public_tokenizers as P
-
-        _encoders[name] = Encoder(P.path(name), P.PATTERN)
-    return _encoders[name]
-
-
-def token_pieces(docs: DataFrame, vocabulary: str = "byte_bpe_50k.tiktoken", length: int = LENGTH, separator: int = 0) -> DataFrame:
+def token_pieces(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", length: int = LENGTH, separator: int = 0) -> DataFrame:
     """The ids of each text and the separator, cut into pieces of `length`; a shorter one comes first."""
-    tail = separator.to_bytes(4, "little")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(vocabulary)
         for batch in batches:
             rows: list[tuple] = []
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                ids = enc.encode(text or "") + tail
-                n = len(ids) // 4
-                ends = range(n % length or length, n + 1, length)
-                at = 0
-                for k, end in enumerate(ends):
-                    rows.append((i, k, at, end - at, zlib.crc32(ids[4 * at : 4 * end])))
+            for i, ids in zip(batch.column(0).to_pylist(), encoded(vocabulary, batch.column(1).to_pylist(), separator)):
+                ids = ids.astype("<u4", copy=False)
+                n, at = len(ids), 0
+                for k, end in enumerate(range(n % length or length, n + 1, length)):
+                    rows.append((i, k, at, end - at, zlib.crc32(ids[at:end])))
                     at = end
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 5, kinds)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
@@ -138,19 +88,46 @@ def best_fit(items: list[int], sizes: list[int], cap: int, bins: list[list[int]]
     return Solution(bins, fills)
 
 
+def exchange(bins: list[list[int]], fills: list[int], loose: list[int], sizes: list[int], cap: int) -> list[int]:
+    """Loose items that fill a bin better change places with one or two of its items; gives the items loose now."""
+    loose = sorted(loose, key=lambda i: sizes[i])
+    of = [sizes[i] for i in loose]
+    for k, items in enumerate(bins):
+        if fills[k] == cap or len(items) > 8:  # bins of many small items are best-fitted well already
+            continue
+        outs = [(sizes[i], (i,)) for i in items] + [(sizes[i] + sizes[j], (i, j)) for x, i in enumerate(items) for j in items[:x]]
+        best = (0, 0, ())
+        for s, out in outs:
+            at = bisect.bisect_right(of, s + cap - fills[k]) - 1
+            if at >= 0 and of[at] - s > best[0]:
+                best = (of[at] - s, at, out)
+        gain, at, out = best
+        if gain:
+            bins[k] = [i for i in items if i not in out] + [loose.pop(at)]
+            of.pop(at)
+            fills[k] += gain
+            for i in out:
+                place = bisect.bisect_left(of, sizes[i])
+                of.insert(place, sizes[i])
+                loose.insert(place, i)
+    return loose
+
+
 def crossover(a: Solution, b: Solution, sizes: list[int], cap: int, rng: random.Random, share: float) -> Solution:
     """b's well-filled bins go into a; a's bins that hold any of their items go; the displaced are best-fitted."""
     ranked = sorted(range(len(b.bins)), key=lambda k: (-b.fills[k], rng.random()))
     chosen = ranked[: max(1, int(share * len(ranked)))]
     taken = {i for k in chosen for i in b.bins[k]}
     bins, fills, displaced = [list(b.bins[k]) for k in chosen], [b.fills[k] for k in chosen], []
+    # the emptiest bins of a are emptied too, and a few others, so that the search does not stand still
     worst = sorted(a.fills)[min(len(a.fills) - 1, max(1, len(a.fills) // 50))]
     for items, fill in zip(a.bins, a.fills):
-        if taken.isdisjoint(items) and not (fill <= worst and fill < cap):
+        if taken.isdisjoint(items) and not (fill < cap and (fill <= worst or rng.random() < 0.05)):
             bins.append(list(items))
             fills.append(fill)
         else:
             displaced += [i for i in items if i not in taken]
+    displaced = exchange(bins, fills, displaced, sizes, cap)
     displaced.sort(key=lambda i: (-sizes[i], rng.random()))
     return best_fit(displaced, sizes, cap, bins, fills)
 
@@ -159,7 +136,8 @@ def lower_bound(sizes: list[int], cap: int) -> int:
     return max(-(-sum(sizes) // cap), sum(2 * s > cap for s in sizes))
 
 
-def evolve(sizes: list[int], cap: int, seed: int, demes: int = 2, each: int = 3, generations: int = 6, every: int = 2) -> Solution:
+def evolve(sizes: list[int], cap: int, seed: int, demes: int = 2, each: int = 4, generations: int = 60, every: int = 5, patience: int = 8) -> Solution:
+    """The best of all demes. No search where best fit alone needs no more bins than any packing must."""
     rng = random.Random(seed)
     order = sorted(range(len(sizes)), key=lambda i: (-sizes[i], i))
     first = best_fit(order, sizes, cap, [], [])
@@ -167,17 +145,22 @@ def evolve(sizes: list[int], cap: int, seed: int, demes: int = 2, each: int = 3,
     if len(first.bins) <= least:
         return first
     fit = lambda s: s.fitness(cap)
-    blurred = lambda: best_fit(sorted(order, key=lambda i: -sizes[i] * rng.uniform(0.9, 1)), sizes, cap, [], [])
+    blurred = lambda: best_fit(sorted(order, key=lambda i: -sizes[i] * rng.uniform(0.5, 1)), sizes, cap, [], [])
     islands = [[first if k == 0 else blurred() for k in range(each)] for _ in range(demes)]
-    best = max((s for d in islands for s in d), key=fit)
+    best, still = max((s for d in islands for s in d), key=fit), 0
     for g in range(1, generations + 1):
+        still += 1
         for d in islands:
             d.sort(key=fit, reverse=True)
-            child = crossover(d[0], d[rng.randrange(1, each)], sizes, cap, rng, rng.uniform(0.1, 0.5))
-            if fit(child) > fit(d[-1]):
-                d[-1] = child
-            best = max(best, child, key=fit)
-        if len(best.bins) <= least:
+            a, b = rng.sample(range(each), 2)
+            for one, other in ((a, b), (b, a)):
+                child = crossover(d[one], d[other], sizes, cap, rng, rng.uniform(0.1, 0.5))
+                last = min(range(each), key=lambda k: fit(d[k]))
+                if fit(child) > fit(d[last]):
+                    d[last] = child
+                if fit(child) > fit(best):
+                    best, still = child, 0
+        if len(best.bins) <= least or still >= patience:
             break
         if g % every == 0:  # elites go one deme on
             elites = [max(d, key=fit) for d in islands]

@@ -142,8 +142,8 @@ def test_packing(spark, docs, odd):
     import public_tokenizers as P
 
     t = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
-    for df in (docs, odd):
+    special = odd.filter("doc_id = 4").selectExpr("41L as doc_id", "concat('a <|endoftext|> b  c', text, '<|endoftext|>') as text")
+    for df in (docs, odd, special):
         rows = packing.op5_packing(df).toPandas()
         total = 0
         for r in df.select("doc_id", "text").dropDuplicates(["doc_id"]).collect():
@@ -168,6 +168,40 @@ def test_genetic_packing_is_sound():
     assert packing.lower_bound(sizes, 100) <= len(got.bins) <= len(first.bins)
 
 
+def test_ids_of_a_vocabulary(monkeypatch):
+    """Equal to the public library's on odd white space, special tokens, and when the memory of words runs over."""
+    from tokenizers import Tokenizer
+    import public_tokenizers as P
+
+    from ordsum.llm import vocabulary
+
+    t = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    rng = random.Random(3)
+    parts = [*"ab1,.!'\n\té\u3000\u00a0日😀\u0301\x85\x1c\u2028İ", *[" "] * 9, "'s", "'ll", "<|endoftext|>", "word"]
+    odd = [None, "", " ", "a  b", "a   b", " \n a", "a\n \nb", *("".join(rng.choice(parts) for _ in range(rng.randrange(1, 40))) for _ in range(3000))]
+    want = [t.encode(x or "", add_special_tokens=False).ids for x in odd]
+    assert [x.tolist() for x in vocabulary.encoded("byte_bpe_50k.json", odd)] == want
+    assert [x.tolist() for x in vocabulary.encoded("byte_bpe_50k.json", odd, 0)] == [x + [0] for x in want]
+    monkeypatch.setattr(vocabulary, "AT_ONCE", 300)
+    small = vocabulary.Encoder(P.path("byte_bpe_50k.json"), P.PATTERN, most=50)
+    assert [x.tolist() for _, part in vocabulary.in_parts(odd, 300) for x in small.encode(part)] == want
+
+
+def test_genetic_search_beats_best_fit():
+    """Bins of exactly three items each, which best fit misses by a sixth."""
+    for seed in range(3):
+        rng, sizes = random.Random(seed), []
+        for _ in range(60):
+            a = rng.randrange(380, 490)
+            b = rng.randrange(250, (1000 - a) // 2 + 1)
+            sizes += [a, b, 1000 - a - b]
+        rng.shuffle(sizes)
+        first = packing.best_fit(sorted(range(180), key=lambda i: -sizes[i]), sizes, 1000, [], [])
+        got = packing.evolve(sizes, 1000, 1)
+        assert sorted(i for b in got.bins for i in b) == list(range(180)) and all(sum(sizes[i] for i in b) == f <= 1000 for b, f in zip(got.bins, got.fills))
+        assert packing.lower_bound(sizes, 1000) == 60 and len(got.bins) <= 63 < len(first.bins) - 5
+
+
 def test_spans_by_brute_force(spark, docs, odd):
     for df in (docs.orderBy("doc_id"), odd):
         all_ = sorted({(r.doc_id is not None, r.doc_id or 0, r.text) for r in df.collect() if r.text})
