@@ -3,7 +3,9 @@ character n-grams, fitted with follow-the-regularised-leader under an elastic-ne
 penalty, then temperature-calibrated on rows kept out of the fit.
 
 Document frequencies come from every row that may be learnt from; only the fit of the
-weights uses a bounded sample (`per_lang` rows of each language, `max_langs` languages).
+weights uses a bounded sample: `per_lang` rows of each language, fewer where there are so many
+languages that this were over `rows` in all (one each at least). Every fifth row of a language is
+kept for the temperature.
 
 Cases: null text or text without a letter gets `und` with score 1 (it is certain);
 equal texts get equal results; an empty or label-less table gives a model without
@@ -128,17 +130,19 @@ def document_frequencies(texts: DataFrame) -> tuple[np.ndarray, int]:
     return df, total
 
 
-def fit(labelled: DataFrame, per_lang: int = 1200, max_langs: int = 200, epochs: int = 3) -> LanguageModel:
+def fit(labelled: DataFrame, per_lang: int = 1200, rows: int = 12_000, epochs: int = 3) -> LanguageModel:
     """labelled: doc_id, t, lang; rows that may be learnt from."""
     df, total = document_frequencies(labelled.select("t"))
     idf = np.log((1 + total) / (1 + df)) + 0.1
-    counted = labelled.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(max_langs).collect()
+    counted = labelled.groupBy("lang").count().collect()
     langs = sorted(r.lang for r in counted)
+    number = {x: k for k, x in enumerate(langs)}
+    per_lang = max(1, min(per_lang, rows // max(1, len(langs))))
     key = rank_key(F.col("doc_id"))
     # ranks are spread evenly: those under a language's bound are twice the wanted rows, however large it is
     bound = [x for r in counted for x in (F.lit(r.lang), F.lit(min((1 << 63) - 1, int((2 * per_lang / r["count"] - 0.5) * 2**64))).cast("long"))]
     likely = labelled.filter(key <= F.create_map(*bound)[F.col("lang")] if bound else F.lit(False))
-    order = W.partitionBy("lang").orderBy(key, "doc_id")
+    order = W.partitionBy("lang").orderBy(key, "doc_id", F.xxhash64("t"), "t")
     picked = likely.select("lang", "t", "doc_id").withColumn("r", F.row_number().over(order)).filter(F.col("r") <= per_lang)
 
     def encode(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -147,17 +151,16 @@ def fit(labelled: DataFrame, per_lang: int = 1200, max_langs: int = 200, epochs:
             for t in batch.column(1).to_pylist():
                 c = counts(t)
                 at = np.flatnonzero(c)
-                rows.append((at.astype(np.int32).tobytes(), c[at].astype(np.int32).tobytes()))
+                rows.append((at.astype(np.uint16).tobytes(), c[at].astype(np.uint32).tobytes()))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *(pa.array(c, pa.binary()) for c in zip(*rows))] if rows else [batch.column(0), batch.column(2), pa.array([], pa.binary()), pa.array([], pa.binary())], names=["lang", "r", "i", "c"])
 
-    rows = picked.select("lang", "t", "r").mapInArrow(encode, "lang string, r int, i binary, c binary").collect()
-    rows.sort(key=lambda r: (r.r, r.lang))
-    data = []
-    for r in rows:
-        at, c = np.frombuffer(r.i, np.int32), np.frombuffer(r.c, np.int32)
-        data.append((at, tf_idf(c, idf[at]), langs.index(r.lang)))
-    held = data[4::5] if len(data) >= 10 else data
-    train = [x for k, x in enumerate(data) if k % 5 != 4] if len(data) >= 10 else data
+    got = picked.select("lang", "t", "r").mapInArrow(encode, "lang string, r int, i binary, c binary").collect()
+    got.sort(key=lambda r: (r.r, r.lang))
+    train, held = [], []
+    for r in got:
+        at, c = np.frombuffer(r.i, np.uint16), np.frombuffer(r.c, np.uint32)
+        (train if r.r % 5 else held).append((at, tf_idf(c, idf[at]), number[r.lang]))
+    held = held or train
     model = FtrlSoftmax(BUCKETS, max(1, len(langs)))
     for _ in range(epochs):
         for x in train:

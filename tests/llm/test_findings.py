@@ -3,7 +3,7 @@
 import pytest
 
 pytest.importorskip("ordsum.llm")
-from ordsum.llm import spans, wrappers  # noqa: E402
+from ordsum.llm import language_id, spans, wrappers  # noqa: E402
 
 
 def cut(spark, *texts):
@@ -61,3 +61,19 @@ def test_wrappers_keep_blocks_outside_the_densest_container(spark):
     two = f"<body><article>{long}</article><div><article>A second article.</article></div><p>An end.</p></body>"
     got = extracted(spark, ("http://a.example/1", plain), ("http://b.example/1", two), (None, plain), ("bad", two))
     assert got == [f"Title\nLead\n{long.strip()}", f"{long.strip()}\nA second article.\nAn end."] * 2
+
+
+@pytest.mark.parametrize("n", [1, 2, 5, 10])
+def test_every_language_is_trained(spark, n):
+    """Equally common languages, each with letters of its own, whatever their number."""
+    import random
+
+    rng, rows = random.Random(n), []
+    for k in range(60 * n):
+        letters = [chr(0x3400 + 40 * (k % n) + j) for j in range(40)]
+        rows.append((k, " ".join("".join(rng.choices(letters, k=4)) for _ in range(12)), f"l{k % n}"))
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    got = language_id.op2_language(docs).join(docs.select("doc_id", "lang"), "doc_id").collect()
+    assert all(r.lang_pred == r.lang for r in got)
+    few = language_id.fit(docs.select("doc_id", docs.text.alias("t"), "lang"), rows=2 * n)
+    assert few.langs == sorted({x[2] for x in rows})
