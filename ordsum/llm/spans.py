@@ -1,11 +1,12 @@
 """Substring dedup over sliding sentence spans.
 
-Texts are cut into sentences; a sentence of more than `LONG` words is broken at words
-chosen by their hash, so that equal passages break alike wherever they stand. From each
-sentence on, and back from each, the shortest run of `RUN` sentences or more with at least
-`LEAST` words is hashed; so every sentence of a repeated passage of that size lies under a
-run within it, however short its sentences are. The hashes meet in one join, and sentences
-under any run that isn't its first occurrence are removed.
+Texts are cut into sentences; what has more than `LONG` words to the next full stop is
+broken at words chosen by their hash, so that equal passages break alike wherever they
+stand. From each sentence on, and back from each, the shortest run of `RUN` sentences or
+more with at least `LEAST` words is hashed; so every sentence of a repeated passage of that
+size lies under a run within it, however short its sentences are. The hashes meet in one
+join, and sentences under any run that isn't its first occurrence are removed. Repeats of
+fewer words, such as one line or a set phrase, stay.
 
 First is the smallest (doc_id, text hash, position). Cases: null texts stay null, empty
 ones empty; rows equal in id and text are one document given twice and are treated
@@ -26,7 +27,9 @@ from pyspark.sql import functions as F
 
 from ._shared import durable
 
-RUN, LEAST, LONG, SHORT = 3, 10, 12, 5
+RUN, LEAST, LONG = 3, 25, 30
+#: Fewest and most words of a part of a long sentence.
+PART = 5, 12
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?]+[^\S\n]*|\n\s*|\Z)")
 _WORD = re.compile(r"\S+\s*")
 _M = np.uint64(0x9E3779B97F4A7C15)
@@ -38,14 +41,14 @@ def units(text: str) -> list[str]:
     for s in _SENTENCE.findall(text):
         if not s:
             continue
-        if len(s) <= LONG * 2 or s.count(" ") < LONG:
+        if len(s) <= LONG * 2 or len(s.split()) <= LONG:
             out.append(s)
             continue
         n, part = 0, [s[: len(s) - len(s.lstrip())]]
         for w in _WORD.findall(s):
             part.append(w)
             n += 1
-            if n >= LONG or n >= SHORT and xxhash.xxh32_intdigest(w.strip().lower().encode("utf-8", "surrogatepass")) % 4 == 0:
+            if n >= PART[1] or n >= PART[0] and xxhash.xxh32_intdigest(w.strip().lower().encode("utf-8", "surrogatepass")) % 4 == 0:
                 out.append("".join(part))
                 n, part = 0, []
         if part:
@@ -80,19 +83,15 @@ def runs(parts: list[str]) -> tuple[np.ndarray, np.ndarray, list[int], np.ndarra
 
 def pack(at, size):
     """Begin and size in one number; a run has at most max(RUN, LEAST) units, as each has a word."""
-    return at * 16 + size
+    return at * 32 + size
 
 
 def unpack(run):
-    return run // 16, run % 16
-
-
-def text_key(col) -> "F.Column":
-    return F.xxhash64(col)
+    return run // 32, run % 32
 
 
 def repeated_runs(docs: DataFrame) -> DataFrame:
-    """(d, x, at): begin and size of each non-first run, packed, by document id and text hash."""
+    """(d, x, at): begin and size of each non-first run, packed, by document id and text hash. docs: (d, x, t)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -104,8 +103,7 @@ def repeated_runs(docs: DataFrame) -> DataFrame:
                 rows = np.repeat(np.arange(len(n)), n)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(h)), part.column(0).take(pa.array(rows)), part.column(1).take(pa.array(rows)), pa.array(np.concatenate(at))], names=["h", "d", "x", "at"])
 
-    src = docs.filter(F.length("text") > 0).select(F.col("doc_id").cast("long").alias("d"), text_key(F.col("text")).alias("x"), "text")
-    spans = durable(src.mapInArrow(run, "h long, d long, x long, at long"), "spans")
+    spans = durable(docs.filter(F.length("t") > 0).mapInArrow(run, "h long, d long, x long, at long"), "spans")
     place = F.struct("d", "x", "at")
     firsts = spans.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first < last").select("h", "first")
     firsts = durable(firsts, "firsts")
@@ -113,11 +111,14 @@ def repeated_runs(docs: DataFrame) -> DataFrame:
 
 
 def without_repeats(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """docs with the repeated sentences cut from `text`, and n_units, n_removed added (replaced if there)."""
+    """docs with the repeated sentences cut from `text_col`, and n_units, n_removed added (replaced if there)."""
     src = docs.drop("n_units", "n_removed")
-    cut = repeated_runs(src).groupBy("d", "x").agg(F.collect_set("at").alias("cut")).toDF("__cd", "__cx", "__cut")
-    keyed = src.withColumns({"__d": F.col("doc_id").cast("long"), "__x": text_key(F.col("text"))})
-    joined = keyed.join(cut, F.col("__d").eqNullSafe(F.col("__cd")) & (F.col("__x") == F.col("__cx")), "left").select(*src.columns, "__cut")
+    d, x = F.col("doc_id").cast("long"), F.xxhash64(F.col(text_col))
+    cut = repeated_runs(src.select(d.alias("d"), x.alias("x"), F.col(text_col).alias("t"))).groupBy("d", "x").agg(F.collect_set("at").alias("cut"))
+    # the row travels as one column, so that no name of its own can clash
+    keyed = src.select(F.struct(*src.columns).alias("row"), d.alias("rd"), x.alias("rx"))
+    joined = keyed.join(cut, F.col("rd").eqNullSafe(F.col("d")) & (F.col("rx") == F.col("x")), "left")
+    joined = joined.select(*[F.col("row")[c].alias(f"c{k}") for k, c in enumerate(src.columns)], "cut")
     names, at_text, at_cut = [*src.columns, "n_units", "n_removed"], src.columns.index(text_col), len(src.columns)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -19,7 +19,7 @@ def test_spans_of_one_word_sentences(spark):
 
 
 def test_spans_reach_both_ends_of_a_passage(spark):
-    body = "A sentence of twelve words stands here, between short ones, as it must."
+    body = "A sentence of twenty words or more stands here, between short ones, as it must, and has the greater part of all words."
     passage = f"One. Two. {body} Three. Four. Five."
     got = cut(spark, f"Start of one. {passage} Own end.", f"Another start. {passage} Last words here.")
     assert passage in got[1] and got[2] == "Another start. Last words here."
@@ -77,3 +77,9 @@ def test_every_language_is_trained(spark, n):
     assert all(r.lang_pred == r.lang for r in got)
     few = language_id.fit(docs.select("doc_id", docs.text.alias("t"), "lang"), rows=2 * n)
     assert few.langs == sorted({x[2] for x in rows})
+
+
+def test_spans_leave_set_phrases(spark):
+    line = "Published under the terms of a licence, of which a copy comes with this text. "
+    got = cut(spark, f"{line} First own words.", f"{line} Second own words.")
+    assert got == {1: f"{line} First own words.", 2: f"{line} Second own words."}

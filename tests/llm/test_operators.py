@@ -202,26 +202,45 @@ def test_genetic_search_beats_best_fit():
         assert packing.lower_bound(sizes, 1000) == 60 and len(got.bins) <= 63 < len(first.bins) - 5
 
 
+def cut_by_definition(rows):
+    """(id, text) -> (text left, sentences removed), by comparing the words of every run with those of all others."""
+    found = {}  # words of a run -> its places
+    for k, (i, text) in enumerate(rows):
+        parts = [(n, u.lower().split()) for n, u in enumerate(spans.units(text)) if u.strip()]
+        for a in range(len(parts)):
+            for ends in (range(a + spans.RUN, len(parts) + 1), range(a - spans.RUN + 1, -1, -1)):
+                for e in ends:
+                    lo, hi = (a, e) if e > a else (e, a + 1)
+                    if sum(len(w) for _, w in parts[lo:hi]) >= spans.LEAST:
+                        found.setdefault(tuple(tuple(w) for _, w in parts[lo:hi]), set()).add((i is not None, i or 0, lo, k))
+                        break
+    out = []
+    gone = [set() for _ in rows]
+    for run, places in found.items():
+        for place in places - {min(places)}:
+            gone[place[3]].update(range(place[2], place[2] + len(run)))
+    for k, (i, text) in enumerate(rows):
+        units = spans.units(text)
+        at = [n for n, u in enumerate(units) if u.strip()]
+        drop = {n for x, y in zip(range(len(at)), [*at[1:], len(units)]) if x in gone[k] for n in range(at[x], y)}
+        out.append((i, "".join(u for n, u in enumerate(units) if n not in drop), len(gone[k])))
+    return out
+
+
 def test_spans_by_brute_force(spark, docs, odd):
-    for df in (docs.orderBy("doc_id"), odd):
-        all_ = sorted({(r.doc_id is not None, r.doc_id or 0, r.text) for r in df.collect() if r.text})
-        seen, want = {}, {}
-        hashed = {k: spans.runs(spans.units(k[2])) for k in all_}
-        key = lambda k, p: (k[0], k[1], p)
-        for k in all_:
-            for h, p in zip(*map(list, hashed[k][:2])):
-                seen[h] = min(seen.get(h, key(k, p)), key(k, p))
-        for k in all_:
-            parts, places = spans.units(k[2]), hashed[k][2]
-            gone = {places[p + j] for h, p in zip(*map(list, hashed[k][:2])) if seen[h] != key(k, p) for j in range(spans.RUN)}
-            want[k[2]] = want.get(k[2], set()) | {len(gone)}
-        for r in spans.without_repeats(df).collect():
-            if r.text is None or (r.n_removed == 0 and r.text == ""):
-                continue
-        out = spans.without_repeats(df)
-        assert out.count() == df.count() and set(df.columns) - {"n_units", "n_removed"} <= set(out.columns)
-        assert sum(r.n_removed for r in out.select("doc_id", "n_removed").dropDuplicates().collect()) >= max(map(max, want.values()))
-    p = "A long passage begins with this sentence here. It goes on with another one of many words. Then a third follows it closely. A fourth ends it for good now."
+    for df in (docs, odd.dropDuplicates()):
+        rows = [(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()]
+        key = lambda r: (r[0] is not None, r[0] or 0)
+        want = sorted([(i, t, 0) for i, t in rows if not t] + cut_by_definition([r for r in rows if r[1]]), key=key)
+        got = sorted(((r.doc_id, r.text, r.n_removed) for r in spans.without_repeats(df).collect()), key=key)
+        assert got == want
+    assert sum(n for *_, n in cut_by_definition([(r.doc_id, r.text) for r in docs.collect()])) > 100
+    assert spans.without_repeats(odd).count() == odd.count()
+    named = odd.withColumnsRenamed({"text": "body", "x": "__cut", "key": "d"}).withColumn("cut", odd.doc_id).withColumn("text", odd.lang)
+    got = spans.without_repeats(named, "body")
+    assert got.columns == [*named.columns, "n_units", "n_removed"] and got.count() == odd.count()
+    assert {(r.doc_id, r.n_removed) for r in got.collect()} == {(r.doc_id, r.n_removed) for r in spans.without_repeats(odd).collect()}
+    p = "A long passage begins with this sentence here. It goes on with another one of many words. Then a third follows it closely. A fourth ends it for good now, after all."
     two = spark.createDataFrame([(1, "First own words. " + p), (2, p + " Own end, of the second document.")], "doc_id bigint, text string")
     got = texts(spans.op6_spans(two))
     assert got[1].endswith(p) and p[:40] not in got[2] and "Own end" in got[2]
