@@ -19,18 +19,22 @@ def find_many(m: SummaryMap, q: DataFrame) -> DataFrame:
 
 
 def _carry(m: SummaryMap) -> DataFrame:
-    """Per block what lies before and after it. The block table has a bounded number of rows."""
+    """Per block what lies before and after it, from the stored block table where there is one. The table has a bounded number of rows."""
     spark = m.rows.sparkSession
     every = spark.range(len(m.splitters) + 1).select(F.col("id").cast("int").alias("block"))
-    e = F.struct("k", "v")
-    parts = [F.count("*").alias("n"), F.max_by(e, "k").alias("last"), F.min_by(e, "k").alias("first")]
-    if m.monoid is not None and m.monoid.agg is not None:
-        parts.append(m.monoid.agg(m._a()).alias("a"))
-    t = every.join(m.rows.groupBy("block").agg(*parts), "block", "left")
+    summed = m.monoid is not None and m.monoid.agg is not None
+    if m.stored is not None and (m.stored.summed or not summed):
+        end = lambda k, v: F.when(F.col("n") > 0, F.struct(F.col(k).alias("k"), F.col(v).alias("v")))
+        t = m.stored.table.select("block", F.when(F.col("n") > 0, F.col("n")).alias("n"), end("hi", "hiv").alias("last"), end("lo", "lov").alias("first"), "a")
+    else:
+        e = F.struct("k", "v")
+        parts = [F.count("*").alias("n"), F.max_by(e, "k").alias("last"), F.min_by(e, "k").alias("first")]
+        t = m.rows.groupBy("block").agg(*parts, *([m.monoid.agg(m._a()).alias("a")] if summed else []))
+    t = every.join(t, "block", "left")
     before = W.partitionBy(F.lit(0)).orderBy("block").rowsBetween(W.unboundedPreceding, -1)
     after = W.partitionBy(F.lit(0)).orderBy("block").rowsBetween(1, W.unboundedFollowing)
     out = [F.coalesce(F.sum("n").over(before), F.lit(0)).alias("cn"), F.last("last", True).over(before).alias("cp"), F.first("first", True).over(after).alias("cf")]
-    if len(parts) > 3:
+    if summed:
         out.append(m.monoid.agg(F.col("a")).over(before).alias("ca"))
     return t.select("block", *out)
 

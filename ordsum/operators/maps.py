@@ -6,10 +6,17 @@ Maps are immutable: every operation gives a new map over the same or new rows.
 
 The number of blocks is bounded by `MOST_BLOCKS`; the block table is therefore small by
 construction and may be broadcast, collected or windowed whole.
+
+A map that was read from a store (`ordsum.sources.store`) has a `Backing`: the table of its
+blocks with their stored summaries, and a reader of single blocks. Summaries, ranks,
+positions, slices and filters through summaries then read that table and open the blocks
+that a bound cuts, nothing else. A map without one computes the same from its rows.
 """
 
 from __future__ import annotations
 
+import math
+from bisect import bisect_right
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 from functools import reduce
@@ -22,7 +29,7 @@ from pyspark.sql.internal import InternalFunction
 
 from ordsum.functions.monoids import Monoid
 
-MOST_BLOCKS = 4096
+MOST_BLOCKS = 1 << 16
 Base = Callable[[Column, Column], Column]
 Conflict = Callable[[Column, Column], Column]
 
@@ -68,34 +75,81 @@ def block_of(k: Column, splitters: list) -> Column:
 
 @dataclass(frozen=True)
 class Layout:
-    """How keys are cut into blocks: by count, by fan-out, by fill or by a hash priority of keys."""
+    """How keys are cut into blocks: by count, by fan-out, by fill or by a hash priority of keys.
+
+    A map of fewer than `min_parallel_rows` rows is kept in one partition: no work is dealt out for it."""
 
     policy: str = "count"
     block_rows: int = 4096
     fanout: int = 16
+    min_parallel_rows: int = 0
 
-    def splitters(self, keys: DataFrame) -> list:
+    def wanted(self, n: int) -> int:
+        """How many blocks n rows make."""
+        if self.policy == "fill":
+            return max(1, -(-n // max(1, self.block_rows * 3 // 4)))
+        want = max(1, -(-n // self.block_rows))
+        return self.fanout ** max(0, round(math.log(want, self.fanout))) if self.policy == "fanout" and want > 1 else want
+
+    def opens(self, n: int) -> Column:
+        """Under the priority policy: whether key k begins a block, by its own hash alone, so that equal
+        contents give equal blocks whatever came before. The rate halves where blocks would be too many."""
+        every = self.block_rows
+        while n > every * MOST_BLOCKS // 2:
+            every *= 2
+        return F.pmod(F.xxhash64("k"), F.lit(every)) == 0
+
+    def sizes(self) -> tuple[int, int]:
+        """A block of a stored map is split above the second of these and joined to a neighbour below the first."""
+        return self.block_rows // 2, 2 * self.block_rows
+
+    def splitters(self, keys: DataFrame, n: int | None = None) -> list:
         """keys: column k, unique. Answers don't depend on the choice; sizes do."""
-        n = keys.count()
-        want = min(MOST_BLOCKS, max(1, -(-n // self.block_rows)))
+        n = keys.count() if n is None else n
+        if self.policy == "priority":
+            return sorted(r.k for r in keys.filter(self.opens(n)).collect()) if n > self.block_rows else []
+        want = min(MOST_BLOCKS, self.wanted(n))
         if want == 1:
             return []
-        if self.policy == "priority":  # a key opens a block by its own hash: equal contents, equal blocks
-            every = max(self.block_rows, -(-n // MOST_BLOCKS))
-            got = keys.filter(F.pmod(F.xxhash64("k"), F.lit(every)) == 0).orderBy(F.xxhash64("k")).limit(MOST_BLOCKS).collect()
-            return sorted((r.k for r in got))
-        if self.policy == "fanout":
-            want = min(MOST_BLOCKS, self.fanout ** max(1, round(__import__("math").log(want, self.fanout))))
-        if self.policy == "fill":
-            want = min(MOST_BLOCKS, max(1, -(-n // max(1, self.block_rows * 3 // 4))))
         # a bounded sample of keys in hash order; quantiles of it are the bounds
-        sample = sorted(r.k for r in keys.orderBy(F.xxhash64("k")).limit(min(n, 32 * want)).collect())
+        most = min(n, max(32 * min(want, 4096), 8 * want))
+        sample = sorted(r.k for r in keys.orderBy(F.xxhash64("k")).limit(most).collect())
         return sorted({sample[len(sample) * i // want] for i in range(1, want)})
 
 
+@dataclass(frozen=True)
+class Backing:
+    """A stored map's blocks. infos and table: block, cut (the splitter it begins at), lo, lov, hi, hiv, n, a, file; in key order."""
+
+    infos: list
+    table: DataFrame
+    open: Callable[[list], DataFrame]  # block numbers -> k, v, block
+    summed: bool = True  # whether `a` belongs to this map's monoid
+
+    def between(self, lo, hi, bounds: str) -> tuple[list, list]:
+        """Blocks that lie inside the bounds, and those that a bound cuts. None is no bound."""
+        whole, cut = [], []
+        for r in self.infos:
+            if not r.n or lo is not None and (r.hi < lo or r.hi == lo and bounds[0] == "(") or hi is not None and (r.lo > hi or r.lo == hi and bounds[1] == ")"):
+                continue
+            left = lo is None or r.lo > lo or r.lo == lo and bounds[0] == "["
+            right = hi is None or r.hi < hi or r.hi == hi and bounds[1] == "]"
+            (whole if left and right else cut).append(r.block)
+        return whole, cut
+
+
+def _within(lo, hi, bounds: str) -> Column:
+    k, ok = F.col("k"), F.lit(True)
+    if lo is not None:
+        ok = ok & (k >= lit_key(lo) if bounds[0] == "[" else k > lit_key(lo))
+    if hi is not None:
+        ok = ok & (k <= lit_key(hi) if bounds[1] == "]" else k < lit_key(hi))
+    return ok
+
+
 def _dedup(df: DataFrame, h: Conflict | None, tie: list[Column], monoid_sum: bool) -> DataFrame:
     if h is None:
-        first = F.min_by("v", F.struct(*tie)) if tie else F.first("v")
+        first = F.min_by("v", F.struct(*tie)) if tie else F.min("v")
         return df.groupBy("k").agg(first.alias("v"))
     rows = F.transform(F.array_sort(F.collect_list(F.struct(*tie, F.col("v").alias("__v")))), lambda x: x["__v"])
     tail = F.slice(rows, F.lit(2), F.greatest(F.size(rows), F.lit(1)))
@@ -109,12 +163,14 @@ class SummaryMap:
     monoid: Monoid | None = None
     base: Base = field(default=lambda k, v: v)
     layout: Layout = Layout()
+    stored: Backing | None = None
 
     # ---- building
 
     @staticmethod
     def build(df: DataFrame, key: Column | str, value: Column | str, monoid: Monoid | None = None, base: Base | None = None, h: Conflict | str | None = None, tie: list | None = None, layout: Layout = Layout(), null_keys: str = "error") -> "SummaryMap":
-        """From a sequence with repeated keys. h: None keeps the first by `tie`, "sum" adds, a function folds in tie order."""
+        """From a sequence with repeated keys. h: None keeps the first by `tie` (the least value where there is none),
+        "sum" adds, a function folds in tie order."""
         key, value = (F.col(x) if isinstance(x, str) else x for x in (key, value))
         tie = [F.col(x) if isinstance(x, str) else x for x in tie or []]
         names = [f"__t{i}" for i in range(len(tie))]
@@ -129,7 +185,9 @@ class SummaryMap:
         if isinstance(kind, (T.DoubleType, T.FloatType)):
             src = src.withColumn("k", F.col("k") + F.lit(0.0).cast(kind))  # -0.0 is 0.0
         unique = src.groupBy("k").agg(F.sum("v").cast(src.schema["v"].dataType).alias("v")) if h == "sum" else _dedup(src, h, [F.col(n) for n in names], False)
-        splitters = layout.splitters(unique.select("k"))
+        n = unique.count()
+        splitters = layout.splitters(unique.select("k"), n)
+        unique = unique.coalesce(1) if n < layout.min_parallel_rows else unique
         return SummaryMap(unique.withColumn("block", block_of(F.col("k"), splitters)), splitters, monoid, base or (lambda k, v: v), layout)
 
     @staticmethod
@@ -141,7 +199,20 @@ class SummaryMap:
         return SummaryMap(spark.range(1).select(lit_key(k).alias("k"), F.lit(v).alias("v"), F.lit(0).alias("block")), [], monoid)
 
     def with_rows(self, rows: DataFrame) -> "SummaryMap":
-        return replace(self, rows=rows.select("k", "v", block_of(F.col("k"), self.splitters).alias("block")))
+        return self._over(rows.select("k", "v", block_of(F.col("k"), self.splitters).alias("block")))
+
+    def _over(self, rows: DataFrame) -> "SummaryMap":
+        """The same kind of map over other rows."""
+        return replace(self, rows=rows, stored=None)
+
+    def opened(self, blocks: list) -> DataFrame:
+        """The rows of some blocks; of a stored map only their files are read."""
+        if self.stored is not None:
+            return self.stored.open(blocks)
+        return self.rows.filter(F.col("block").isin(blocks) if blocks else F.lit(False))
+
+    def _place(self, k) -> int:
+        return bisect_right(self.splitters, k)
 
     def entries(self, ordered: bool = False) -> DataFrame:
         out = self.rows.select("k", "v")
@@ -155,8 +226,13 @@ class SummaryMap:
     def _a(self) -> Column:
         return self.base(F.col("k"), F.col("v")).cast(self.monoid.dtype)
 
+    def _summed(self) -> bool:
+        return self.stored is not None and self.stored.summed
+
     def block_table(self) -> DataFrame:
-        """(block, lo, hi, n, a): one small row per block, by partial aggregation."""
+        """(block, lo, hi, n, a): one small row per block; stored, or by partial aggregation."""
+        if self.stored is not None and (self.monoid is None or self.stored.summed):
+            return self.stored.table.filter("n > 0").select("block", "lo", "hi", "n", *(["a"] if self.monoid else []))
         a = [self.monoid.fold(F.col("k"), self._a()).alias("a")] if self.monoid else []
         return self.rows.groupBy("block").agg(F.min("k").alias("lo"), F.max("k").alias("hi"), F.count("*").alias("n"), *a)
 
@@ -173,130 +249,200 @@ class SummaryMap:
 
     def summary(self) -> DataFrame:
         """One row (a): the whole map, the identity if it is empty. Folds block summaries."""
-        return self.block_table().agg(self.monoid.fold(F.col("block"), F.col("a")).alias("a")) if self.monoid.agg and self.monoid.commutative else self._fold_blocks(self.block_table())
+        return self._fold_blocks(self.block_table())
 
     def _fold_blocks(self, blocks: DataFrame) -> DataFrame:
         return blocks.agg(self.monoid.fold(F.col("block"), F.col("a")).alias("a"))
 
+    def _parts(self, lo, hi, bounds: str) -> DataFrame:
+        """(block, a) of what lies in the bounds: stored summaries of whole blocks, folds of the rows of cut ones."""
+        if not self._summed():
+            return self.range(lo, hi, bounds).block_table().select("block", "a")
+        whole, cut = self.stored.between(lo, hi, bounds)
+        out = self.stored.table.filter(F.col("block").between(whole[0], whole[-1]) & (F.col("n") > 0) if whole else F.lit(False)).select("block", "a")
+        if cut:
+            rows = self.stored.open(cut).filter(_within(lo, hi, bounds))
+            out = out.unionByName(rows.groupBy("block").agg(self.monoid.fold(F.col("k"), self._a()).alias("a")))
+        return out
+
     def summary_left(self, k, inclusive: bool = True) -> DataFrame:
-        return self.up_to(k, inclusive).summary()
+        return self._fold_blocks(self._parts(None, k, "[]" if inclusive else "[)"))
 
     def summary_right(self, k, inclusive: bool = True) -> DataFrame:
-        return self.down_to(k, inclusive).summary()
+        return self._fold_blocks(self._parts(k, None, "[]" if inclusive else "(]"))
 
     def summary_range(self, lo, hi, bounds: str = "[]") -> DataFrame:
-        return self.range(lo, hi, bounds).summary()
+        return self._fold_blocks(self._parts(lo, hi, bounds))
 
     def summary_filter(self, h: Callable[[Column], Column], all_h: Callable[[Column], Column] | None = None) -> "SummaryMap":
         """Rows whose own summary satisfies h, from blocks whose summary does.
 
         h must pass through the combine (`check_or_homomorphic`). Blocks on which all_h holds
-        are taken whole."""
-        blocks = self.block_table().filter(h(F.col("a")))
-        keep = blocks.select("block", (all_h(F.col("a")) if all_h else F.lit(False)).alias("whole"))
-        rows = self.rows.join(F.broadcast(keep), "block").filter(F.col("whole") | h(self._a()))
-        return replace(self, rows=rows.select("k", "v", "block"))
+        are taken whole. Of a stored map only the blocks that satisfy h are read."""
+        keep = self.block_table().filter(h(F.col("a"))).select("block", (all_h(F.col("a")) if all_h else F.lit(False)).alias("whole"))
+        if not self._summed():  # nothing is stored that could spare a row: one pass over them
+            return self._over(self.rows.filter(h(self._a())))
+        found = keep.collect()  # bounded by the number of blocks
+        rows = self.stored.open([r.block for r in found if not r.whole]).filter(h(self._a()))
+        whole = [r.block for r in found if r.whole]
+        return self._over(rows.unionByName(self.stored.open(whole)) if whole else rows)
 
     def summary_project(self, g: Callable[[Column], Column], m2: Monoid, lo, hi) -> DataFrame:
-        """g of the range's summary, without combining the big summaries: g first, then m2."""
-        part = self.range(lo, hi).block_table()
-        return part.agg(m2.fold(F.col("block"), g(F.col("a"))).alias("a"))
+        """g of the range's summary, without combining the big summaries: g of each part first, then m2."""
+        return self._parts(lo, hi, "[]").agg(m2.fold(F.col("block"), g(F.col("a"))).alias("a"))
 
     # ---- points and slices
 
     def size(self) -> DataFrame:
+        if self.stored is not None:
+            return self.stored.table.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
         return self.rows.agg(F.count("*").alias("n"))
 
     def find(self, k) -> DataFrame:
-        b = block_of(lit_key(k), self.splitters)
-        return self.rows.filter((F.col("block") == b) & (F.col("k") == lit_key(k))).select("k", "v")
+        return self.opened([self._place(k)]).filter(F.col("k") == lit_key(k)).select("k", "v")
+
+    def _near(self, blocks: list) -> DataFrame:
+        """Rows of the first block of the list that has any (and of an earlier one that may have the answer)."""
+        return self.stored.open(blocks) if self.stored is not None else self.rows
 
     def first(self) -> DataFrame:
-        return self.rows.orderBy("k").limit(1).select("k", "v")
+        return self._near(self._filled()[:1]).orderBy("k").limit(1).select("k", "v")
 
     def last(self) -> DataFrame:
-        return self.rows.orderBy(F.desc("k")).limit(1).select("k", "v")
+        return self._near(self._filled()[-1:]).orderBy(F.desc("k")).limit(1).select("k", "v")
+
+    def _filled(self) -> list:
+        return [r.block for r in self.stored.infos if r.n] if self.stored is not None else []
 
     def next(self, k) -> DataFrame:
-        return self.rows.filter(F.col("k") > lit_key(k)).orderBy("k").limit(1).select("k", "v")
+        """Opens one block: that of the first stored greatest key above k."""
+        at = [r.block for r in self.stored.infos if r.n and r.hi > k][:1] if self.stored is not None else []
+        return self._near(at).filter(F.col("k") > lit_key(k)).orderBy("k").limit(1).select("k", "v")
 
     def prev(self, k) -> DataFrame:
-        return self.rows.filter(F.col("k") < lit_key(k)).orderBy(F.desc("k")).limit(1).select("k", "v")
+        at = [r.block for r in self.stored.infos if r.n and r.lo < k][-1:] if self.stored is not None else []
+        return self._near(at).filter(F.col("k") < lit_key(k)).orderBy(F.desc("k")).limit(1).select("k", "v")
 
     def rank(self, k) -> DataFrame:
         """How many keys are smaller."""
-        return self.rows.agg(F.count(F.when(F.col("k") < lit_key(k), 1)).alias("r"))
+        if self.stored is None:
+            return self.rows.agg(F.count(F.when(F.col("k") < lit_key(k), 1)).alias("r"))
+        whole, cut = self.stored.between(None, k, "[)")
+        before = sum(r.n for r in self.stored.infos[: max(whole, default=-1) + 1])
+        return self.stored.open(cut).filter(F.col("k") < lit_key(k)).agg((F.count("*") + F.lit(before)).alias("r"))
 
     def ranked(self) -> DataFrame:
         """(k, v, block, r): 0-based ranks from block counts and a window inside each block."""
-        counts = self.rows.groupBy("block").agg(F.count("*").alias("n"))
+        counts = self.block_table().select("block", "n")
         # at most MOST_BLOCKS rows
         before = counts.select("block", (F.sum("n").over(W.orderBy("block").partitionBy(F.lit(0))) - F.col("n")).alias("before"))
         inside = F.row_number().over(W.partitionBy("block").orderBy("k")) - 1
         return self.rows.withColumn("__r", inside).join(F.broadcast(before), "block").select("k", "v", "block", (F.col("before") + F.col("__r")).alias("r"))
 
     def select(self, i: int) -> DataFrame:
-        return self.ranked().filter(F.col("r") == i).select("k", "v")
+        if self.stored is None:
+            return self.ranked().filter(F.col("r") == i).select("k", "v")
+        for r in self.stored.infos:
+            if 0 <= i < r.n:
+                return self.stored.open([r.block]).orderBy("k").offset(i).limit(1).select("k", "v")
+            i -= r.n
+        return self.stored.open([]).select("k", "v")
 
     def up_to(self, k, inclusive: bool = True) -> "SummaryMap":
-        k = lit_key(k)
-        return replace(self, rows=self.rows.filter((F.col("k") <= k if inclusive else F.col("k") < k) & (F.col("block") <= block_of(k, self.splitters))))
+        return self.range(None, k, "[]" if inclusive else "[)")
 
     def down_to(self, k, inclusive: bool = True) -> "SummaryMap":
-        k = lit_key(k)
-        return replace(self, rows=self.rows.filter((F.col("k") >= k if inclusive else F.col("k") > k) & (F.col("block") >= block_of(k, self.splitters))))
+        return self.range(k, None, "[]" if inclusive else "(]")
 
     def range(self, lo, hi, bounds: str = "[]") -> "SummaryMap":
-        return self.down_to(lo, bounds[0] == "[").up_to(hi, bounds[1] == "]")
+        """Entries between the bounds; None is no bound. Of a stored map only blocks that reach into them are read."""
+        if self.stored is not None:
+            whole, cut = self.stored.between(lo, hi, bounds)
+            return self._over(self.stored.open(sorted(whole + cut)).filter(_within(lo, hi, bounds)))
+        near = F.lit(True)
+        if lo is not None:
+            near = near & (F.col("block") >= self._place(lo))
+        if hi is not None:
+            near = near & (F.col("block") <= self._place(hi))
+        return self._over(self.rows.filter(near & _within(lo, hi, bounds)))
 
     def split(self, k) -> tuple["SummaryMap", DataFrame, "SummaryMap"]:
         return self.up_to(k, False), self.find(k), self.down_to(k, False)
 
     def decompose(self) -> tuple["SummaryMap", DataFrame, "SummaryMap"]:
         """Left half, middle entry, right half: what a tree's root would give."""
-        n = self.rows.count()
+        n = self.size().first().n
         mid = self.select(n // 2)
         k = mid.first().k
         return self.up_to(k, False), mid, self.down_to(k, False)
 
     # ---- updates and algebra
 
+    def _one(self, k, v) -> DataFrame:
+        kinds = self.rows.schema
+        return self.rows.sparkSession.range(1).select(lit_key(k).cast(kinds["k"].dataType).alias("k"), F.lit(v).cast(kinds["v"].dataType).alias("v"))
+
+    def _beside(self, blocks: list) -> DataFrame:
+        """All rows but those of some blocks."""
+        if self.stored is not None:
+            there = set(blocks)
+            return self.stored.open([r.block for r in self.stored.infos if r.block not in there])
+        return self.rows.filter(~F.col("block").isin(blocks))
+
     def insert(self, k, v, h: Conflict | None = None) -> "SummaryMap":
-        one = self.rows.sparkSession.range(1).select(lit_key(k).cast(self.rows.schema["k"].dataType).alias("k"), F.lit(v).cast(self.rows.schema["v"].dataType).alias("v"))
-        return self.insert_many(one, h)
+        """One entry: only its block is joined, the others pass by."""
+        at = [self._place(k)]
+        return self.with_rows(self._beside(at).select("k", "v").unionByName(_merged(self.opened(at), self._one(k, v), h)))
 
     def delete(self, k) -> "SummaryMap":
-        return replace(self, rows=self.rows.filter(F.col("k") != lit_key(k)))
+        return self._over(self.rows.filter(F.col("k") != lit_key(k)))
 
     def insert_many(self, batch: DataFrame, h: Conflict | None = None) -> "SummaryMap":
-        """Rows of `batch` (k, v; unique) over the map's: the new value wins, or h(old, new)."""
-        b = batch.select("k", F.col("v").alias("w"), F.lit(True).alias("there"))
-        both = self.rows.select("k", "v", F.lit(True).alias("here")).join(b, "k", "full_outer")
-        return self.with_rows(both.select("k", _meet("here", "there", "v", "w", h or (lambda old, new: new))))
+        """Rows of `batch` (k, v; unique) over the map's: the new value wins, or h(old, new).
+
+        Of a stored map the blocks that the batch touches are merged; if these are fewer than half, the others
+        are only passed on, unsorted and unshuffled."""
+        if self.stored is not None:
+            touched = self.touched(batch)
+            if 2 * len(touched) <= len(self.stored.infos):
+                return self.with_rows(self._beside(touched).select("k", "v").unionByName(_merged(self.opened(touched), batch, h)))
+        return self.with_rows(_merged(self.rows, batch, h))
+
+    def touched(self, keys: DataFrame) -> list:
+        """Blocks that the keys fall in; at most as many numbers as there are blocks."""
+        return sorted(r.b for r in keys.select(block_of(F.col("k").cast(self.rows.schema["k"].dataType), self.splitters).alias("b")).distinct().collect())
 
     def delete_many(self, keys: DataFrame) -> "SummaryMap":
-        return replace(self, rows=self.rows.join(keys.select("k"), "k", "left_anti").select("k", "v", "block"))
+        return self._over(self.rows.join(keys.select("k"), "k", "left_anti").select("k", "v", "block"))
 
     def filter(self, pred: Callable[[Column, Column], Column]) -> "SummaryMap":
-        return replace(self, rows=self.rows.filter(pred(F.col("k"), F.col("v"))))
+        return self._over(self.rows.filter(pred(F.col("k"), F.col("v"))))
 
     def map_values(self, fn: Base) -> "SummaryMap":
-        return replace(self, rows=self.rows.select("k", fn(F.col("k"), F.col("v")).alias("v"), "block"))
+        return self._over(self.rows.select("k", fn(F.col("k"), F.col("v")).alias("v"), "block"))
 
     def map_reduce(self, base: Base, monoid: Monoid) -> DataFrame:
-        return replace(self, base=base, monoid=monoid).summary()
+        return replace(self, base=base, monoid=monoid, stored=None).summary()
 
     def reduce_values(self, monoid: Monoid) -> DataFrame:
         return self.map_reduce(lambda k, v: v, monoid)
 
 
+def _merged(rows: DataFrame, batch: DataFrame, h: Conflict | None) -> DataFrame:
+    b = batch.select("k", F.col("v").alias("w"), F.lit(True).alias("there"))
+    both = rows.select("k", "v", F.lit(True).alias("here")).join(b, "k", "full_outer")
+    return both.select("k", _meet("here", "there", "v", "w", h or (lambda old, new: new)))
+
+
 def _meet(here: str, there: str, v: str, w: str, h: Conflict) -> Column:
     return F.when(F.col(here).isNull(), F.col(w)).when(F.col(there).isNull(), F.col(v)).otherwise(h(F.col(v), F.col(w))).alias("v")
 
 
 def union(a: SummaryMap, b: SummaryMap, h: Conflict | None = None) -> SummaryMap:
-    """Keys of either. The left value wins, or h(left, right)."""
-    return b.insert_many(a.entries(), lambda right, left: h(left, right) if h else left) if len(b.splitters) > len(a.splitters) else a.insert_many(b.entries(), h or (lambda left, right: left))
+    """Keys of either. The left value wins, or h(left, right). The result is a map of a's kind, cut as the finer of the two."""
+    if a.stored is None and len(b.splitters) > len(a.splitters):
+        return replace(a, splitters=b.splitters).with_rows(_merged(a.rows, b.entries(), h or (lambda left, right: left)))
+    return a.insert_many(b.entries(), h or (lambda left, right: left))
 
 
 def union_commutative(a: SummaryMap, b: SummaryMap, monoid: Monoid) -> SummaryMap:
@@ -307,9 +453,9 @@ def union_commutative(a: SummaryMap, b: SummaryMap, monoid: Monoid) -> SummaryMa
 
 def intersect(a: SummaryMap, b: SummaryMap, h: Conflict | None = None) -> SummaryMap:
     if h is None:
-        return replace(a, rows=a.rows.join(b.rows.select("k"), "k", "left_semi").select("k", "v", "block"))
+        return a._over(a.rows.join(b.rows.select("k"), "k", "left_semi").select("k", "v", "block"))
     both = a.rows.join(b.rows.select("k", F.col("v").alias("w")), "k")
-    return replace(a, rows=both.select("k", h(F.col("v"), F.col("w")).alias("v"), "block"))
+    return a._over(both.select("k", h(F.col("v"), F.col("w")).alias("v"), "block"))
 
 
 def difference(a: SummaryMap, b: SummaryMap) -> SummaryMap:
@@ -340,8 +486,9 @@ def _beside(left: SummaryMap, right: SummaryMap, middle: DataFrame | None) -> Su
     rows = left.entries().unionByName(right.entries())
     if middle is not None:
         rows = rows.unionByName(middle.select(F.col("k").cast(left.rows.schema["k"].dataType).alias("k"), F.col("v").cast(left.rows.schema["v"].dataType).alias("v")))
-    out = replace(left, splitters=sorted({*left.splitters, *right.splitters})[: MOST_BLOCKS - 1])
-    return out.with_rows(rows)
+    cuts = sorted({*left.splitters, *right.splitters})
+    cuts = cuts[:: -(-len(cuts) // (MOST_BLOCKS - 1)) or 1]  # thinned evenly where they are too many
+    return replace(left, splitters=cuts).with_rows(rows)
 
 
 def build_by_unions(parts: list[SummaryMap], h: Conflict | None = None) -> SummaryMap:

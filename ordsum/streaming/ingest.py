@@ -11,13 +11,23 @@ from pyspark.sql import functions as F
 from ordsum.sources.store import VersionStore
 
 
-def ingest(stream: DataFrame, store: VersionStore, checkpoint: str, h=None):
-    """Each micro-batch (k, v) becomes one version; a replayed batch changes nothing."""
+def ingest(stream: DataFrame, store: VersionStore, checkpoint: str, h=None, order: str | None = None):
+    """Each micro-batch (k, v) becomes one version; a replayed batch changes nothing.
+
+    Repeated keys of a batch are folded by h in the order of column `order` (of the values, where none
+    is named); without h the last of that order stays. Batches are known by the checkpoint's place and
+    their number, so a second stream, or one begun anew with another checkpoint, is not taken for a replay."""
+    last = order or "v"
 
     def one(batch: DataFrame, batch_id: int) -> None:
-        rows = batch.groupBy("k").agg(F.max("v").alias("v"))
+        if h is None:
+            rows = batch.groupBy("k").agg(F.max_by("v", F.struct(last, "v")).alias("v"))
+        else:
+            listed = F.transform(F.array_sort(F.collect_list(F.struct(F.col(last).alias("o"), "v"))), lambda x: x["v"])
+            tail = F.slice(listed, F.lit(2), F.greatest(F.size(listed), F.lit(1)))
+            rows = batch.groupBy("k").agg(F.aggregate(tail, F.element_at(listed, 1), lambda s, x: h(s, x)).alias("v"))
         if not rows.isEmpty():
-            store.insert_many(rows, h, tag=f"batch-{batch_id}")
+            store.insert_many(rows, h, tag=(checkpoint, batch_id))
 
     return stream.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

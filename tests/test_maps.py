@@ -110,8 +110,122 @@ def test_store_versions(spark, tmp_path):
     with pytest.raises(ConflictError):
         st._publish(v1, {})
     assert st.insert_many(add(8, 8), tag="x") == st.insert_many(add(8, 8), tag="x")
+    assert st.insert_many(add(6, 60), tag=("s", 4)) == 4 and st.insert_many(add(6, 61), tag=("s", 3)) == 4
+    assert st.delete_many(add(6, 0)) == 5
     st.expire(1)
-    assert st.versions() == [3] and st.snapshot().size().first().n == 7
+    assert st.versions() == [5] and st.snapshot().size().first().n == 7
+
+
+STORED = [(k, 7 * k % 31 - 9) for k in range(0, 60, 2)]
+
+
+@pytest.fixture(scope="module")
+def stored(spark, tmp_path_factory):
+    st = VersionStore(spark, str(tmp_path_factory.mktemp("store")), Layout(block_rows=4, fanout=2))
+    st.commit(make(spark, STORED, rows_per=4))
+    return st
+
+
+def files_read(df):
+    """Data files that a plan reads."""
+    return {f.rsplit("/data/", 1)[1] for f in df.inputFiles() if "/data/" in f}
+
+
+def test_stored_summaries_open_cut_blocks_only(spark, stored):
+    m = stored.snapshot()
+    blocks = len(m.splitters) + 1
+    assert blocks >= 6
+    for lo, hi, bounds in ((5, 41, "[]"), (4, 40, "()"), (8, 8, "[]"), (50, 3, "[]"), (-5, 100, "[]"), (0, 58, "(]")):
+        inside = sum(v for k, v in STORED if (lo <= k if bounds[0] == "[" else lo < k) and (k <= hi if bounds[1] == "]" else k < hi))
+        got = m.summary_range(lo, hi, bounds)
+        assert got.first().a == inside and len(files_read(got)) <= 2
+    assert not files_read(m.summary()) and m.summary().first().a == sum(v for _, v in STORED)
+    assert m.summary_left(11).first().a == sum(v for k, v in STORED if k <= 11) and len(files_read(m.summary_left(11))) <= 1
+    assert m.summary_right(11, False).first().a == sum(v for k, v in STORED if k > 11)
+    row = lambda df: [tuple(r) for r in df.collect()]
+    for df, want in ((m.first(), STORED[:1]), (m.last(), STORED[-1:]), (m.next(11), [(12, STORED[6][1])]), (m.next(58), []), (m.prev(12), [STORED[5]]), (m.prev(0), []), (m.find(12), [STORED[6]]),
+                     (m.find(13), []), (m.select(0), STORED[:1]), (m.select(17), [STORED[17]]), (m.select(30), []), (m.rank(13), [(7,)]), (m.rank(-1), [(0,)]), (m.rank(99), [(30,)]), (m.size(), [(30,)])):
+        assert row(df) == want and len(files_read(df)) <= 1
+    q = spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate([(-3, 7), (5, 41), (60, 70), (9, 2), (0, 58)])], "qid bigint, lo bigint, hi bigint")
+    want = {r.qid: sum(v for k, v in STORED if r.lo <= k <= r.hi) for r in q.collect()}
+    for strategy in ("prefix", "canonical"):
+        assert dict(row(R.range_summaries(m, q, strategy))) == want
+    assert sorted(row(m.range(5, 41).entries())) == [x for x in STORED if 5 <= x[0] <= 41]
+    assert m.decompose()[1].first().k == 30
+
+
+def test_stored_filter_reads_the_blocks_that_qualify(spark, tmp_path):
+    rows = [(k, 1000 if k in (7, 41) else k % 5) for k in range(64)]
+    st = VersionStore(spark, str(tmp_path), Layout(block_rows=8))
+    st.commit(make(spark, rows, M.max_(), 8))
+    got = st.snapshot().summary_filter(lambda a: a > 100).entries()
+    assert sorted(map(tuple, got.collect())) == [(7, 1000), (41, 1000)] and len(files_read(got)) == 2
+    both = M.product(hi=M.max_(), lo=M.min_())
+    st.commit(make(spark, rows, both, 8, base=lambda k, v: F.struct(v.alias("hi"), v.alias("lo"))))
+    got = st.snapshot().summary_filter(lambda a: a["hi"] >= 0, lambda a: a["lo"] >= 0)
+    assert got.entries().count() == 64
+
+
+@pytest.mark.parametrize("policy", ["count", "fill", "fanout", "priority"])
+def test_blocks_keep_their_size(spark, tmp_path, policy):
+    """After many inserts and deletes: the same rows and summaries as a map built at once, and blocks within bounds."""
+    st = VersionStore(spark, str(tmp_path), Layout(policy, 64, 4))
+    st.commit(SummaryMap.build(spark.range(100).select(F.col("id").alias("k"), F.col("id").alias("v")), "k", "v", M.sum_(), layout=st.layout))
+    some = lambda a, b, step=1: spark.range(a, b, step).select(F.col("id").alias("k"), (F.col("id") * 3).alias("v"))
+    st.insert_many(some(1000, 6000))
+    st.insert_many(some(0, 400), lambda old, new: old + new)
+    v = st.delete_many(some(1500, 5900))
+    want = {k: k * 4 if k < 100 else k * 3 for k in [*range(400), *range(1000, 1500), *range(5900, 6000)]}
+    m = st.snapshot()
+    assert dict(map(tuple, m.entries().collect())) == want and m.summary().first().a == sum(want.values())
+    infos = m.stored.infos
+    assert [i.block for i in infos] == list(range(len(infos))) and [i.cut for i in infos[1:]] == sorted(i.cut for i in infos[1:])
+    for i in infos:
+        inside = sorted(k for k in want if (i.cut is None or i.cut <= k) and (i.block + 1 == len(infos) or k < infos[i.block + 1].cut))
+        assert i.n == len(inside) and (not inside or (i.lo, i.hi, i.a) == (inside[0], inside[-1], sum(want[k] for k in inside)))
+    if policy == "priority":  # equal contents, equal blocks
+        built = SummaryMap.build(m.entries(), "k", "v", layout=st.layout)
+        assert built.splitters == m.splitters
+    else:
+        assert all(i.n <= 2 * 64 + 32 for i in infos) and sum(i.n < 32 for i in infos) <= 1
+    before = st.sharing([v])[0]
+    v2 = st.insert_many(some(5990, 5991))
+    assert st.sharing([v, v2])[1] <= before + 2  # the touched block, and a neighbour at most, are new
+
+
+def test_stored_keys_of_any_kind(spark, tmp_path):
+    import datetime
+
+    day = [datetime.date(2024, 1, 1) + datetime.timedelta(days=i) for i in range(20)]
+    for n, keys in enumerate((day, [f"key {i:02}" for i in range(20)], [Row(a=i // 3, b=f"x{i:02}") for i in range(20)])):
+        st = VersionStore(spark, str(tmp_path / str(n)), Layout(block_rows=4))
+        st.commit(SummaryMap.build(spark.createDataFrame([(k, i) for i, k in enumerate(keys)], "k struct<a:bigint,b:string>, v bigint" if n == 2 else None).toDF("k", "v"), "k", "v", M.sum_(), layout=st.layout))
+        m = st.snapshot()
+        assert m.summary_range(keys[3], keys[11]).first().a == sum(range(3, 12)) and m.rank(keys[7]).first().r == 7
+        one = spark.createDataFrame([(keys[5], 500)], m.rows.select("k", "v").schema)
+        st.insert_many(one)
+        assert st.snapshot().find(keys[5]).first().v == 500
+
+
+def test_union_keeps_the_left_maps_kind(spark):
+    many = SummaryMap.build(spark.range(1000).select(F.col("id").alias("k"), F.col("id").alias("v")), "k", "v", layout=Layout(block_rows=50))
+    got = union(make(spark), many)
+    assert got.monoid.name == "sum" and got.layout == make(spark).layout and got.summary().first().a == sum(range(1000)) - 25 + 250
+
+
+def test_streams_fold_and_are_told_apart(spark, tmp_path):
+    from ordsum.streaming.ingest import ingest
+
+    st = VersionStore(spark, str(tmp_path / "store"))
+    st.commit(make(spark))
+    for n, rows in enumerate(([(1, 5), (1, 7)], [(3, 1)])):
+        folder = str(tmp_path / f"in{n}")
+        spark.createDataFrame(rows, "k bigint, v bigint").coalesce(1).write.parquet(folder)
+        stream = spark.readStream.schema("k bigint, v bigint").parquet(folder)
+        for _ in range(2):  # the second run finds nothing new
+            ingest(stream, st, str(tmp_path / f"at{n}"), lambda old, new: old + new).awaitTermination()
+    got = dict(map(tuple, st.snapshot().entries().collect()))
+    assert got[1] == 10 + 12 and got[3] == 31 and st.snapshot().summary().first().a == 250 + 13
 
 
 def test_plans_have_no_nested_loops(spark):
