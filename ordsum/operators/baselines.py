@@ -51,13 +51,23 @@ def hash_get_many(store: DataFrame, q: DataFrame, buckets: int = 64) -> DataFram
     return q.withColumn("bucket", F.pmod(F.xxhash64("k"), F.lit(buckets))).join(store, ["bucket", "k"], "left").select("k", "v")
 
 
+#: Rows of a query set that a nested loop may send to every task.
+MOST_ASKED = 1_000_000
+
+
+def _asked(q: DataFrame) -> DataFrame:
+    if q.limit(MOST_ASKED + 1).count() > MOST_ASKED:
+        raise ValueError(f"a nested loop is for {MOST_ASKED} queries at most")
+    return F.broadcast(q)
+
+
 def rect_scan(points: DataFrame, q: DataFrame) -> DataFrame:
     cond = (F.col("x") >= F.col("xl")) & (F.col("x") <= F.col("xr")) & (F.col("y") >= F.col("yl")) & (F.col("y") <= F.col("yr"))
-    return F.broadcast(q).join(points, cond).select("qid", "id", "w")
+    return _asked(q).join(points, cond).select("qid", "id", "w")
 
 
 def interval_nlj(intervals: DataFrame, points: DataFrame) -> DataFrame:
-    return F.broadcast(points).join(intervals, (F.col("lo") < F.col("p")) & (F.col("p") < F.col("hi"))).select("pid", "p", "id")
+    return _asked(points).join(intervals, (F.col("lo") < F.col("p")) & (F.col("p") < F.col("hi"))).select("pid", "p", "id")
 
 
 def topk_fullsort(matches: DataFrame, k: int) -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ordsum.functions.monoids import count, max_
 from ordsum.operators.batch import asof
-from ordsum.operators.maps import Layout, SummaryMap
+from ordsum.operators.maps import Layout, SummaryMap, union
 
 
 def stab_pairs(intervals: DataFrame, points: DataFrame) -> DataFrame:
@@ -85,6 +85,17 @@ class IntervalMap:
         one = self.source.sparkSession.range(1).select(F.lit(id_).cast(self.source.schema["id"].dataType).alias("id"), F.lit(lo).cast("bigint").alias("lo"), F.lit(hi).cast("bigint").alias("hi"))
         return IntervalMap(self.source.unionByName(one), self.by_lo.insert(lo, hi, lambda old, new: F.greatest(old, new)))
 
+    def delete(self, ids: DataFrame) -> "IntervalMap":
+        """Without the intervals of these ids. Only left ends that lose one are summed up anew."""
+        gone = self.source.join(ids.select("id"), "id", "left_semi").select("lo").distinct()
+        rest = self.source.join(ids.select("id"), "id", "left_anti")
+        anew = rest.join(gone, "lo", "left_semi").groupBy(F.col("lo").alias("k")).agg(F.max("hi").alias("v"))
+        return IntervalMap(rest, self.by_lo.delete_many(gone.select(F.col("lo").alias("k"))).insert_many(anew))
+
+    def union(self, other: "IntervalMap") -> "IntervalMap":
+        """Intervals of both; of equal left ends the greater right end is kept in the map."""
+        return IntervalMap(self.source.unionByName(other.source), union(self.by_lo, other.by_lo, lambda a, b: F.greatest(a, b)))
+
     def drop_shorter(self, least: int) -> DataFrame:
         return self.source.filter(F.col("hi") - F.col("lo") >= least)
 

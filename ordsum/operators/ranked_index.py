@@ -44,6 +44,10 @@ class RankedIndex:
         """triples: term, doc_id, w; weights of a pair that comes more than once are combined by h."""
         return RankedIndex(triples.groupBy("term", "doc_id").agg((F.sum if h == "sum" else F.max)("w").cast("bigint").alias("w")))
 
+    def clustered(self) -> DataFrame:
+        """The postings as they should lie on disk: sorted by term and document, common terms over several files."""
+        return self.postings.repartitionByRange("term", "doc_id").sortWithinPartitions("term", "doc_id")
+
     def terms(self) -> DataFrame:
         return self.postings.groupBy("term").agg(F.count("*").alias("df"), F.sum("w").alias("sum_w"), F.max("w").alias("max_w"))
 

@@ -1,17 +1,23 @@
 """Weighted points in the plane: an outer order by x whose nodes hold their points by y.
 
-The nested map is one flat table (level, node, ybucket, y, w): level 0 nodes are blocks of
-points by x, a node of a higher level has `fanout` nodes below it. A query's x-range is a
-few whole nodes and two boundary blocks; in each node its y-range is a few whole y-buckets,
-summed beforehand, and two boundary buckets. Bounds are closed.
+The nested map is one flat table (level, node, child, yb, y, w), kept on disk where the index
+is stored: level 0 nodes are blocks of points by x, a node of a higher level has `fanout`
+nodes below it. Bounds are closed.
+
+Sums (any monoid with an inverse) go by dominance: the four corners of each rectangle ask
+for all that lies at or below them, a corner's blocks before its own are some children of
+one node on each level, and in each node one sorted pass by y, cut into y-buckets with
+carried sums, answers every corner at once. Other monoids take the few whole nodes under an
+x-range, in each the few whole y-buckets, summed beforehand, and two boundary buckets.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from ordsum.functions.monoids import Monoid, sum_
 from ordsum.operators.batch import _depth, cover
@@ -24,6 +30,7 @@ class RectIndex:
     outer: SummaryMap  # x -> points of that x
     y_splitters: list
     depth: int
+    nested: DataFrame | None = None  # the levels, where they are stored
 
     @staticmethod
     def build(df: DataFrame, layout: Layout = Layout(block_rows=256, fanout=8), y_rows: int = 2048) -> "RectIndex":
@@ -33,16 +40,67 @@ class RectIndex:
         ys = Layout(block_rows=y_rows).splitters(src.select(F.col("y").alias("k")))
         return RectIndex(src.withColumn("block", block_of(F.col("x"), outer.splitters)), outer, ys, _depth(outer))
 
+    def store(self, path: str) -> "RectIndex":
+        """The same index with its points and inner maps on disk, in the order in which queries meet them."""
+        spark = self.points.sparkSession
+        self.points.repartition("block").sortWithinPartitions("block", "y").write.parquet(f"{path}/points")
+        self.levels().repartition("level", "node", "yb").sortWithinPartitions("level", "node", "yb", "y").write.parquet(f"{path}/levels")
+        return replace(self, points=spark.read.parquet(f"{path}/points"), nested=spark.read.parquet(f"{path}/levels"))
+
+    def _at(self, block, level: int):
+        return F.floor(block / F.lit(self.outer.layout.fanout**level)).cast("bigint")
+
     def levels(self) -> DataFrame:
-        """(level, node, yb, y, w): every point once per level, straight from the points."""
+        """(level, node, child, yb, y, w): every point once per level; child is its node one level below, within this one."""
+        if self.nested is not None:
+            return self.nested
+        f, b = self.outer.layout.fanout, F.col("block")
+        nodes = [F.struct(F.lit(d).alias("level"), self._at(b, d).alias("node"), (self._at(b, max(0, d - 1)) % f).cast("int").alias("child")) for d in range(self.depth + 1)]
+        out = self.points.select("y", "w", block_of(F.col("y"), self.y_splitters).cast("int").alias("yb"), F.explode(F.array(*nodes)).alias("c"))
+        return out.select("c.level", "c.node", "c.child", "yb", "y", "w")
+
+    def sums_many(self, q: DataFrame) -> DataFrame:
+        """q: qid, xl, xr, yl, yr. (qid, a): the weights' sum inside each rectangle, by dominance of its corners."""
         f = self.outer.layout.fanout
-        nodes = F.array(*[F.struct(F.lit(d).alias("level"), F.floor(F.col("block") / F.lit(f**d)).cast("bigint").alias("node")) for d in range(self.depth + 1)])
-        out = self.points.select("y", "w", block_of(F.col("y"), self.y_splitters).alias("yb"), F.explode(nodes).alias("c"))
-        return out.select("c.level", "c.node", "yb", "y", "w")
+        corner = lambda x, y, s: F.struct(F.expr(x).cast("bigint").alias("x"), F.expr(y).cast("bigint").alias("y"), F.lit(s).alias("s"))
+        four = F.array(corner("xr", "yr", 1), corner("xl - 1", "yr", -1), corner("xr", "yl - 1", -1), corner("xl - 1", "yl - 1", 1))
+        asked = q.filter("xl <= xr and yl <= yr").select("qid", F.explode(four).alias("c")).select("qid", "c.*")
+        asked = asked.withColumns({"block": block_of(F.col("x"), self.outer.splitters), "yb": block_of(F.col("y"), self.y_splitters).cast("int")})
+        # the blocks before a corner's own: on each level the children before its own of the node that holds it
+        b = F.col("block")
+        steps = [F.struct(F.lit(d).alias("level"), self._at(b, d).alias("node"), (self._at(b, d - 1) % f).cast("int").alias("child")) for d in range(1, self.depth + 1)]
+        none, total = F.lit(None), F.lit(None).cast("bigint")
+        if steps:
+            steps = asked.select("qid", "s", "yb", "y", F.explode(F.array(*steps)).alias("c")).filter("c.child > 0")
+            steps = steps.select("c.level", "c.node", "c.child", "yb", "y", "qid", "s", total.alias("w"))
+            rows = self.levels().filter("level > 0").select("level", "node", "child", "yb", "y", none.cast("bigint").alias("qid"), none.cast("int").alias("s"), "w")
+            before = [F.when(F.col("child") < j, F.col("w")) for j in range(1, f)]
+            names = [f"p{j}" for j in range(1, f)]
+            # whole y-buckets below: sums of each, carried
+            cells = rows.groupBy("level", "node", "yb").agg(*[F.sum(x).alias(n) for x, n in zip(before, names)])
+            # a corner may stand in a bucket without points: it takes the carry of the last bucket at or before it
+            cell = cells.unionByName(steps.select("level", "node", "yb").distinct(), allowMissingColumns=True).groupBy("level", "node", "yb").agg(*[F.sum(n).alias(n) for n in names])
+            upto = W.partitionBy("level", "node").orderBy("yb").rowsBetween(W.unboundedPreceding, -1)
+            carry = cell.select("level", "node", "yb", *[F.coalesce(F.sum(n).over(upto), F.lit(0)).alias(f"c{n}") for n in names])
+            inside = W.partitionBy("level", "node", "yb").orderBy("y", F.col("qid").isNotNull()).rowsBetween(W.unboundedPreceding, 0)
+            run = rows.unionByName(steps).select("level", "node", "yb", "child", "qid", "s", *[F.coalesce(F.sum(F.when(F.col("qid").isNull(), x)).over(inside), F.lit(0)).alias(n) for x, n in zip(before, names)])
+            got = run.filter("qid is not null").join(carry, ["level", "node", "yb"])
+            pick = F.element_at(F.array(*[F.col(n) + F.col(f"c{n}") for n in names]), F.col("child"))
+            whole = got.select("qid", (pick * F.col("s")).alias("a"))
+        else:
+            whole = asked.select("qid", F.lit(0).cast("bigint").alias("a")).limit(0)
+        own = asked.join(self.points.select("block", F.col("x").alias("px"), F.col("y").alias("py"), "w"), "block").filter("px <= x and py <= y")
+        parts = whole.unionByName(own.groupBy("qid").agg(F.sum(F.col("w") * F.col("s")).alias("a")))
+        out = parts.groupBy("qid").agg(F.sum("a").alias("a"))
+        return q.select("qid").join(out, "qid", "left").select("qid", F.coalesce("a", F.lit(0)).alias("a"))
 
     def agg_many(self, q: DataFrame, monoid: Monoid | None = None) -> DataFrame:
         """q: qid, xl, xr, yl, yr. (qid, a): the weights' summary inside each rectangle. monoid: commutative."""
         m = monoid or sum_()
+        return self.sums_many(q) if m.name == "sum" else self.cover_many(q, m)
+
+    def cover_many(self, q: DataFrame, m: Monoid) -> DataFrame:
+        """The same for any commutative monoid, by whole nodes and buckets and the rows of boundary ones."""
         f = self.outer.layout.fanout
         at = q.filter("xl <= xr and yl <= yr").withColumns({"bl": block_of(F.col("xl"), self.outer.splitters), "br": block_of(F.col("xr"), self.outer.splitters)})
         at = at.withColumns({"cl": block_of(F.col("yl"), self.y_splitters), "cr": block_of(F.col("yr"), self.y_splitters)})
@@ -60,19 +118,9 @@ class RectIndex:
         got = whole.unionByName(part).unionByName(rows).groupBy("qid").agg(m.total(F.col("a")).alias("a"))
         return q.select("qid").join(got, "qid", "left").select("qid", F.coalesce("a", m.neutral()).alias("a"))
 
-    def dominance_many(self, q: DataFrame) -> DataFrame:
-        """Sums by four corners: each corner's query takes all that lies at or below it in both axes."""
-        low = -(1 << 62)
-        corner = lambda x, y, s: F.struct(F.expr(x).alias("xr"), F.expr(y).alias("yr"), F.lit(s).alias("s"))
-        ok = q.filter("xl <= xr and yl <= yr").select("qid", F.posexplode(F.array(corner("xr", "yr", 1), corner("xl - 1", "yr", -1), corner("xr", "yl - 1", -1), corner("xl - 1", "yl - 1", 1))).alias("i", "c"))
-        four = ok.select((F.col("qid") * 4 + F.col("i")).alias("qid"), F.lit(low).alias("xl"), "c.xr", F.lit(low).alias("yl"), "c.yr", "c.s")
-        got = self.agg_many(four.drop("s")).join(four.select("qid", "s"), "qid").groupBy(F.floor(F.col("qid") / 4).alias("qid")).agg(F.sum(F.col("a") * F.col("s")).alias("a"))
-        return q.select("qid").join(got, "qid", "left").select("qid", F.coalesce("a", F.lit(0)).alias("a"))
-
     def count_many(self, q: DataFrame) -> DataFrame:
-        from dataclasses import replace
-
-        return replace(self, points=self.points.withColumn("w", F.lit(1).cast("bigint"))).agg_many(q)
+        one = lambda t: t.withColumn("w", F.lit(1).cast("bigint"))
+        return replace(self, points=one(self.points), nested=None if self.nested is None else one(self.nested)).agg_many(q)
 
     def list_many(self, q: DataFrame) -> DataFrame:
         """(qid, id) of all points inside: candidate (x-block, y-bucket) cells by equi-join, then the bounds."""

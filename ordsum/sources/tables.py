@@ -62,7 +62,7 @@ def li_pts(spark, d) -> DataFrame:
 
 
 def q_rect(spark, d) -> DataFrame:
-    t = table(spark, d, "orders").filter("o_orderkey < 500")
+    t = table(spark, d, "orders")
     x, c = F.floor(micros("o_orderdate") / DAY), cents("o_totalprice")
     return t.select(F.col("o_orderkey").alias("qid"), x.alias("xl"), (x + 180).alias("xr"), F.floor(c * 18 / 100).alias("yl"), F.floor(c * 22 / 100).alias("yr"))
 
@@ -72,10 +72,15 @@ def q_day(spark, d) -> DataFrame:
 
 
 def q_90d(spark, d) -> DataFrame:
-    t = table(spark, d, "orders").filter("o_orderkey < 200")
+    t = table(spark, d, "orders")
     return t.select(F.col("o_orderkey").alias("qid"), micros("o_orderdate").alias("lo"), (micros("o_orderdate") + 90 * DAY).alias("hi"))
 
 
+def searched(q: DataFrame) -> DataFrame:
+    """The query set of the methods that hold every query against every row: ids divisible by fifty."""
+    return q.filter("qid % 50 = 0")
+
+
 def q_and(spark, d) -> DataFrame:
     """One query per document: its least and greatest term of those in fifty documents or more."""
     from ordsum.operators.ranked_index import tokenize

@@ -8,7 +8,9 @@ from ordsum.functions import monoids as M
 from ordsum.operators import baselines as B
 from ordsum.operators import batch as R
 from ordsum.operators.maps import Layout, SummaryMap, build_by_unions, concat, difference, intersect, link, union, union_commutative
+from ordsum.sources import scratch
 from ordsum.sources import tables as S
+from ordsum.sources.store import VersionStore, kept
 
 LAYOUT = Layout(block_rows=2048, fanout=4)
 EV = "ev as (select epoch_us(ts) as k, cast(round(value*100) as bigint) as v, event_id, user_id from events)"
@@ -28,6 +30,26 @@ def om(spark, d, monoid=None) -> SummaryMap:
     return SummaryMap.build(S.orders(spark, d), "k", "v", monoid or M.sum_(), layout=LAYOUT)
 
 
+def stored(spark, d, name: str, make) -> SummaryMap:
+    """A map that lies in a store, as the experiments ask of it: built once a session, then only read."""
+    return kept(spark, scratch.place(spark, f"map-{name}"), (name, d), make)
+
+
+def sev(spark, d, monoid=None, layout=LAYOUT, base=None, name: str = "") -> SummaryMap:
+    m = monoid or M.sum_()
+    return stored(spark, d, f"ev-{m.name}-{layout.policy}-{layout.block_rows}{name}", lambda: ev(spark, d, m, layout, base))
+
+
+def som(spark, d) -> SummaryMap:
+    return stored(spark, d, "orders", lambda: om(spark, d))
+
+
+def sales(spark, d, monoid) -> SummaryMap:
+    """Sales by time of shipment: the sum or the greatest of a moment's sales."""
+    h = S.li_ship(spark, d).groupBy("k").agg((F.sum if monoid.name == "sum" else F.max)("v").alias("v"))
+    return stored(spark, d, f"sales-{monoid.name}", lambda: SummaryMap.build(h, "k", "v", monoid, layout=Layout(block_rows=64, fanout=4)))
+
+
 def ab(spark, d):
     m = om(spark, d)
     return m.filter(lambda k, v: k % 3 != 0), m.filter(lambda k, v: k % 3 != 1)
@@ -58,29 +80,29 @@ def add(name: str, f, sql: str | None) -> None:
 
 # ---- map operations
 add("op_singleton", lambda s, d: SummaryMap.singleton(s, 7, 70).entries(), "select 7::int as k, 70::int as v")
-add("op_size", lambda s, d: om(s, d).size(), f"with {OR} select count(*) as n from o")
-add("op_find", lambda s, d: om(s, d).find(77), f"with {OR} select k, v from o where k = 77")
-add("op_insert", lambda s, d: om(s, d).insert(77, 5, lambda old, new: old - new).entries(), f"with {OR} select k, case when k = 77 then v - 5 else v end as v from o")
-add("op_delete", lambda s, d: om(s, d).delete(77).entries(), f"with {OR} select * from o where k <> 77")
-add("op_first_last", lambda s, d: ev(s, d).first().unionByName(ev(s, d).last()), f"with {EV} select k, v from ev where k in (select min(k) from ev union all select max(k) from ev)")
-add("op_next", lambda s, d: ev(s, d).next(MID), f"with {EV} select k, v from ev where k > {MID} order by k limit 1")
-add("op_prev", lambda s, d: ev(s, d).prev(MID), f"with {EV} select k, v from ev where k < {MID} order by k desc limit 1")
-add("op_rank", lambda s, d: ev(s, d).rank(MID), f"with {EV} select count(*) as r from ev where k < {MID}")
-add("op_select", lambda s, d: ev(s, d).select(500), f"with {EV} select k, v from ev order by k limit 1 offset 500")
-add("op_up_to", lambda s, d: ev(s, d).up_to(MID).entries(), f"with {EV} select k, v from ev where k <= {MID}")
-add("op_down_to", lambda s, d: ev(s, d).down_to(MID).entries(), f"with {EV} select k, v from ev where k >= {MID}")
-add("op_range", lambda s, d: ev(s, d).range(LO, HI).entries(), f"with {EV} select k, v from ev where k between {LO} and {HI}")
+add("op_size", lambda s, d: som(s, d).size(), f"with {OR} select count(*) as n from o")
+add("op_find", lambda s, d: som(s, d).find(77), f"with {OR} select k, v from o where k = 77")
+add("op_insert", lambda s, d: som(s, d).insert(77, 5, lambda old, new: old - new).entries(), f"with {OR} select k, case when k = 77 then v - 5 else v end as v from o")
+add("op_delete", lambda s, d: som(s, d).delete(77).entries(), f"with {OR} select * from o where k <> 77")
+add("op_first_last", lambda s, d: sev(s, d).first().unionByName(sev(s, d).last()), f"with {EV} select k, v from ev where k in (select min(k) from ev union all select max(k) from ev)")
+add("op_next", lambda s, d: sev(s, d).next(MID), f"with {EV} select k, v from ev where k > {MID} order by k limit 1")
+add("op_prev", lambda s, d: sev(s, d).prev(MID), f"with {EV} select k, v from ev where k < {MID} order by k desc limit 1")
+add("op_rank", lambda s, d: sev(s, d).rank(MID), f"with {EV} select count(*) as r from ev where k < {MID}")
+add("op_select", lambda s, d: sev(s, d).select(500), f"with {EV} select k, v from ev order by k limit 1 offset 500")
+add("op_up_to", lambda s, d: sev(s, d).up_to(MID).entries(), f"with {EV} select k, v from ev where k <= {MID}")
+add("op_down_to", lambda s, d: sev(s, d).down_to(MID).entries(), f"with {EV} select k, v from ev where k >= {MID}")
+add("op_range", lambda s, d: sev(s, d).range(LO, HI).entries(), f"with {EV} select k, v from ev where k between {LO} and {HI}")
 add("op_split_low", lambda s, d: om(s, d).split(77)[0].entries(), f"with {OR} select * from o where k < 77")
 add("op_split_mid", lambda s, d: om(s, d).split(77)[1], f"with {OR} select * from o where k = 77")
 add("op_split_high", lambda s, d: om(s, d).split(77)[2].entries(), f"with {OR} select * from o where k > 77")
 add("op_link", lambda s, d: link(om(s, d).up_to(500, False), 500, 1, om(s, d).down_to(500, False)).entries(), f"with {OR} select k, v from o where k <> 500 union all select 500, 1")
 add("op_concat", lambda s, d: concat(om(s, d).up_to(500, False), om(s, d).down_to(700)).entries(), f"with {OR} select k, v from o where k < 500 or k >= 700")
-add("op_decompose", lambda s, d: om(s, d).decompose()[1], f"with {OR} select k, v from o order by k limit 1 offset (select count(*) // 2 from o)")
+add("op_decompose", lambda s, d: som(s, d).decompose()[1], f"with {OR} select k, v from o order by k limit 1 offset (select count(*) // 2 from o)")
 add("op_union_default", lambda s, d: union(*ab(s, d)).entries(), f"with {AB} select * from o where k % 3 <> 0 or k % 3 <> 1")
 PLUS = f"with {AB} select k, case when k % 3 = 2 then 2 * v else v end as v from o"
 add("op_union", lambda s, d: union(*ab(s, d), h=lambda x, y: x + y).entries(), PLUS)
 add("op_union_noncomm", lambda s, d: union(ab(s, d)[0], ab(s, d)[1].map_values(lambda k, v: v * 3), h=lambda x, y: x - y).entries(), f"with {AB} select k, case when k % 3 = 2 then -2 * v when k % 3 = 0 then 3 * v else v end as v from o")
-add("op_union_small", lambda s, d: union(om(s, d), om(s, d).filter(lambda k, v: k % 1000 == 0).map_values(lambda k, v: F.lit(1).cast("bigint")), h=lambda x, y: x + y).entries(), f"with {OR} select k, case when k % 1000 = 0 then v + 1 else v end as v from o")
+add("op_union_small", lambda s, d: union(som(s, d), som(s, d).filter(lambda k, v: k % 1000 == 0).map_values(lambda k, v: F.lit(1).cast("bigint")), h=lambda x, y: x + y).entries(), f"with {OR} select k, case when k % 1000 = 0 then v + 1 else v end as v from o")
 add("op_union_empty", lambda s, d: union(om(s, d), SummaryMap.empty(s)).entries(), f"with {OR} select * from o")
 add("op_intersect", lambda s, d: intersect(*ab(s, d), h=lambda x, y: x + y).entries(), f"with {AB} select k, 2 * v as v from o where k % 3 = 2")
 add("op_intersect_semi", lambda s, d: intersect(*ab(s, d)).entries(), f"with {AB} select k, v from o where k % 3 = 2")
@@ -90,23 +112,24 @@ add("op_build_first", lambda s, d: flat(li(s, d, None, TIE).entries()), f"with {
 add("op_build_sum", lambda s, d: flat(li(s, d).entries()), f"with {LI} select l_orderkey, l_linenumber, cast(sum(v) as bigint) as v from li group by all")
 add("op_build_fold", lambda s, d: flat(SummaryMap.build(S.li_seq(s, d).withColumn("t", F.col("v").cast("string")), "k", "t", h=lambda x, y: F.concat(x, F.lit(","), y), tie=list(TIE), layout=LAYOUT).entries()), f"with {LI} select l_orderkey, l_linenumber, string_agg(v::varchar, ',' order by l_shipdate, l_extendedprice, l_partkey) as v from li group by all")
 add("op_insert_many", lambda s, d: _ev_parts(s, d)[0].insert_many(_ev_parts(s, d)[1].entries()).entries(), f"with {EV} select k, v from ev")
-add("op_insert_many_small", lambda s, d: om(s, d).insert_many(S.orders(s, d).filter("k % 1000 = 0").select("k", F.lit(9).cast("bigint").alias("v")), lambda old, new: old * new).entries(), f"with {OR} select k, case when k % 1000 = 0 then v * 9 else v end as v from o")
+add("op_insert_many_small", lambda s, d: som(s, d).insert_many(S.orders(s, d).filter("k % 1000 = 0").select("k", F.lit(9).cast("bigint").alias("v")), lambda old, new: old * new).entries(), f"with {OR} select k, case when k % 1000 = 0 then v * 9 else v end as v from o")
 add("op_delete_many", lambda s, d: om(s, d).delete_many(S.orders(s, d).filter("k % 7 = 0")).entries(), f"with {OR} select * from o where k % 7 <> 0")
 add("op_filter", lambda s, d: om(s, d).filter(lambda k, v: v % 2 == 0).entries(), f"with {OR} select * from o where v % 2 = 0")
 add("op_map_values", lambda s, d: om(s, d).map_values(lambda k, v: v * 2 + k).entries(), f"with {OR} select k, v * 2 + k as v from o")
 add("op_map_reduce", lambda s, d: om(s, d).map_reduce(lambda k, v: v % 7, M.sum_()), f"with {OR} select cast(sum(v % 7) as bigint) as a from o")
-add("op_map_reduce_ordered", lambda s, d: om(s, d).up_to(40).map_reduce(lambda k, v: (v % 10).cast("string"), M.concat()), f"with {OR} select string_agg((v % 10)::varchar, '' order by k) as a from o where k <= 40")
+add("op_map_reduce_ordered", lambda s, d: om(s, d).map_reduce(lambda k, v: (v % 10).cast("string"), M.concat()), f"with {OR} select string_agg((v % 10)::varchar, '' order by k) as a from o")
 add("op_reduce", lambda s, d: om(s, d).reduce_values(M.min_()), f"with {OR} select min(v) as a from o")
 add("op_domain", lambda s, d: om(s, d).domain(), f"with {OR} select k from o")
 add("op_entries", lambda s, d: om(s, d).entries(True), f"with {OR} select k, v from o order by k")
 PROBE = "p as (select distinct l_orderkey * 2 as k from lineitem)"
-add("op_find_many", lambda s, d: R.find_many(om(s, d), _probes(s, d)), f"with {OR}, {PROBE} select p.k, o.v from p left join o on p.k = o.k")
-add("op_neighbor_many", lambda s, d: R.neighbor_many(ev(s, d), _when(s, d), "next"), f"with {EV}, {{W}} select qid, w.k, e.k as nk, e.v as nv from w left join lateral (select k, v from ev where ev.k > w.k order by k limit 1) e on true".replace("{W}", "w as (select o_orderkey as qid, epoch_us(o_orderdate) + 915148800000000 as k from orders where o_orderkey < 300)"))
-add("op_prev_many", lambda s, d: R.neighbor_many(ev(s, d), _when(s, d), "prev"), f"with {EV}, w as (select o_orderkey as qid, epoch_us(o_orderdate) + 915148800000000 as k from orders where o_orderkey < 300) select qid, w.k, e.k as nk, e.v as nv from w left join lateral (select k, v from ev where ev.k < w.k order by k desc limit 1) e on true")
-add("op_rank_many", lambda s, d: R.rank_many(ev(s, d), S.q_day(s, d).select("qid", F.col("hi").alias("k"))), f"with {EV}, w as (select event_id as qid, k + {DAY} as k from ev), r as (select *, row_number() over (order by k) as n from ev) select qid, w.k, coalesce((select max(n) from r where r.k < w.k), 0) as r from w")
-add("op_select_many", lambda s, d: R.select_many(ev(s, d), s.range(0, 1000, 7).select(F.col("id").alias("i"))), f"with {EV} select i, k, v from (select unnest(range(0, 1000, 7)) as i) left join (select k, v, row_number() over (order by k) - 1 as r from ev) on i = r")
+add("op_find_many", lambda s, d: R.find_many(som(s, d), _probes(s, d)), f"with {OR}, {PROBE} select p.k, o.v from p left join o on p.k = o.k")
+WHEN = "w as (select o_orderkey as qid, epoch_us(o_orderdate) + 915148800000000 as k from orders)"
+add("op_neighbor_many", lambda s, d: R.neighbor_many(sev(s, d), _when(s, d), "next"), f"with {EV}, {WHEN} select qid, w.k, e.k as nk, e.v as nv from w asof left join ev e on w.k < e.k")
+add("op_prev_many", lambda s, d: R.neighbor_many(sev(s, d), _when(s, d), "prev"), f"with {EV}, {WHEN} select qid, w.k, e.k as nk, e.v as nv from w asof left join ev e on w.k > e.k")
+add("op_rank_many", lambda s, d: R.rank_many(sev(s, d), S.q_day(s, d).select("qid", F.col("hi").alias("k"))), f"with {EV}, w as (select event_id as qid, k + {DAY} as k from ev), r as (select *, row_number() over (order by k) as n from ev) select qid, w.k, coalesce((select max(n) from r where r.k < w.k), 0) as r from w")
+add("op_select_many", lambda s, d: R.select_many(sev(s, d), S.ev_map(s, d).select((F.col("event_id") * 2).alias("i"))), f"with {EV} select event_id * 2 as i, r.k, r.v from ev left join (select k, v, row_number() over (order by k) - 1 as r from ev) r on event_id * 2 = r.r")
 RANGE_WH = f"w as (select c_custkey as qid, {LO} + c_custkey * 60000000 as lo, {LO} + c_custkey * 60000000 + 3600000000 as hi from customer)"
-add("op_range_many", lambda s, d: R.range_many(ev(s, d), _hours(s, d)), f"with {EV}, {RANGE_WH} select qid, k, v from w join ev on k between lo and hi")
+add("op_range_many", lambda s, d: R.range_many(sev(s, d), _hours(s, d)), f"with {EV}, {RANGE_WH} select qid, k, v from w join ev on k between lo and hi")
 
 
 def _ev_parts(s, d):
@@ -119,7 +142,7 @@ def _probes(s, d):
 
 
 def _when(s, d):
-    return S.table(s, d, "orders").filter("o_orderkey < 300").select(F.col("o_orderkey").alias("qid"), (S.micros("o_orderdate") + 915_148_800_000_000).alias("k"))
+    return S.table(s, d, "orders").select(F.col("o_orderkey").alias("qid"), (S.micros("o_orderdate") + 915_148_800_000_000).alias("k"))
 
 
 def _hours(s, d):
@@ -128,43 +151,52 @@ def _hours(s, d):
 
 
 # ---- summaries
-add("sum_all", lambda s, d: ev(s, d).summary(), f"with {EV} select cast(sum(v) as bigint) as a from ev")
-add("sum_empty", lambda s, d: ev(s, d).range(HI, LO).summary(), "select 0::bigint as a")
-add("sum_left", lambda s, d: om(s, d).summary_left(77), f"with {OR} select cast(sum(v) as bigint) as a from o where k <= 77")
-add("sum_left_strict", lambda s, d: om(s, d).summary_left(77, False), f"with {OR} select cast(sum(v) as bigint) as a from o where k < 77")
-add("sum_right", lambda s, d: om(s, d).summary_right(77), f"with {OR} select cast(sum(v) as bigint) as a from o where k >= 77")
-add("sum_range", lambda s, d: ev(s, d).summary_range(LO, HI), f"with {EV} select cast(sum(v) as bigint) as a from ev where k between {LO} and {HI}")
-add("sum_range_open", lambda s, d: om(s, d).summary_range(7, 77, "()"), f"with {OR} select cast(sum(v) as bigint) as a from o where k > 7 and k < 77")
-add("sum_filter_max", lambda s, d: ev(s, d, M.max_()).summary_filter(lambda a: a > 33071).entries(), f"with {EV} select k, v from ev where v > 33071")
-add("sum_filter_all", lambda s, d: ev(s, d, M.product(hi=M.max_(), lo=M.min_()), base=lambda k, v: F.struct(v.alias("hi"), v.alias("lo"))).summary_filter(lambda a: a["hi"] > 5000, lambda a: a["lo"] > 5000).entries(), f"with {EV} select k, v from ev where v > 5000")
-add("sum_filter_bool", lambda s, d: ev(s, d, M.bool_or(), base=lambda k, v: v % 1000 == 0).summary_filter(lambda a: a).entries(), f"with {EV} select k, v from ev where v % 1000 = 0")
-add("sum_project_size", lambda s, d: ev(s, d, M.set_union(), base=lambda k, v: F.array(k)).summary_project(F.size, M.sum_(), LO, HI), f"with {EV} select count(*) as a from ev where k between {LO} and {HI}")
+add("sum_all", lambda s, d: sev(s, d).summary(), f"with {EV} select cast(sum(v) as bigint) as a from ev")
+add("sum_empty", lambda s, d: sev(s, d).range(HI, LO).summary(), "select 0::bigint as a")
+add("sum_left", lambda s, d: som(s, d).summary_left(77), f"with {OR} select cast(sum(v) as bigint) as a from o where k <= 77")
+add("sum_left_strict", lambda s, d: som(s, d).summary_left(77, False), f"with {OR} select cast(sum(v) as bigint) as a from o where k < 77")
+add("sum_right", lambda s, d: som(s, d).summary_right(77), f"with {OR} select cast(sum(v) as bigint) as a from o where k >= 77")
+add("sum_range", lambda s, d: sev(s, d).summary_range(LO, HI), f"with {EV} select cast(sum(v) as bigint) as a from ev where k between {LO} and {HI}")
+add("sum_range_open", lambda s, d: som(s, d).summary_range(7, 77, "()"), f"with {OR} select cast(sum(v) as bigint) as a from o where k > 7 and k < 77")
+add("sum_filter_max", lambda s, d: sev(s, d, M.max_()).summary_filter(lambda a: a > 33071).entries(), f"with {EV} select k, v from ev where v > 33071")
+add("sum_filter_all", lambda s, d: sev(s, d, M.product(hi=M.max_(), lo=M.min_()), base=lambda k, v: F.struct(v.alias("hi"), v.alias("lo"))).summary_filter(lambda a: a["hi"] > 5000, lambda a: a["lo"] > 5000).entries(), f"with {EV} select k, v from ev where v > 5000")
+add("sum_filter_bool", lambda s, d: sev(s, d, M.bool_or(), base=lambda k, v: v % 1000 == 0).summary_filter(lambda a: a).entries(), f"with {EV} select k, v from ev where v % 1000 = 0")
+add("sum_project_size", lambda s, d: sev(s, d, M.set_union(), base=lambda k, v: F.array(k)).summary_project(F.size, M.sum_(), LO, HI), f"with {EV} select count(*) as a from ev where k between {LO} and {HI}")
 DAYSUM = f"with {EV}, c as (select k, sum(v) over (order by k) as p from ev) select event_id as qid, cast((select max(p) from c where c.k <= e.k + {DAY}) - (select coalesce(max(p), 0) from c where c.k < e.k) as bigint) as a from ev e"
 DAYMAX = f"with {EV} select e.event_id as qid, max(f.v) as a from ev e join ev f on f.k between e.k and e.k + {DAY} group by 1"
-add("sum_range_many_prefix", lambda s, d: R.range_summaries(ev(s, d), S.q_day(s, d), "prefix"), DAYSUM)
-add("sum_range_many_canonical", lambda s, d: R.range_summaries(ev(s, d, layout=Layout(block_rows=64, fanout=4)), S.q_day(s, d), "canonical"), DAYSUM)
-add("sum_range_many_overlap", lambda s, d: R.range_summaries(ev(s, d, M.max_(), Layout(block_rows=64, fanout=4)), S.q_day(s, d), "overlap"), DAYMAX)
-add("inv_summaries", lambda s, d: _inv(s, d), "select 0::bigint as violations")
+add("sum_range_many_prefix", lambda s, d: R.range_summaries(sev(s, d), S.q_day(s, d), "prefix"), DAYSUM)
+add("sum_range_many_canonical", lambda s, d: R.range_summaries(sev(s, d, layout=Layout(block_rows=64, fanout=4)), S.q_day(s, d), "canonical"), DAYSUM)
+add("sum_range_many_overlap", lambda s, d: R.range_summaries(sev(s, d, M.max_(), Layout(block_rows=64, fanout=4)), S.q_day(s, d), "overlap"), DAYMAX)
+add("inv_summaries", lambda s, d: _inv(s, d), f"with {OR} select 0::bigint as violations, count(*) as n from (select k from o union select k + 1 from o where k % 5 = 0) where k not in (select k from o where k % 7 = 0)")
 
 
 def _inv(s, d):
-    m = om(s, d).insert(77, 5).delete(99)
-    t = m.block_table().select("block", "a").join(m.rows.groupBy("block").agg(F.sum("v").alias("x")), "block", "full_outer")
-    return t.agg(F.count(F.when(~F.col("a").eqNullSafe(F.col("x")), 1)).alias("violations"))
+    """After updates of a stored map: blocks whose kept summary, bounds or count differ from those of their rows."""
+    st = VersionStore(s, scratch.place(s, "inv"), LAYOUT)
+    st.commit(om(s, d))
+    st.insert_many(S.orders(s, d).filter("k % 5 = 0").select((F.col("k") + 1).alias("k"), F.lit(3).cast("bigint").alias("v")), lambda old, new: old + new)
+    st.delete_many(S.orders(s, d).filter("k % 7 = 0"))
+    m = st.snapshot()
+    fresh = m.rows.groupBy("block").agg(F.sum("v").alias("x"), F.count("*").alias("m"), F.min("k").alias("l"), F.max("k").alias("h"))
+    t = m.stored.table.filter("n > 0").join(fresh, "block", "full_outer")
+    same = F.col("a").eqNullSafe(F.col("x")) & F.col("n").eqNullSafe(F.col("m")) & F.col("lo").eqNullSafe(F.col("l")) & F.col("hi").eqNullSafe(F.col("h"))
+    return t.agg(F.count(F.when(~same, 1)).alias("violations"), F.sum("m").alias("n"))
 
 
 for _p in ("count", "fanout", "fill", "priority"):
-    add(f"bal_{_p}", lambda s, d, p=_p: R.range_summaries(ev(s, d, layout=Layout(p, 256, 4)), S.q_90d(s, d).select("qid", (F.col("lo") + 915_148_800_000_000).alias("lo"), (F.col("hi") + 915_148_800_000_000).alias("hi")), "canonical"),
-        f"with {EV}, w as (select o_orderkey as qid, epoch_us(o_orderdate) + 915148800000000 as lo, epoch_us(o_orderdate) + 915148800000000 + 90 * {DAY} as hi from orders where o_orderkey < 200) select qid, cast(coalesce(sum(v), 0) as bigint) as a from w left join ev on k between lo and hi group by 1")
+    add(f"bal_{_p}", lambda s, d, p=_p: R.range_summaries(sev(s, d, layout=Layout(p, 256, 4)), S.q_90d(s, d).select("qid", (F.col("lo") + 915_148_800_000_000).alias("lo"), (F.col("hi") + 915_148_800_000_000).alias("hi")), "canonical"),
+        f"with {EV}, w as (select o_orderkey as qid, epoch_us(o_orderdate) + 915148800000000 as lo, epoch_us(o_orderdate) + 915148800000000 + 90 * {DAY} as hi from orders) select qid, cast(coalesce(sum(v), 0) as bigint) as a from w left join ev on k between lo and hi group by 1")
 
 # ---- applications: range sums
-add("app_sales_sum", lambda s, d: R.range_summaries(SummaryMap.build(S.li_ship(s, d), "k", "v", M.sum_(), h="sum", layout=LAYOUT), S.q_90d(s, d)), f"with {LS}, w as (select o_orderkey as qid, epoch_us(o_orderdate) as lo from orders where o_orderkey < 200) select qid, cast(coalesce(sum(v), 0) as bigint) as a from w left join ls on k between lo and lo + 90 * {DAY} group by 1")
-add("app_sales_max", lambda s, d: R.range_summaries(SummaryMap.build(S.li_ship(s, d).groupBy("k").agg(F.max("v").alias("v")), "k", "v", M.max_(), layout=Layout(block_rows=64, fanout=4)), S.q_90d(s, d)), f"with {LS}, w as (select o_orderkey as qid, epoch_us(o_orderdate) as lo from orders where o_orderkey < 200) select qid, max(v) as a from w left join ls on k between lo and lo + 90 * {DAY} group by 1")
-add("app_sales_above", lambda s, d: ev(s, d, M.max_()).summary_filter(lambda a: a > 22434).entries(), f"with {EV} select k, v from ev where v > 22434")
-add("app_sales_above_range", lambda s, d: ev(s, d, M.max_()).range(LO, HI).summary_filter(lambda a: a > 22434).entries(), f"with {EV} select k, v from ev where v > 22434 and k between {LO} and {HI}")
+W90 = f"w as (select o_orderkey as qid, epoch_us(o_orderdate) as lo, epoch_us(o_orderdate) + 90 * {DAY} as hi from orders)"
+MOMENT = "ms as (select k, sum(v) as v, max(v) as m from ls group by 1)"
+add("app_sales_sum", lambda s, d: R.range_summaries(sales(s, d, M.sum_()), S.q_90d(s, d)), f"with {LS}, {MOMENT}, {W90} select qid, cast(coalesce(sum(v), 0) as bigint) as a from w left join ms on k between lo and hi group by 1")
+add("app_sales_max", lambda s, d: R.range_summaries(sales(s, d, M.max_()), S.q_90d(s, d)), f"with {LS}, {MOMENT}, {W90} select qid, max(m) as a from w left join ms on k between lo and hi group by 1")
+add("app_sales_above", lambda s, d: sev(s, d, M.max_()).summary_filter(lambda a: a > 22434).entries(), f"with {EV} select k, v from ev where v > 22434")
+add("app_sales_above_range", lambda s, d: sev(s, d, M.max_()).range(LO, HI).summary_filter(lambda a: a > 22434).entries(), f"with {EV} select k, v from ev where v > 22434 and k between {LO} and {HI}")
 
 # ---- baselines
-add("base_scan_range", lambda s, d: B.scan_range(S.ev_map(s, d), S.q_day(s, d).filter("qid % 100 = 0")), f"with {EV} select e.event_id as qid, cast(sum(f.v) as bigint) as a from ev e join ev f on f.k between e.k and e.k + {DAY} where e.event_id % 100 = 0 group by 1")
+add("base_scan_range", lambda s, d: B.scan_range(S.ev_map(s, d), S.searched(S.q_day(s, d))), f"with {EV} select e.event_id as qid, cast(sum(f.v) as bigint) as a from ev e join ev f on f.k between e.k and e.k + {DAY} where e.event_id % 50 = 0 group by 1")
 add("base_plain_filter", lambda s, d: B.plain_filter(S.ev_map(s, d).select("k", "v"), F.col("v") > 33071), f"with {EV} select k, v from ev where v > 33071")
 add("base_union_copy", lambda s, d: B.union_copy(*[x.entries() for x in ab(s, d)]), PLUS)
 add("base_union_merge", lambda s, d: B.union_merge(*[x.entries() for x in ab(s, d)], lambda x, y: x + y), PLUS)
@@ -176,18 +208,47 @@ add("base_union_tree_build", lambda s, d: build_by_unions([om(s, d).filter(lambd
 # ---- experiment workloads
 add("wl_union_equal", lambda s, d: union_commutative(*ab(s, d), M.sum_()).entries(), PLUS)
 add("wl_union_small", Q["op_union_small"][0], Q["op_union_small"][1])
-add("wl_union_clustered", lambda s, d: union(om(s, d), om(s, d).range(100, 114).map_values(lambda k, v: F.lit(1).cast("bigint")), h=lambda x, y: x + y).entries(), f"with {OR} select k, case when k between 100 and 114 then v + 1 else v end as v from o")
-add("wl_find_many", lambda s, d: flat(R.find_many(li(s, d), S.li_seq(s, d).select("k").distinct().unionByName(S.orders(s, d).select(F.struct(F.col("k").alias("l_orderkey"), F.lit(99).alias("l_linenumber")).alias("k"))))), f"with {LI}, m as (select l_orderkey, l_linenumber, cast(sum(v) as bigint) as v from li group by all) select * from m union all select o_orderkey, 99, null from orders")
+add("wl_union_clustered", lambda s, d: union(som(s, d), som(s, d).range(100, 114).map_values(lambda k, v: F.lit(1).cast("bigint")), h=lambda x, y: x + y).entries(), f"with {OR} select k, case when k between 100 and 114 then v + 1 else v end as v from o")
+add("wl_find_many", lambda s, d: flat(R.find_many(stored(s, d, "lines", lambda: li(s, d)), S.li_seq(s, d).select("k").distinct().unionByName(S.orders(s, d).select(F.struct(F.col("k").alias("l_orderkey"), F.lit(99).alias("l_linenumber")).alias("k"))))), f"with {LI}, m as (select l_orderkey, l_linenumber, cast(sum(v) as bigint) as v from li group by all) select * from m union all select o_orderkey, 99, null from orders")
 add("wl_build", Q["op_build_sum"][0], Q["op_build_sum"][1])
 add("wl_filter_even", lambda s, d: flat(li(s, d).filter(lambda k, v: v % 2 == 0).entries()), f"with {LI} select * from (select l_orderkey, l_linenumber, cast(sum(v) as bigint) as v from li group by all) where v % 2 = 0")
 add("wl_multi_insert", Q["op_insert_many"][0], Q["op_insert_many"][1])
 add("wl_multi_insert_small", Q["op_insert_many_small"][0], Q["op_insert_many_small"][1])
 add("wl_range_many", Q["op_range_many"][0], Q["op_range_many"][1])
-add("wl_left_many", lambda s, d: R.summary_left_many(SummaryMap.build(S.li_ship(s, d), "k", "v", M.sum_(), h="sum", layout=LAYOUT), S.iv_points(s, d).select(F.col("pid").alias("qid"), F.col("p").alias("k"))), f"with {LS}, c as (select k, sum(sum(v)) over (order by k) as p from ls group by k), w as (select distinct epoch_us(o_orderdate) as k from orders) select w.k as qid, w.k, cast(coalesce((select max(p) from c where c.k <= w.k), 0) as bigint) as a from w")
+add("wl_left_many", lambda s, d: R.summary_left_many(sales(s, d, M.sum_()), S.iv_points(s, d).select(F.col("pid").alias("qid"), F.col("p").alias("k"))), f"with {LS}, c as (select k, sum(sum(v)) over (order by k) as p from ls group by k), w as (select distinct epoch_us(o_orderdate) as k from orders) select w.k as qid, w.k, cast(coalesce((select max(p) from c where c.k <= w.k), 0) as bigint) as a from w")
 add("wl_range_sum_day", Q["sum_range_many_prefix"][0], DAYSUM)
 add("wl_range_sum_90d", Q["app_sales_sum"][0], Q["app_sales_sum"][1])
 add("wl_range_max_day", Q["sum_range_many_overlap"][0], DAYMAX)
 add("wl_range_scan", Q["base_scan_range"][0], Q["base_scan_range"][1])
 add("wl_filter_max_p999", Q["sum_filter_max"][0], Q["sum_filter_max"][1])
 add("wl_filter_max_p99", Q["app_sales_above"][0], Q["app_sales_above"][1])
-add("wl_readonly_lookup", lambda s, d: R.find_many(ev(s, d), S.ev_map(s, d).filter("user_id % 5 = 0").select("k")), f"with {EV} select k, v from ev where user_id % 5 = 0")
+
+
+def _insert_then_read(s, d):
+    """Half of the events are inserted into a stored map of the other half; then every key is asked for, a key
+    beside each that isn't there, and as many times as there are events the first key."""
+    st = VersionStore(s, scratch.place(s, "mixed"), LAYOUT)
+    half = lambda odd: S.ev_map(s, d).filter(f"event_id % 2 = {odd}").select("k", "v")
+    st.commit(SummaryMap.build(half(0), "k", "v", M.sum_(), layout=LAYOUT))
+    st.insert_many(half(1))
+    m = st.snapshot()
+    keys = S.ev_map(s, d).select("k")
+    hot = keys.select(F.lit(m.stored.infos[0].lo).alias("k"))
+    return R.find_many(m, keys.unionByName(keys.select((F.col("k") + 1).alias("k"))).unionByName(hot))
+
+
+def _shared_blocks(s, d):
+    """A clustered insert into a stored map: rows of the new version, blocks written anew beyond the touched ones and
+    a neighbour, and whether both versions can be read."""
+    st = VersionStore(s, scratch.place(s, "shared"), Layout(block_rows=256))
+    st.commit(SummaryMap.build(S.orders(s, d), "k", "v", M.sum_(), layout=st.layout))
+    v = st.insert_many(S.orders(s, d).filter("k between 100 and 114").select("k", F.lit(1).cast("bigint").alias("v")), lambda old, new: old + new)
+    all_, there, _ = st.sharing([v - 1, v])
+    old, new = st.snapshot(v - 1), st.snapshot(v)
+    extra = max(0, there - all_ // 2 - 3)
+    return new.size().select("n", F.lit(extra).cast("bigint").alias("unshared")).crossJoin(old.summary().select(F.col("a").alias("before"))).crossJoin(new.summary().select(F.col("a").alias("after")))
+
+
+HOT = "h as (select min(k) as k from ev), p as (select k from ev union all select k + 1 from ev union all select h.k from h, ev)"
+add("wl_readonly_lookup", _insert_then_read, f"with {EV}, {HOT} select p.k, ev.v from p left join ev on p.k = ev.k")
+add("msr_shared_blocks", _shared_blocks, f"with {OR} select count(*) as n, 0::bigint as unshared, cast(sum(v) as bigint) as before, cast(sum(case when k between 100 and 114 then v + 1 else v end) as bigint) as after from o")

@@ -79,8 +79,8 @@ text("join_anti", "select c_custkey from customer where not exists (select 1 fro
 text("join_theta", "select a.r_regionkey as a, b.r_regionkey as b from region a join region b on a.r_regionkey < b.r_regionkey")
 text("join_cross", "select r_name, event_type from region cross join (select distinct event_type from events)")
 pair("join_self", "with e as (select event_id, user_id, row_number() over (partition by user_id order by {us:ts}) as r from events) select a.event_id as a, b.event_id as b from e a join e b on a.user_id = b.user_id and b.r = a.r + 1")
-add("join_range", lambda s, d: R.range_many(SummaryMap.build(S.li_ship(s, d), "k", "v", M.sum_(), h="sum", layout=Layout(block_rows=64)), S.q_90d(s, d)),
-    "with w as (select o_orderkey as qid, epoch_us(o_orderdate) as lo from orders where o_orderkey < 200), ls as (select epoch_us(l_shipdate) as k, cast(sum(cast(round(l_extendedprice*100) as bigint)) as bigint) as v from lineitem group by 1) select qid, k, v from w join ls on k between lo and lo + 7776000000000")
+add("join_range", lambda s, d: R.range_many(SummaryMap.build(S.li_ship(s, d), "k", "v", M.sum_(), h="sum", layout=Layout(block_rows=64)), S.q_90d(s, d)).groupBy("qid").agg(F.count("*").alias("n"), F.sum("v").alias("v")),
+    "with w as (select o_orderkey as qid, epoch_us(o_orderdate) as lo from orders), ls as (select epoch_us(l_shipdate) as k, cast(sum(cast(round(l_extendedprice*100) as bigint)) as bigint) as v from lineitem group by 1) select qid, count(*) as n, cast(sum(v) as bigint) as v from w join ls on k between lo and lo + 7776000000000 group by 1")
 
 
 def asof(forward: bool, within: int | None):
@@ -109,13 +109,15 @@ for _n, _f, _w in (("backward", False, None), ("forward", True, None), ("toleran
 
 
 def _join_interval(s, d):
+    """The ten days after each order whose key is divisible by fifty, held against all orders' intervals."""
     from ordsum.operators.intervals import overlap_pairs
 
-    w = S.table(s, d, "orders").filter("o_orderkey < 200").select(F.col("o_orderkey").alias("id"), S.micros("o_orderdate").alias("lo"), (S.micros("o_orderdate") + 10 * S.DAY).alias("hi"))
-    return overlap_pairs(w, S.ord_iv(s, d).filter("id < 500"))
+    o = S.searched(S.table(s, d, "orders").select(F.col("o_orderkey").alias("qid"), S.micros("o_orderdate").alias("lo")))
+    w = o.select(F.col("qid").alias("id"), "lo", (F.col("lo") + 10 * S.DAY).alias("hi"))
+    return overlap_pairs(w, S.ord_iv(s, d)).groupBy("aid").agg(F.count("*").alias("n"), F.sum("bid").alias("bids"))
 
 
-add("join_interval", _join_interval, "with iv as (select o_orderkey as id, epoch_us(least(o_orderdate, s)) as lo, epoch_us(greatest(o_orderdate, s)) as hi from orders join (select l_orderkey, max(l_shipdate) as s from lineitem group by 1) on o_orderkey = l_orderkey where o_orderkey < 500), w as (select o_orderkey as id, epoch_us(o_orderdate) as lo, epoch_us(o_orderdate) + 864000000000 as hi from orders where o_orderkey < 200) select w.id as aid, iv.id as bid from w join iv on w.lo <= iv.hi and iv.lo <= w.hi")
+add("join_interval", _join_interval, "with iv as (select o_orderkey as id, epoch_us(least(o_orderdate, s)) as lo, epoch_us(greatest(o_orderdate, s)) as hi from orders join (select l_orderkey, max(l_shipdate) as s from lineitem group by 1) on o_orderkey = l_orderkey), w as (select o_orderkey as id, epoch_us(o_orderdate) as lo, epoch_us(o_orderdate) + 864000000000 as hi from orders where o_orderkey % 50 = 0) select w.id as aid, count(*) as n, cast(sum(iv.id) as bigint) as bids from w join iv on w.lo <= iv.hi and iv.lo <= w.hi group by 1")
 
 text("agg_group", f"select l_returnflag, l_linestatus, cast(sum({C.format('l_extendedprice')}) as bigint) as cents, count(*) as n, round(sum({C.format('l_extendedprice')}) / count(*), 2) as mean from lineitem group by l_returnflag, l_linestatus")
 pair("agg_distinct", "select {us:o_orderdate} % 7 as m, count(distinct o_custkey) as n from orders group by 1")
@@ -175,12 +177,31 @@ def _stream(s, d, sink):
 
 
 def _late(s, d):
-    from ordsum.streaming.ingest import late_filtered
-
-    return _stream(s, d, lambda src: (late_filtered(src.withColumn("ts", F.col("ts").cast("timestamp")), "ts", "1 day", "1 hour").select(F.col("window.start").alias("start"), "count"), "complete"))
+    """Events come in two files, the later half of the time first. Once its watermark (a day before the last event) has
+    passed, the hours of the earlier half are closed: all its rows but those of the last day come too late."""
+    import uuid
 
+    from ordsum.sources import scratch
+    from ordsum.streaming.ingest import late_filtered
 
-add("st_watermark_late", _late, None)
+    e = S.table(s, d, "events").select(F.col("ts").cast("timestamp").alias("ts"), "event_id")
+    folder = scratch.place(s, "late")
+    cut = "timestamp'2024-01-16'"
+    for n, part in enumerate((f"ts >= {cut}", f"ts < {cut}", "ts is null")):
+        e.filter(part).coalesce(1).write.parquet(f"{folder}/{n}")
+    end = s.createDataFrame([("2030-01-01", -1)], "ts string, event_id bigint").select(F.col("ts").cast("timestamp").alias("ts"), "event_id")
+    out, name, progress = None, f"t{uuid.uuid4().hex}", scratch.place(s, "progress")
+    read = scratch.place(s, "late-read")
+    for n in range(3):  # one file arrives, is read, and then the next
+        src = s.read.parquet(f"{folder}/{n}") if n < 2 else end
+        src.coalesce(1).write.mode("append").parquet(read)
+        stream = s.readStream.schema(e.schema).parquet(read)
+        out = late_filtered(stream, "ts", "1 day", "1 hour").select(F.col("window.start").alias("start"), "count")
+        out.writeStream.format("parquet").option("path", f"{folder}/out-{name}").outputMode("append").option("checkpointLocation", progress).trigger(availableNow=True).start().awaitTermination()
+    return s.read.parquet(f"{folder}/out-{name}").select(F.expr("unix_micros(start)").alias("t"), F.col("count").alias("n"))
+
+
+add("st_watermark_late", _late, "with e as (select epoch_us(ts) as t, ts from events), w as (select max(t) - 86400000000 as m from e) select t // 3600000000 * 3600000000 as t, count(*) as n from e, w where ts >= timestamp '2024-01-16' or t // 3600000000 * 3600000000 + 3600000000 > m group by 1")
 add("st_stream_static", lambda s, d: _stream(s, d, lambda src: (src.select("event_id", "user_id").join(S.table(s, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_name"), "user_id").select("event_id", "c_name"), "append")), "select event_id, c_name from events join customer on user_id = c_custkey")
 
 
