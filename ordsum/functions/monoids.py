@@ -54,7 +54,8 @@ def sum_(dtype: str = "bigint") -> Monoid:
 
 
 def count() -> Monoid:
-    return Monoid("count", "bigint", 0, lambda a: F.sum(F.lit(1)), lambda a, b: a + b, inverse=lambda p, w: w - p, of=lambda a, b: a + b)
+    """Number of entries; each entry's own summary, which the map's base gives, is 1."""
+    return Monoid("count", "bigint", 0, F.sum, lambda a, b: a + b, inverse=lambda p, w: w - p, of=lambda a, b: a + b)
 
 
 def max_(dtype: str = "bigint") -> Monoid:
@@ -94,6 +95,21 @@ def sum_count() -> Monoid:
                   lambda a, b: pair(a["s"] + b["s"], a["n"] + b["n"]), inverse=lambda p, w: pair(w["s"] - p["s"], w["n"] - p["n"]), of=lambda a, b: (a[0] + b[0], a[1] + b[1]))
 
 
+def moments() -> Monoid:
+    """Struct (n, s, q): count, sum and sum of squares, for means and variances."""
+    names, kind = "nsq", "struct<n:bigint,s:bigint,q:decimal(38,0)>"
+    cast = lambda f: F.struct(*[f(x).cast("decimal(38,0)" if x == "q" else "bigint").alias(x) for x in names])
+    return Monoid("moments", kind, lambda: cast(lambda x: F.lit(0)), lambda a: cast(lambda x: F.coalesce(F.sum(a[x]), F.lit(0))), lambda a, b: cast(lambda x: a[x] + b[x]),
+                  inverse=lambda p, w: cast(lambda x: w[x] - p[x]), of=lambda a, b: tuple(x + y for x, y in zip(a, b)))
+
+
+def keyed_sum() -> Monoid:
+    """A map from names to sums; a name on one side only keeps its value."""
+    kind = "map<string,bigint>"
+    both = lambda a, b: F.map_zip_with(a, b, lambda k, x, y: F.coalesce(x, F.lit(0)) + F.coalesce(y, F.lit(0)))
+    return Monoid("keyed_sum", kind, lambda: F.create_map().cast(kind), None, both, of=lambda a, b: {k: a.get(k, 0) + b.get(k, 0) for k in {*a, *b}})
+
+
 def top_k(k: int) -> Monoid:
     """The k largest values, as a descending array."""
     cut = lambda x: F.slice(F.sort_array(x, asc=False), 1, k)

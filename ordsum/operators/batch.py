@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ordsum.operators.maps import SummaryMap, block_of
-from ordsum.plans.choose import choose
+from ordsum.plans.choose import SMALL_BATCH, choose, windowable
 
 HUGE = "unbounded"
 
@@ -93,7 +93,8 @@ def _located(m: SummaryMap, q: DataFrame) -> DataFrame:
 def range_many(m: SummaryMap, q: DataFrame) -> DataFrame:
     """q: qid, lo, hi (closed). All entries of each range: an equi-join on block, then a check of the bounds."""
     spread = _located(m, q).select("qid", "lo", "hi", F.explode(F.sequence("bl", "br")).alias("block"))
-    return spread.join(m.rows, "block").filter("k between lo and hi").select("qid", "k", "v")
+    # exploded rows are many more than their estimate, so they are never broadcast
+    return spread.hint("merge").join(m.rows, "block").filter("k between lo and hi").select("qid", "k", "v")
 
 
 def cover(a: Column, b: Column, fanout: int, levels: int) -> Column:
@@ -123,10 +124,25 @@ def _depth(m: SummaryMap) -> int:
 
 
 def _boundaries(m: SummaryMap, q: DataFrame) -> DataFrame:
-    """(qid, pos, a): folds of the rows of a range in its first and last block."""
-    ends = q.select("qid", "lo", "hi", F.explode(F.array_distinct(F.array("bl", "br"))).alias("block"))
-    rows = ends.join(m.rows, "block").filter("k between lo and hi")
-    return rows.groupBy("qid", F.col("block").cast("bigint").alias("pos")).agg(m.monoid.fold(F.col("k"), m._a()).alias("a"))
+    """(qid, pos, a): folds of the rows of a range in its first and last block.
+
+    Where the monoid has an aggregate, one sorted pass inside each block gives what lies from each lower
+    bound on and up to each upper one; only ranges inside a single block are joined with its rows."""
+    near = q
+    if windowable(m.monoid):
+        kind, none = m.rows.schema["k"].dataType, F.lit(None)
+        end = lambda block, k, tag: F.struct(F.col(block).cast("int").alias("block"), F.col(k).cast(kind).alias("k"), F.lit(tag).alias("tag"))
+        asked = q.filter("bl <> br").select("qid", F.explode(F.array(end("bl", "lo", 0), end("br", "hi", 2))).alias("e")).select("e.block", "e.k", "e.tag", F.col("qid").cast("bigint").alias("qid"), none.cast(m.monoid.dtype).alias("x"))
+        entry = m.rows.select(F.col("block").cast("int").alias("block"), "k", F.lit(1).alias("tag"), none.cast("bigint").alias("qid"), m._a().alias("x"))
+        order = W.partitionBy("block").orderBy("k", "tag")
+        upto, on = (m.monoid.agg(F.col("x")).over(order.rowsBetween(*f)) for f in ((W.unboundedPreceding, 0), (0, W.unboundedFollowing)))
+        ends = entry.unionByName(asked).select("qid", "block", "tag", upto.alias("upto"), on.alias("on")).filter("qid is not null")
+        ends = ends.select("qid", F.col("block").cast("bigint").alias("pos"), F.coalesce(F.when(F.col("tag") == 2, F.col("upto")).otherwise(F.col("on")), m.monoid.neutral()).alias("a"))
+        near = q.filter("bl = br")
+    single = near.select("qid", "lo", "hi", F.explode(F.array_distinct(F.array("bl", "br"))).alias("block"))
+    rows = single.join(m.rows, "block").filter("k between lo and hi")
+    part = rows.groupBy("qid", F.col("block").cast("bigint").alias("pos")).agg(m.monoid.fold(F.col("k"), m._a()).alias("a"))
+    return ends.unionByName(part) if near is not q else part
 
 
 def _answer(m: SummaryMap, q: DataFrame, parts: DataFrame) -> DataFrame:
@@ -179,8 +195,29 @@ def range_summaries_overlap(m: SummaryMap, q: DataFrame) -> DataFrame:
     return _answer(m, q, inner.unionByName(_boundaries(m, located)))
 
 
+def range_summaries_few(m: SummaryMap, q: DataFrame) -> DataFrame:
+    """A handful of ranges (qid, lo, hi) of a stored map: whole blocks from the block table, and only the blocks read that a bound cuts."""
+    asked = [r for r in q.select("qid", "lo", "hi").collect() if r.lo <= r.hi]
+    cut = sorted({b for r in asked for b in m.stored.between(r.lo, r.hi, "[]")[1]})
+    small = F.broadcast(q.select("qid", "lo", "hi").filter("lo <= hi"))
+    whole = m.stored.table.filter("n > 0").withColumnsRenamed({"lo": "first", "hi": "last"}).join(small, F.expr("lo <= first and last <= hi"))
+    parts = whole.select("qid", F.col("block").cast("bigint").alias("pos"), "a")
+    if cut:
+        ends = m.stored.table.select("block", F.col("lo").alias("first"), F.col("hi").alias("last"))
+        rows = m.stored.open(cut).join(F.broadcast(ends), "block").join(small, F.expr("k between lo and hi and not (lo <= first and last <= hi)"))
+        parts = parts.unionByName(rows.groupBy("qid", F.col("block").cast("bigint").alias("pos")).agg(m.monoid.fold(F.col("k"), m._a()).alias("a")))
+    return _answer(m, q, parts)
+
+
 def range_summaries(m: SummaryMap, q: DataFrame, strategy: str = "auto") -> DataFrame:
-    """q: qid, lo, hi (closed). (qid, a), the identity for empty or reversed ranges."""
+    """q: qid, lo, hi (closed). (qid, a), the identity for empty or reversed ranges. `explain_choice` says what "auto" takes."""
     if strategy == "auto":
-        strategy, _ = choose(m.monoid)
-    return {"prefix": range_summaries_prefix, "overlap": range_summaries_overlap, "canonical": range_summaries_canonical}[strategy](m, q)
+        strategy, _ = explain_choice(m, q)
+    ways = {"few": range_summaries_few, "prefix": range_summaries_prefix, "overlap": range_summaries_overlap, "canonical": range_summaries_canonical}
+    return ways[strategy](m, q)
+
+
+def explain_choice(m: SummaryMap, q: DataFrame) -> tuple[str, str]:
+    """(strategy, reason), from the monoid's traits, the number of queries (counted up to the small batch's bound) and the store."""
+    n = q.limit(SMALL_BATCH + 1).count()
+    return choose(m.monoid, n, m.stored is not None and m.stored.summed)

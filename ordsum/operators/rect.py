@@ -127,4 +127,4 @@ class RectIndex:
         at = q.filter("xl <= xr and yl <= yr").withColumns({"bl": block_of(F.col("xl"), self.outer.splitters), "br": block_of(F.col("xr"), self.outer.splitters), "cl": block_of(F.col("yl"), self.y_splitters), "cr": block_of(F.col("yr"), self.y_splitters)})
         cells = at.select("qid", "xl", "xr", "yl", "yr", "cl", "cr", F.explode(F.sequence("bl", "br")).alias("block")).withColumn("yb", F.explode(F.sequence("cl", "cr"))).drop("cl", "cr")
         pts = self.points.withColumn("yb", block_of(F.col("y"), self.y_splitters))
-        return cells.join(pts, ["block", "yb"]).filter("x between xl and xr and y between yl and yr").select("qid", "id")
+        return cells.hint("merge").join(pts, ["block", "yb"]).filter("x between xl and xr and y between yl and yr").select("qid", "id")

@@ -11,8 +11,10 @@ def windowable(m: Monoid) -> bool:
     return m.agg is not None and m.commutative and "<" not in m.dtype
 
 
-def choose(m: Monoid, queries: int | None = None) -> tuple[str, str]:
+def choose(m: Monoid, queries: int | None = None, stored: bool = False) -> tuple[str, str]:
     """(strategy, reason)."""
+    if queries is not None and queries <= SMALL_BATCH and stored:
+        return "few", f"{queries} queries on a stored map: its block table, and the blocks that their bounds cut"
     if queries is not None and queries <= SMALL_BATCH:
         return "canonical", "few queries: boundary blocks and cover nodes only"
     if m.inverse is not None and windowable(m):

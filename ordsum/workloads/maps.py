@@ -165,8 +165,11 @@ add("sum_project_size", lambda s, d: sev(s, d, M.set_union(), base=lambda k, v:
 DAYSUM = f"with {EV}, c as (select k, sum(v) over (order by k) as p from ev) select event_id as qid, cast((select max(p) from c where c.k <= e.k + {DAY}) - (select coalesce(max(p), 0) from c where c.k < e.k) as bigint) as a from ev e"
 DAYMAX = f"with {EV} select e.event_id as qid, max(f.v) as a from ev e join ev f on f.k between e.k and e.k + {DAY} group by 1"
 add("sum_range_many_prefix", lambda s, d: R.range_summaries(sev(s, d), S.q_day(s, d), "prefix"), DAYSUM)
-add("sum_range_many_canonical", lambda s, d: R.range_summaries(sev(s, d, layout=Layout(block_rows=64, fanout=4)), S.q_day(s, d), "canonical"), DAYSUM)
-add("sum_range_many_overlap", lambda s, d: R.range_summaries(sev(s, d, M.max_(), Layout(block_rows=64, fanout=4)), S.q_day(s, d), "overlap"), DAYMAX)
+add("sum_range_many_canonical", lambda s, d: R.range_summaries(sev(s, d, layout=Layout(block_rows=512, fanout=4)), S.q_day(s, d), "canonical"), DAYSUM)
+add("sum_range_many_overlap", lambda s, d: R.range_summaries(sev(s, d, M.max_(), Layout(block_rows=512, fanout=4)), S.q_day(s, d), "overlap"), DAYMAX)
+add("sum_range_few", lambda s, d: R.range_summaries(sev(s, d), S.q_day(s, d).filter("qid in (3, 50, 77, 500)")), f"with {EV} select e.event_id as qid, cast(sum(f.v) as bigint) as a from ev e join ev f on f.k between e.k and e.k + {DAY} where e.event_id in (3, 50, 77, 500) group by 1")
+add("sum_moments", lambda s, d: ev(s, d, M.moments(), base=lambda k, v: F.struct(F.lit(1).alias("n"), v.alias("s"), (v * v).alias("q"))).summary_range(LO, HI).select("a.n", "a.s", F.col("a.q").cast("bigint").alias("q")), f"with {EV} select count(*) as n, cast(sum(v) as bigint) as s, cast(sum(v * v) as bigint) as q from ev where k between {LO} and {HI}")
+add("sum_count", lambda s, d: ev(s, d, M.count(), base=lambda k, v: F.lit(1)).summary_range(LO, HI), f"with {EV} select count(*) as a from ev where k between {LO} and {HI}")
 add("inv_summaries", lambda s, d: _inv(s, d), f"with {OR} select 0::bigint as violations, count(*) as n from (select k from o union select k + 1 from o where k % 5 = 0) where k not in (select k from o where k % 7 = 0)")
 
 

@@ -148,8 +148,9 @@ def test_stored_summaries_open_cut_blocks_only(spark, stored):
         assert row(df) == want and len(files_read(df)) <= 1
     q = spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate([(-3, 7), (5, 41), (60, 70), (9, 2), (0, 58)])], "qid bigint, lo bigint, hi bigint")
     want = {r.qid: sum(v for k, v in STORED if r.lo <= k <= r.hi) for r in q.collect()}
-    for strategy in ("prefix", "canonical"):
+    for strategy in ("prefix", "canonical", "few"):
         assert dict(row(R.range_summaries(m, q, strategy))) == want
+    assert R.explain_choice(m, q)[0] == "few" and R.explain_choice(m, spark.range(200).selectExpr("id as qid", "id as lo", "id as hi"))[0] == "prefix"
     assert sorted(row(m.range(5, 41).entries())) == [x for x in STORED if 5 <= x[0] <= 41]
     assert m.decompose()[1].first().k == 30
 
