@@ -6,15 +6,14 @@ named like an operator's own results, pass through untouched or are left out.
 
 from __future__ import annotations
 
-import os
 import re
-import tempfile
-import uuid
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ordsum.sources import scratch
+
 LETTER = re.compile(r"[^\W\d_]")
 
 
@@ -22,32 +21,33 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of the session; a folder of this process where none is named (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = os.environ.setdefault("ORDSUM_SCRATCH", tempfile.mkdtemp(prefix="ordsum-"))
-    return root.rstrip("/")
-
-
 def scratch_path(spark: SparkSession, label: str) -> str:
-    return f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex[:12]}"
+    return scratch.place(spark, label)
 
 
 def durable(df: DataFrame, label: str) -> DataFrame:
     """Writes df to the shared folder and reads it back: lost executors cost no recomputation."""
-    path = scratch_path(df.sparkSession, label)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
-def drop_tables(df_or_spark, *paths: str) -> None:
-    """Deletes scratch tables through Hadoop's file system, wherever they lie."""
-    spark = df_or_spark if isinstance(df_or_spark, SparkSession) else df_or_spark.sparkSession
-    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
-    for p in paths:
-        path = jvm.org.apache.hadoop.fs.Path(p)
-        path.getFileSystem(conf).delete(path, True)
+    return Scratch().durable(df, label)
+
+
+class Scratch:
+    """Intermediate tables of one computation, which can be deleted once its result is written."""
+
+    def __init__(self):
+        self.paths: list[tuple[SparkSession, str]] = []
+
+    def durable(self, df: DataFrame, label: str) -> DataFrame:
+        spark, path = df.sparkSession, scratch_path(df.sparkSession, label)
+        df.write.parquet(path)
+        self.paths.append((spark, path))
+        return spark.read.schema(df.schema).parquet(path)
+
+    def drop(self, keep: int = 0) -> None:
+        """Deletes all but the last `keep` tables, through Hadoop's file system, wherever they lie."""
+        gone, self.paths = self.paths[: len(self.paths) - keep], self.paths[len(self.paths) - keep :]
+        for spark, p in gone:
+            path = spark._jvm.org.apache.hadoop.fs.Path(p)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def fold(doc_id: Column, folds: int) -> Column:

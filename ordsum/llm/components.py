@@ -12,11 +12,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import durable
+from ._shared import Scratch
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component): the smallest node reachable, for every node that has a link."""
+    scratch = Scratch()
+    durable = scratch.durable
     pairs = links.select(F.col(a).alias("u"), F.col(b).alias("v")).filter("u is not null and v is not null and u <> v")
     both = durable(pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v"))), "links")
     labels = durable(both.groupBy("u").agg(F.least("u", F.min("v")).alias("l")).withColumnRenamed("u", "n"), "labels")
@@ -32,4 +34,5 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         moved = new.filter("moved").limit(1).count()
         labels = new.select("n", "l")
         if not moved:
+            scratch.drop(keep=1)
             return labels.select(F.col("n").alias("node"), F.col("l").alias("component"))

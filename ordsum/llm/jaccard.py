@@ -5,13 +5,17 @@ a partner must share at least, two linked sets share a token among the first
 `n - T + 1` of each under *any* global order of tokens, so the filters of several orders
 may be intersected before a pair is verified. All orders put rare tokens first.
 
-1. Equal sets become one unit (its key is a 128-bit digest folded to 64 bits and its size).
+1. Equal sets become one unit. Its key is a 64-bit digest; a second digest and the size are
+   compared for all documents of a key, and if any two differ all is done again with other
+   digests, so two sets are taken for equal only if they agree in 128 bits and in size.
 2. Frequencies over all units: hashed shingles travel packed, by hash bucket; only those
    that two units share come back. A unit of which fewer than T are shared has no link.
-3. Each survivor is verified against one pivot per order (a unit that shares its prefix
-   tokens), which joins dense groups by few pairs instead of all.
-4. Pairs that share a prefix token under every order but lie in different components so
-   far are all verified. What is left unverified is joined already: components are exact.
+3. Each survivor meets one pivot per order (a unit that shares its prefix tokens), which
+   joins dense groups by few pairs instead of all.
+4. Then the pairs that share a prefix token and lie in different components so far. They
+   meet only in neighbouring bands of size, of which a link's two sets never lie further apart.
+5. Of 3 and 4 alike, the pairs that don't share a prefix token under every order are
+   dropped and the others verified. What is left is joined already: components are exact.
 
 Cases: null, empty and wordless texts have no shingle and no link, and are their own
 component; fewer words than a shingle make one token of the whole sequence; repeated rows
@@ -24,9 +28,9 @@ two sets of a thousand shingles about one in 10^8 of one false common shingle.
 
 from __future__ import annotations
 
+import math
 import pickle
 import re
-import tempfile
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -35,7 +39,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._shared import WordIds, durable
+from ._shared import Scratch, WordIds
 from .components import components
 
 ORDERS = 3
@@ -43,7 +47,7 @@ WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 _M = np.uint64(0x9E3779B97F4A7C15)
 _KEEP = np.uint64((1 << 40) - 1)
-#: Bytes of packed shingles that a task holds; of a larger bucket the rest waits in an unlinked file.
+#: Bytes of packed shingles that a task holds at once. Buckets that would be larger are dealt out again by 16.
 HELD = 32 << 20
 
 
@@ -65,14 +69,16 @@ def shingles(text: str | None, width: int, ids: WordIds) -> np.ndarray:
     return np.unique(h ^ (h >> np.uint64(31)))
 
 
-def set_key(s: np.ndarray) -> int:
-    return xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63)
+def set_key(s: np.ndarray, seed: int = 0) -> int:
+    return xxhash.xxh3_64_intdigest(s.tobytes(), seed) - (1 << 63)
 
 
-def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
-    """(key, token, df): the tokens that at least two units have, df counting units; 2^bits buckets.
+def shared_tokens(docs: DataFrame, width: int, bits: int, rounds: int = 0, seed: int = 0) -> DataFrame:
+    """(key, token, df, second): the tokens that at least two units have, df counting units; 2^bits buckets,
+    each dealt out by 16 again as many times as there are further rounds.
 
-    Rows with df <= 0 are documents: token is the id, -df the size of the set, key null if that is 0."""
+    Rows with df <= 0 are documents: token is the id, -df the size of the set, key null if that is 0, and
+    second another digest of the set."""
     low = np.uint64((1 << bits) - 1)
 
     def spread(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -83,8 +89,8 @@ def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
                 sets, keys, every = [], [], []
                 for i, t in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     s = shingles(t, width, ids)
-                    k = set_key(s) if len(s) else None
-                    every.append((k, i, -len(s)))
+                    k = set_key(s, seed) if len(s) else None
+                    every.append((k, i, -len(s), set_key(s, seed + 1_000_003)))
                     if len(s) and k not in done:
                         if len(done) < 200_000:
                             done.add(k)
@@ -115,66 +121,87 @@ def shared_tokens(docs: DataFrame, width: int, bits: int) -> DataFrame:
 
     def meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # rows come sorted by bucket; one bucket is held at a time
-        held, at = Held(), None
+        held: list[tuple[bytes, bytes]] = []
+        at = None
         for batch in batches:
             for b, k, v in zip(*(c.to_pylist() for c in batch.columns)):
-                if b != at and held.total:
-                    yield from _bucket(at, held, bits)
-                    held = Held()
+                if b != at and held:
+                    yield from _bucket(at, held, bits + 4 * rounds)
+                    held = []
                 at = b
                 if b < 0:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*pickle.loads(k)), (pa.int64(), pa.int64(), pa.int32()))], names=["key", "token", "df"])
+                    yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*pickle.loads(k)), (pa.int64(), pa.int64(), pa.int32(), pa.int64()))], names=TOKENS)
                 else:
-                    held.add(k, v)
-        if held.total:
-            yield from _bucket(at, held, bits)
+                    held.append((k, v))
+        if held:
+            yield from _bucket(at, held, bits + 4 * rounds)
 
     packed = docs.mapInArrow(spread, "bucket int, k binary, v binary")
-    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(meet, "key long, token long, df int")
+    for r in range(rounds):
+        packed = packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_finer(bits + 4 * r), "bucket int, k binary, v binary")
+    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(meet, "key long, token long, df int, second long")
 
 
-class Held:
-    """The packed rows of one bucket; what exceeds HELD waits in a file without a name."""
+TOKENS = ["key", "token", "df", "second"]
 
-    def __init__(self):
-        self.rows: list[tuple[bytes, bytes]] = []
-        self.size = self.total = self.chunks = 0
-        self.file = None
 
-    def add(self, k: bytes, v: bytes) -> None:
-        self.rows.append((k, v))
-        self.size += len(k) + len(v)
-        self.total += len(k) + len(v)
-        if self.size > HELD:
-            self.file = self.file or tempfile.TemporaryFile()
-            pickle.dump(self.rows, self.file)
-            self.rows, self.size, self.chunks = [], 0, self.chunks + 1
+def _finer(bits: int):
+    """Deals each bucket's rows out to 16 by the next four bits of their tokens, as much at once as a task may hold."""
 
-    def __iter__(self) -> Iterator[tuple[bytes, bytes]]:
-        if self.file:
-            self.file.seek(0)
-            for _ in range(self.chunks):
-                yield from pickle.load(self.file)
-        yield from self.rows
+    def emit(bucket: int, rows: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
+        key, token = _unpacked(rows)
+        part = (token & np.uint64(15)).astype(np.int64)
+        out = []
+        for x in range(16):
+            mine = part == x
+            if mine.any():
+                k, t = key[mine], token[mine] >> np.uint64(4)
+                order = np.argsort(k, kind="stable")
+                out.append((bucket | x << bits, *_packed(k[order], t[order])))
+        return pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out), (pa.int32(), pa.binary(), pa.binary()))], names=["bucket", "k", "v"])
 
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[bytes, bytes]] = []
+        at, size = None, 0
+        for batch in batches:
+            for b, k, v in zip(*(c.to_pylist() for c in batch.columns)):
+                if held and (b != at or size > HELD):
+                    yield emit(at, held)
+                    held, size = [], 0
+                at = b
+                if b < 0:
+                    yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([k], pa.binary()), pa.array([v], pa.binary())], names=["bucket", "k", "v"])
+                else:
+                    held.append((k, v))
+                    size += len(k) + len(v)
+        if held:
+            yield emit(at, held)
 
-def _bucket(bucket: int, rows: Held, bits: int) -> Iterator[pa.RecordBatch]:
-    """The shared tokens of one bucket, in as many passes by token as keep each within HELD."""
-    passes = 1 + rows.total // HELD
-    for turn in range(passes):
-        yield from _pass(bucket, rows, bits, np.uint64(turn), np.uint64(passes))
+    return run
 
 
-def _pass(bucket: int, rows: Held, bits: int, turn: np.uint64, passes: np.uint64) -> Iterator[pa.RecordBatch]:
+def _packed(key: np.ndarray, token: np.ndarray) -> tuple[bytes, bytes]:
+    """Units and their tokens, lying together by unit: 8 bytes and a count a run of 255 at most, and 5 bytes a token."""
+    begin = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    count = np.diff(np.r_[begin, len(key)])
+    if count.max() > 255:
+        begin = np.concatenate([np.arange(i, i + c, 255) for i, c in zip(begin, count)])
+        count = np.diff(np.r_[begin, len(key)])
+    return key[begin].tobytes() + count.astype(np.uint8).tobytes(), (token & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes() + (token >> np.uint64(32)).astype(np.uint8).tobytes()
+
+
+def _unpacked(rows: list[tuple[bytes, bytes]]) -> tuple[np.ndarray, np.ndarray]:
     keys, tokens = [], []
     for k, v in rows:
         n, m = len(k) // 9, len(v) // 5
-        of = np.repeat(np.frombuffer(k, np.int64, n), np.frombuffer(k, np.uint8, n, 8 * n))
-        token = np.frombuffer(v, np.uint32, m).astype(np.uint64) | np.frombuffer(v, np.uint8, m, 4 * m).astype(np.uint64) << np.uint64(32)
-        mine = slice(None) if passes == 1 else token % passes == turn
-        keys.append(of[mine])
-        tokens.append(token[mine])
-    key, token = np.concatenate(keys), np.concatenate(tokens)
+        keys.append(np.repeat(np.frombuffer(k, np.int64, n), np.frombuffer(k, np.uint8, n, 8 * n)))
+        tokens.append(np.frombuffer(v, np.uint32, m).astype(np.uint64) | np.frombuffer(v, np.uint8, m, 4 * m).astype(np.uint64) << np.uint64(32))
+    return np.concatenate(keys), np.concatenate(tokens)
+
+
+def _bucket(bucket: int, rows: list[tuple[bytes, bytes]], bits: int) -> Iterator[pa.RecordBatch]:
+    """The shared tokens of one bucket."""
+    key, token = _unpacked(rows)
     order = np.argsort(token, kind="stable")
     key, token = key[order], token[order]
     # a token met once is done with; the others are few
@@ -192,7 +219,8 @@ def _pass(bucket: int, rows: Held, bits: int, turn: np.uint64, passes: np.uint64
     key, token, df = key[df > 1], token[df > 1], df[df > 1]
     full = (token << np.uint64(bits) | np.uint64(bucket)).view(np.int64)
     for a in range(0, len(key), 50_000):
-        yield pa.RecordBatch.from_arrays([pa.array(key[a : a + 50_000]), pa.array(full[a : a + 50_000]), pa.array(df[a : a + 50_000].astype(np.int32))], names=["key", "token", "df"])
+        part = slice(a, a + 50_000)
+        yield pa.RecordBatch.from_arrays([pa.array(key[part]), pa.array(full[part]), pa.array(df[part].astype(np.int32)), pa.nulls(len(key[part]), pa.int64())], names=TOKENS)
 
 
 def need(n, percent: int):
@@ -200,14 +228,22 @@ def need(n, percent: int):
     return F.floor((n * percent + 99) / F.lit(100)) if not isinstance(n, int) else -(-n * percent // 100)
 
 
-def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) -> tuple[DataFrame, DataFrame]:
+def links(docs: DataFrame, width: int, percent: int, bits: int | None = None, rounds: int | None = None, seed: int = 0) -> tuple[DataFrame, DataFrame]:
     """(units with doc_id, n, key) and (key, component key) of all units that have a link."""
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("t"))
-    if bits is None:  # about a million shingles a bucket, so that one fits any task
+    if bits is None:  # about a million shingles a bucket, so that one fits any task; more than 2^16 buckets come about in rounds
         total = (src.agg(F.sum(F.length("t")).alias("s")).first().s or 0) // 6
-        bits = min(16, max(8, int(total // 1_000_000).bit_length()))
-    met = durable(shared_tokens(src, width, bits), "shared")
-    shared, units = met.filter("df > 1"), met.filter("df <= 0").select(F.col("token").alias("doc_id"), (-F.col("df")).cast("long").alias("n"), "key")
+        want = max(8, int(total // 1_000_000).bit_length())
+        bits, rounds = min(16, want), max(0, -(-(want - 16) // 4)) if rounds is None else rounds
+    scratch = Scratch()
+    met = scratch.durable(shared_tokens(src, width, bits, rounds or 0, seed), "shared")
+    durable = (rest := Scratch()).durable
+    shared, units = met.filter("df > 1"), met.filter("df <= 0").select(F.col("token").alias("doc_id"), (-F.col("df")).cast("long").alias("n"), "key", "second")
+    unlike = units.filter("key is not null").groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("b"), F.min("second").alias("c"), F.max("second").alias("d")).filter("a <> b or c <> d")
+    if unlike.limit(1).count():  # two different sets have one key
+        scratch.drop()
+        return links(docs, width, percent, bits, rounds, seed + 1)
+    units = units.drop("second")
     sizes = units.filter("key is not null").groupBy("key").agg(F.min("n").alias("n"))
     alive = shared.groupBy("key").agg(F.count("*").alias("k")).join(sizes, "key").withColumn("need", need(F.col("n"), percent).cast("int")).filter("k >= need")
     alive = durable(alive.select("key", "n", "k", (F.col("k") - F.col("need") + 1).cast("int").alias("slots")), "alive")
@@ -230,8 +266,14 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
         """Lengths and positions allow a link: both sets have the least overlap left after a first common token."""
         return F.expr(f"{100 + percent}L * least({r1}, {r2}) >= {percent}L * ({n1} + {n2}) and 100L * least({n1}, {n2}) >= {percent}L * greatest({n1}, {n2})")
 
-    def verified(pairs: DataFrame) -> DataFrame:
-        """The pairs (a, b) that are linked."""
+    def verified(pairs: DataFrame, label: str) -> DataFrame:
+        """The pairs (a, b) that are linked. First those go that share no prefix token under one of the orders."""
+        p = prefixes.select("key", *[f"p{r}" for r in range(ORDERS)])
+        for side in "ab":
+            pairs = pairs.join(p.select(F.col("key").alias(side), *[F.col(f"p{r}").alias(f"{side}{r}") for r in range(ORDERS)]), side)
+        for r in range(ORDERS):
+            pairs = pairs.filter(F.arrays_overlap(f"a{r}", f"b{r}"))
+        pairs = durable(pairs.select("a", "b"), label)
         s = sets.select("key", "n", F.col("x.token").alias("s"))
         left = pairs.join(s.select(F.col("key").alias("a"), F.col("n").alias("na"), F.col("s").alias("sa")), "a")
         both = left.join(s.select(F.col("key").alias("b"), F.col("n").alias("nb"), F.col("s").alias("sb")), "b")
@@ -249,7 +291,7 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
         best = seen.groupBy("key").agg(F.max(F.struct("count", "pivot"))["pivot"].alias("b")).select(F.col("key").alias("a"), "b")
         pivots = best if pivots is None else pivots.unionByName(best)
     pivots = pivots.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    sure = durable(verified(durable(pivots, "pivots")), "sure")
+    sure = durable(verified(pivots, "pivots"), "sure")
     first = components(sure)
 
     # every pair across components: in each bucket the units outside its largest component meet all others
@@ -260,16 +302,15 @@ def links(docs: DataFrame, width: int, percent: int, bits: int | None = None) ->
     mixed = per.groupBy("token").agg(F.max(F.struct("count", "component"))["component"].alias("main"), F.count("*").alias("parts")).filter("parts > 1").select("token", "main")
     mixed = durable(mixed, "mixed")
     rows = durable(rows.join(mixed, "token"), "mixed_rows")
-    others = rows.filter("component <> main").select("token", F.col("key").alias("o"), F.col("component").alias("oc"), F.col("n").alias("on_"), F.col("rest").alias("orest"))
-    pairs = rows.join(others, "token").filter("component <> oc").filter("component = main or key < o").filter(possible("n", "rest", "on_", "orest"))
+    # sets whose sizes differ by more than the threshold allows lie two bands apart or more
+    band = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent) * 1.000001 if percent < 100 else 1e-9)).cast("long")
+    others = rows.filter("component <> main").select("token", F.col("key").alias("o"), F.col("component").alias("oc"), F.col("n").alias("on_"), F.col("rest").alias("orest"), F.explode(F.array(*[band + x for x in (-1, 0, 1)])).alias("band"))
+    pairs = rows.withColumn("band", band).hint("merge").join(others, ["token", "band"]).filter("component <> oc").filter("component = main or key < o").filter(possible("n", "rest", "on_", "orest"))
     pairs = pairs.select(F.least("key", "o").alias("a"), F.greatest("key", "o").alias("b")).distinct()
-    rest = placed.select("key", *[f"p{r}" for r in range(1, ORDERS)])
-    pairs = pairs.join(rest.select(F.col("key").alias("a"), *[F.col(f"p{r}").alias(f"a{r}") for r in range(1, ORDERS)]), "a")
-    pairs = pairs.join(rest.select(F.col("key").alias("b"), *[F.col(f"p{r}").alias(f"b{r}") for r in range(1, ORDERS)]), "b")
-    for r in range(1, ORDERS):
-        pairs = pairs.filter(F.arrays_overlap(f"a{r}", f"b{r}"))
-    more = durable(verified(durable(pairs.select("a", "b"), "pairs")), "more")
-    return units, components(sure.unionByName(more))
+    more = durable(verified(pairs, "pairs"), "more")
+    found = components(sure.unionByName(more))
+    rest.drop()
+    return units, found
 
 
 def classes(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFrame:

@@ -335,23 +335,64 @@ def test_pipeline(spark):
     assert p.run(spark, SF).count() > 0
 
 
-def test_large_buckets_wait_in_a_file(monkeypatch):
+@pytest.mark.parametrize("held", [1 << 20, 3000])
+def test_buckets_dealt_out_again(monkeypatch, held):
+    """Large buckets go through further rounds, in chunks; the tokens that units share are the same."""
     rng = np.random.default_rng(5)
+    monkeypatch.setattr(jaccard, "HELD", held)
     rows, met = [], {}
     for key in range(60):
         own = np.unique(rng.integers(0, 3000, 400).astype(np.uint64))
         for t in own.tolist():
             met.setdefault(t, set()).add(key)
-        cuts = [own[i : i + 255] for i in range(0, len(own), 255)]
-        counts = np.array([len(c) for c in cuts], np.uint8).tobytes()
-        packed = own.astype(np.uint32).tobytes() + (own >> np.uint64(32)).astype(np.uint8).tobytes()
-        rows.append((np.full(len(cuts), key, np.int64).tobytes() + counts, packed))
-    expected = sorted((k, t << 8 | 3, len(ks)) for t, ks in met.items() if len(ks) > 1 for k in ks)
-    for limit in (1 << 20, 5000):
-        monkeypatch.setattr(jaccard, "HELD", limit)
-        held = jaccard.Held()
-        for k, v in [*rows, rows[7]]:  # the same unit from two tasks counts once
-            held.add(k, v)
-        assert (held.chunks > 1) == (limit == 5000)
-        got = [r for b in jaccard._bucket(3, held, 8) for r in zip(*(c.to_pylist() for c in b.columns))]
-        assert sorted(got) == expected
+        rows.append(jaccard._packed(np.full(len(own), key, np.int64), own))
+    rows.append(rows[7])  # the same unit from two tasks counts once
+    expected = sorted((k, t << 8 | 3, len(ks), None) for t, ks in met.items() if len(ks) > 1 for k in ks)
+    rowsof = lambda batches: [r for b in batches for r in zip(*(c.to_pylist() for c in b.columns))]
+    assert sorted(rowsof(jaccard._bucket(3, rows, 8))) == expected
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_arrays([pa.array([3] * len(rows), pa.int32()), *(pa.array(c, pa.binary()) for c in zip(*rows))], names=["bucket", "k", "v"])
+    finer = sorted(rowsof(jaccard._finer(8)([batch])))
+    assert len({b for b, *_ in finer}) == 16 and (len(finer) > 16) == (held == 3000)
+    got = [r for bucket in {b for b, *_ in finer} for r in rowsof(jaccard._bucket(bucket, [(k, v) for b, k, v in finer if b == bucket], 12))]
+    assert sorted(got) == expected
+
+
+def test_links_decided_by_the_orders(spark, monkeypatch):
+    """Many groups of unequal texts over few words: exact against brute force, also with further rounds
+    and other digests."""
+    rng = random.Random(11)
+    base = [[f"w{rng.randrange(30)}" for _ in range(60)] for _ in range(12)]
+    rows = []
+    for i in range(240):
+        w = list(base[i % 12])
+        for _ in range(rng.randrange(0, 6)):
+            w[rng.randrange(60)] = f"w{rng.randrange(30)}"
+        a = rng.randrange(0, 12)
+        rows.append((i, " ".join(w[a:] if rng.random() < 0.5 else w)))
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    sets = [{tuple(w[j : j + 4]) for j in range(len(w) - 3)} for w in (t.split() for _, t in rows)]
+    up = list(range(240))
+
+    def root(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for a in range(240):
+        for b in range(a):
+            c = len(sets[a] & sets[b])
+            if 100 * c >= 85 * (len(sets[a]) + len(sets[b]) - c):
+                x, y = sorted((root(a), root(b)))
+                up[y] = x
+    want = {i: root(i) for i in range(240)}
+    assert 5 < len(set(want.values())) < 200
+    for rounds, seed in ((0, 0), (1, 3)):
+        units, found = jaccard.links(df, 4, 85, 8, rounds, seed)
+        of = {r.node: r.component for r in found.collect()}
+        group = {}
+        for r in units.collect():
+            group.setdefault(of.get(r.key, r.key), []).append(r.doc_id)
+        assert {i: min(ids) for ids in group.values() for i in ids} == want
+    assert {r.doc_id: r.component_id for r in jaccard.classes(df).collect()} == want
