@@ -38,3 +38,19 @@ def kept(spark: SparkSession, name: tuple, make) -> DataFrame:
         make().write.parquet(path)
         _TABLES[key] = path
     return spark.read.parquet(_TABLES[key])
+
+
+def rename_new(spark: SparkSession, source: str, target: str) -> bool:
+    """Moves a file or folder to a name that nothing has yet; False, and nothing moved, if it is taken."""
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    a, b = (jvm.org.apache.hadoop.fs.Path(x) for x in (source, target))
+    fs = a.getFileSystem(conf)
+    a, b = fs.makeQualified(a), fs.makeQualified(b)
+    kind = getattr(jvm.org.apache.hadoop.fs, "Options$Rename")
+    try:
+        jvm.org.apache.hadoop.fs.FileContext.getFileContext(fs.getUri(), conf).rename(a, b, spark.sparkContext._gateway.new_array(kind, 0))
+    except Exception:
+        if fs.exists(b):
+            return False
+        raise
+    return True

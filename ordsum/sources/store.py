@@ -27,6 +27,7 @@ from pyspark.sql import types as T
 
 from ordsum.functions.monoids import Monoid
 from ordsum.operators.maps import Backing, Base, Conflict, Layout, SummaryMap, _merged, block_of
+from ordsum.sources.scratch import rename_new
 
 VALUE = ("block", "cut", "lo", "lov", "hi", "hiv", "n", "a", "file")
 
@@ -70,13 +71,9 @@ class VersionStore:
         out = self._fs.create(aside, False)
         out.write(bytearray(json.dumps(manifest).encode()))
         out.close()
-        kind = getattr(self._jvm.org.apache.hadoop.fs, "Options$Rename")
-        context = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._fs.getUri(), self._conf)
-        try:
-            context.rename(self._fs.makeQualified(aside), self._fs.makeQualified(self._p(f"versions/{version}")), self.spark.sparkContext._gateway.new_array(kind, 0))
-        except Exception as e:
+        if not rename_new(self.spark, f"{self.path}/versions/{aside.getName()}", f"{self.path}/versions/{version}"):
             self._fs.delete(aside, False)
-            raise ConflictError(f"version {version} exists") from e
+            raise ConflictError(f"version {version} exists")
 
     # ---- writing
 
