@@ -10,7 +10,8 @@ The benchmark is a query set: it is read in blocks of at most `block_tokens` tok
 (few hundred MB on no machine), and each block is held against all documents.
 
 Cases: null and empty texts match nothing; an item of fewer than `min_match` tokens
-matches nothing; an empty benchmark gives no rows; equal runs are tiled at the smallest
+matches nothing; texts that repeat themselves, however long, take memory in proportion to their
+length; an empty benchmark gives no rows; equal runs are tiled at the smallest
 document position, then item position; repeated rows are reported once each.
 """
 
@@ -89,6 +90,55 @@ def tile(pairs: np.ndarray, k: int) -> list[tuple[int, int, int]]:
     return tiles
 
 
+def tile_by_search(a: np.ndarray, b: np.ndarray, k: int) -> list[tuple[int, int, int]]:
+    """The same tiles without a list of seeds, for repetitive texts that have very many: the length of the longest
+    common run of unmarked tokens is searched by halving, each trial one set of hashes of all runs of a length."""
+
+    def sums(t):
+        """Running sums of tokens times powers, and the powers' inverses: the hash of any run is a difference."""
+        up = np.full(len(t) + 1, _M)
+        down = np.full(len(t) + 1, np.uint64(pow(int(_M), -1, 1 << 64)))
+        up[0] = down[0] = 1
+        up, down = np.multiply.accumulate(up), np.multiply.accumulate(down)
+        return np.r_[np.uint64(0), np.cumsum(t * up[: len(t)], dtype=np.uint64)], down
+
+    sides = [[sums(t), np.zeros(len(t), bool)] for t in (a, b)]
+
+    def windows(side, n):
+        (c, down), used = side
+        if len(used) < n:
+            return np.zeros(0, np.int64), np.zeros(0, np.uint64)
+        marks = np.r_[0, np.cumsum(used)]
+        at = np.flatnonzero(marks[n:] == marks[:-n])
+        return at, (c[at + n] - c[at]) * down[at]
+
+    def common(n):
+        at, h = windows(sides[0], n)
+        bt, g = windows(sides[1], n)
+        hit = np.flatnonzero(np.isin(h, g))
+        return (int(at[hit[0]]), int(bt[np.flatnonzero(g == h[hit[0]])[0]])) if len(hit) else None
+
+    tiles = []
+    while (found := common(k)) is not None:
+        lo, hi = k, min(len(a), len(b))
+        while lo < hi:
+            n = (lo + hi + 1) // 2
+            got = common(n)
+            if got is None:
+                hi = n - 1
+            else:
+                lo, found = n, got
+        i, j = found
+        tiles.append((i, j, lo))
+        sides[0][1][i : i + lo] = True
+        sides[1][1][j : j + lo] = True
+    return tiles
+
+
+#: Seeds of one document that are listed; beyond that its tiles are searched without a list.
+SEEDS = 200_000
+
+
 class Seeds:
     """The benchmark's k-token runs, sorted by hash, behind a bitmap."""
 
@@ -111,8 +161,21 @@ class Seeds:
         self.bitmap = np.zeros(1 << _BITS, bool)
         self.bitmap[(self.hash >> np.uint64(64 - _BITS)).astype(np.int64)] = True
 
-    def matches(self, t: np.ndarray) -> dict[int, np.ndarray]:
-        """Item number -> (document position, item position) of the seeds that a document shares with it."""
+    def tiles(self, t: np.ndarray) -> Iterator[tuple[int, list[tuple[int, int, int]]]]:
+        """(item number, tiles) of each item that a document shares a seed with."""
+        found = self.matches(t)
+        if isinstance(found, dict):
+            for item, pairs in found.items():
+                yield item, tile(pairs, self.k)
+            return
+        for item in found:
+            got = tile_by_search(t, self.tokens[item], self.k)
+            if got:
+                yield int(item), got
+
+    def matches(self, t: np.ndarray) -> dict[int, np.ndarray] | np.ndarray:
+        """Item number -> (document position, item position) of the seeds that a document shares with it; where
+        these are more than SEEDS, the item numbers alone."""
         h = rolling(t, self.k)
         at = np.flatnonzero(self.bitmap[(h >> np.uint64(64 - _BITS)).astype(np.int64)])
         if not len(at):
@@ -122,6 +185,10 @@ class Seeds:
         at, lo, n = at[n > 0], lo[n > 0], n[n > 0]
         if not len(at):
             return {}
+        if n.sum() > SEEDS:
+            first = np.unique(lo)
+            ends = np.searchsorted(self.hash, self.hash[first], "right")
+            return np.unique(np.concatenate([self.owner[x:y] for x, y in zip(first, ends)]))
         rows = np.repeat(lo - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
         doc = np.repeat(at, n)
         owner, place = self.owner[rows], self.place[rows]
@@ -154,8 +221,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, min_match: int = 5, block_to
             for batch in batches:
                 rows = []
                 for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                    for item, pairs in seeds.matches(tokens(text, ids)).items():
-                        tiles = tile(pairs, seeds.k)
+                    for item, tiles in seeds.tiles(tokens(text, ids)):
                         n = sum(x[2] for x in tiles)
                         rows.append((i, seeds.ids[item], len(tiles), max(x[2] for x in tiles), n, seeds.sizes[item], n / seeds.sizes[item]))
                 yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(list(zip(*rows)) or [()] * 7, kinds)], names=names)
