@@ -36,16 +36,21 @@ class Slots(dict):
 
 
 class Encoder:
-    """Ids of `tokenizers` for a byte-level vocabulary (JSON file), special tokens' strings included."""
+    """Ids of a byte-level vocabulary: those of `tokenizers` for a JSON file, special tokens' strings included, or
+    those of `tiktoken` for a file of ranks, which has no special tokens. Remembers about `most` words."""
 
     def __init__(self, path: str, pattern: str, most: int = 1_000_000):
         import tiktoken
 
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
-        letters = {c: b for b, c in byte_letters().items()}
-        special = {t["content"]: t["id"] for t in spec["added_tokens"]}
-        ranks = {bytes(letters[c] for c in word): i for word, i in spec["model"]["vocab"].items() if word not in special}
+        if path.endswith(".tiktoken"):
+            with open(path, "rb") as f:
+                special, ranks = {}, {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
+        else:
+            with open(path, encoding="utf-8") as f:
+                spec = json.load(f)
+            letters = {c: b for b, c in byte_letters().items()}
+            special = {t["content"]: t["id"] for t in spec["added_tokens"]}
+            ranks = {bytes(letters[c] for c in word): i for word, i in spec["model"]["vocab"].items() if word not in special}
         self.special = special
         self.any_special = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True))) or r"(?!)")
         self.merges = tiktoken.Encoding("vocabulary", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
@@ -158,11 +163,11 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
 
 
-def encoder(name: str) -> Encoder:
+def encoder(name: str, most: int = 1_000_000) -> Encoder:
     if name not in _ENCODERS:
         import public_tokenizers as P
 
-        _ENCODERS[name] = Encoder(P.path(name), P.PATTERN)
+        _ENCODERS[name] = Encoder(P.path(name), P.PATTERN, most)
     return _ENCODERS[name]
 
 

@@ -134,7 +134,15 @@ def test_tiling_by_definition():
         a, b = ([rng.randrange(3) for _ in range(rng.randrange(1, 25))] for _ in range(2))
         pairs = [(i, j) for i in range(len(a) - 1) for j in range(len(b) - 1) if a[i : i + 2] == b[j : j + 2]]
         got = decontaminate.tile(np.array(pairs), 2) if pairs else []
-        assert sum(x[2] for x in got) == sum(x[2] for x in brute_tiles(a, b, 2)) and got == brute_tiles(a, b, 2)
+        assert got == brute_tiles(a, b, 2) == decontaminate.tile_by_search(np.array(a, np.uint64), np.array(b, np.uint64), 2)
+
+
+def test_tiling_of_repetitive_texts(spark):
+    """Millions of seeds, of which none are listed."""
+    item = " ".join(["again"] * 400 + [f"word{i}" for i in range(100)])
+    docs = [(1, " ".join(["again"] * 20_000)), (2, " ".join(["again"] * 5000 + [f"word{i}" for i in range(100)])), (3, "nothing of it")]
+    rows = decontaminate.overlaps(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame([(9, item)], "item_id bigint, text string")).collect()
+    assert {r.doc_id: (r.n_tiles, r.tiled, r.coverage) for r in rows} == {1: (1, 400, 0.8), 2: (1, 500, 1.0)}
 
 
 def test_packing(spark, docs, odd):
@@ -303,25 +311,46 @@ def test_wrappers(spark):
     assert wrappers.expression(w) == "a (b)+ (c)? (d)?"
 
 
-def test_rollup(spark, docs, tmp_path):
+def test_rollup(spark, docs, odd, tmp_path):
     roll = token_rollup.Rollup(spark, str(tmp_path / "r"))
-    c = token_rollup.counted(docs)
+    c = token_rollup.counted(docs, ("words-1", "bytes-1")).cache()
+    rows = lambda: {tuple(r) for r in roll.totals().collect()}
     assert roll.totals().count() == 0
     assert roll.commit("a", token_rollup.inserts(c)) and not roll.commit("a", token_rollup.inserts(c))
-    before = {tuple(r) for r in roll.totals().collect()}
-    some = token_rollup.counted(docs.filter("doc_id < 20"))
+    before = rows()
+    some = c.filter("doc_id < 20")
     roll.commit("b", token_rollup.deletes(some))
-    roll.commit("c", token_rollup.inserts(some))
-    roll.compact("d")
-    assert {tuple(r) for r in roll.totals().collect()} == before and not roll.commit("b", token_rollup.inserts(c))
-
-
-def test_rollup_sql(spark):
-    from ordsum.llm.queries import oracle_sql, queries
-    from tests.harness import compare
+    roll.commit("c.folded", token_rollup.inserts(some))
+    assert rows() == before
+    # a fold that stops before it deletes what it took in leaves totals as they are
+    assert roll.commit("d", roll.totals(), {"a", "b", "c.folded"}) and rows() == before and roll.batches() == ["d"]
+    roll.sweep()
+    assert rows() == before and not roll.commit("b", token_rollup.inserts(c))
+    assert roll.compact("e") and rows() == before and not any(roll.commit(x, token_rollup.inserts(c)) for x in ("a", "d", "e"))
+    assert token_rollup.counted(odd).count() == 2 * odd.count()
+
+
+def test_rollup_query_by_brute_force(spark, docs, odd):
+    import tiktoken
+    from tokenizers import Tokenizer
+    import base64
+    import public_tokenizers as P
 
-    for name, sql in oracle_sql().items():
-        assert compare(spark, name, queries()[name], sql) == ""
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(P.path("byte_bpe_multi_50k.tiktoken"), "rb"))}
+    new = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    old = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    assert old.get_vocab_size() == 50257
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    for df in (docs, odd):
+        bad = {r.doc_id for r in labels.filter("quality = 0").collect()}
+        want = {}
+        for r in df.collect():
+            if r.doc_id is None or r.doc_id not in bad:
+                for version, n in (("byte_bpe_multi_50k", len(new.encode_ordinary(r.text or ""))), ("bytes-1", -(-len((r.text or "").encode()) // 4))):
+                    d, t = want.get((r.source, r.lang, version), (0, 0))
+                    want[r.source, r.lang, version] = (d + 1, t + n)
+        got = {(r.source, r.lang, r.tokenizer): (r.docs, r.tokens) for r in token_rollup.op3_rollup(df, labels).collect()}
+        assert got == want
 
 
 def test_pipeline(spark):
