@@ -3,6 +3,11 @@
 Each stage takes the documents that the one before it kept and its decisions take
 effect; all but the last give back the columns of documents. `run` writes each stage's
 result to the shared folder and reads it again for the next.
+
+Cases: rows without an id, and rows that share one, are told apart by a number written
+beside them, so of exact copies one stays whatever their ids, and a row goes for its own
+text only; null and empty texts pass all stages that judge by content, as the classifier
+allows; empty tables give no rows; columns other than those of documents are dropped.
 """
 
 from __future__ import annotations
@@ -19,6 +24,13 @@ QUALITY = 0.3
 ORACLE_SQL = None  # models and tilings have no SQL; the stages are tested against brute force
 
 
+def numbered(docs: DataFrame) -> DataFrame:
+    """docs with a column `row` that is theirs alone: the id where ids are, else a number written once."""
+    docs = docs.select(*COLUMNS)
+    unclear = docs.groupBy("doc_id").count().filter("count > 1 or doc_id is null").limit(1).count()
+    return durable(docs.withColumn("row", F.monotonically_increasing_id()), "numbered") if unclear else docs.withColumn("row", F.col("doc_id").cast("long"))
+
+
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier rejects go."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
@@ -27,8 +39,9 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies (five-word shingles, similarity 0.8 or more) the smallest id stays."""
-    kept = jaccard.classes(docs, width=5, percent=80).filter("doc_id = component_id or doc_id is null").select("doc_id").distinct()
-    return docs.select(*COLUMNS).join(kept, docs["doc_id"].eqNullSafe(kept["doc_id"]), "left_semi")
+    rows = numbered(docs)
+    kept = jaccard.classes(rows.select(F.col("row").alias("doc_id"), "text"), width=5, percent=80).filter("doc_id = component_id")
+    return rows.join(kept.select(F.col("doc_id").alias("row")), "row", "left_semi").select(*COLUMNS)
 
 
 def span_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,8 +53,9 @@ def span_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def decontaminate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold benchmark items go."""
-    found = durable(decontaminate.contaminated(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct(), "contaminated")
-    return docs.select(*COLUMNS).join(found, "doc_id", "left_anti").select(*COLUMNS)
+    rows = numbered(docs)
+    found = decontaminate.contaminated(rows.select(F.col("row").alias("doc_id"), "text"), table(spark, sf_dir, "benchmark"))
+    return rows.join(durable(found.select(F.col("doc_id").alias("row")).distinct(), "contaminated"), "row", "left_anti").select(*COLUMNS)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
