@@ -83,3 +83,20 @@ def test_spans_leave_set_phrases(spark):
     line = "Published under the terms of a licence, of which a copy comes with this text. "
     got = cut(spark, f"{line} First own words.", f"{line} Second own words.")
     assert got == {1: f"{line} First own words.", 2: f"{line} Second own words."}
+
+
+def test_pipeline_stages_without_clear_ids(spark, tmp_path):
+    """Copies under one id or none: one stays. A contaminated row without an id goes, another stays."""
+    import corpus_pipeline as p
+
+    item = " ".join(f"item{i}" for i in range(30))
+    clean = " ".join(f"clean{i}" for i in range(40))
+    other = " ".join(f"other{i}" for i in range(40))
+    spark.createDataFrame([(1, item)], "item_id bigint, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    rows = [(5, clean), (5, clean), (None, clean), (None, f"so {item} then"), (None, other), (7, None), (7, "")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1, "x") for i, t in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint, row string")
+    kept = p.near_duplicate_stage(spark, docs, str(tmp_path))
+    assert sorted((r.text or "") for r in kept.collect()) == sorted(["", "", clean, other, f"so {item} then"]) and tuple(kept.columns) == p.COLUMNS
+    left = p.decontaminate_stage(spark, kept, str(tmp_path))
+    assert sorted((r.text or "") for r in left.collect()) == sorted(["", "", clean, other])
+    assert p.near_duplicate_stage(spark, docs.limit(0), str(tmp_path)).count() == p.decontaminate_stage(spark, docs.limit(0), str(tmp_path)).count() == 0
