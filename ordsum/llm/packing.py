@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._shared import durable
-from .vocabulary import encoded
+from .vocabulary import encoded, encoder
 
 LENGTH = 2048
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -44,6 +44,7 @@ def token_pieces(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", length:
                     at = end
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows)) or [()] * 5, kinds)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+        encoder(vocabulary).forget()  # the worker lives on, with other stages' memory
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string").alias("t")).mapInArrow(run, PIECE)
 

@@ -39,7 +39,7 @@ class Encoder:
     """Ids of a byte-level vocabulary: those of `tokenizers` for a JSON file, special tokens' strings included, or
     those of `tiktoken` for a file of ranks, which has no special tokens. Remembers about `most` words."""
 
-    def __init__(self, path: str, pattern: str, most: int = 1_000_000):
+    def __init__(self, path: str, pattern: str, most: int = 250_000):
         import tiktoken
 
         if path.endswith(".tiktoken"):
@@ -163,7 +163,7 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
 
 
-def encoder(name: str, most: int = 1_000_000) -> Encoder:
+def encoder(name: str, most: int = 250_000) -> Encoder:
     if name not in _ENCODERS:
         import public_tokenizers as P
 
