@@ -78,8 +78,8 @@ def counted(docs: DataFrame, versions: Iterable[str] = ("byte_bpe_50k", "bytes-1
                     enc = encoder(name, REMEMBERED)
                     sizes.append(pa.array([len(ids) for _, part in in_parts(texts) for ids in enc.encode(part)], pa.int64()))
                 yield pa.RecordBatch.from_arrays([*batch.columns[:3], batch.column(4), *sizes], names=[*batch.schema.names[:3], "c", *(f"n{k}" for k in range(len(files)))])
-            for name in files.values():
-                encoder(name).forget()
+            for name in files.values():  # the worker lives on, with other stages' memory
+                encoder(name, REMEMBERED).forget()
 
         kind = rows.schema["doc_id"].dataType.simpleString()
         schema = f"doc_id {kind}, source string, lang string, c array<struct<tokenizer:string,tokens:bigint>>" + "".join(f", n{k} bigint" for k in range(len(files)))
