@@ -4,8 +4,8 @@ Texts are cut into sentences; what has more than `LONG` words to the next full s
 broken at words chosen by their hash, so that equal passages break alike wherever they
 stand. From each sentence on, and back from each, the shortest run of `RUN` sentences or
 more with at least `LEAST` words is hashed; so every sentence of a repeated passage of that
-size lies under a run within it, however short its sentences are. The hashes meet in one
-join, and sentences under any run that isn't its first occurrence are removed. Repeats of
+size lies under a run within it, however short its sentences are. Hashes are gathered a part of the
+documents at a time and meet in one join; sentences under any run that isn't its first occurrence are removed. Repeats of
 fewer words, such as one line or a set phrase, stay.
 
 First is the smallest (doc_id, text hash, position). Cases: null texts stay null, empty
@@ -22,6 +22,7 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,6 +31,8 @@ from ._shared import durable
 RUN, LEAST, LONG = 3, 25, 30
 #: Fewest and most words of a part of a long sentence.
 PART = 5, 12
+#: Runs of neighbouring documents that are dealt out together; a longer document's stay in one part.
+TOGETHER = 200_000
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?]+[^\S\n]*|\n\s*|\Z)")
 _WORD = re.compile(r"\S+\s*")
 _M = np.uint64(0x9E3779B97F4A7C15)
@@ -90,31 +93,77 @@ def unpack(run):
     return run // 32, run % 32
 
 
+def met(h: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray, list]:
+    """Each hash once, with its first place and the bytes of its others (None if there are none).
+
+    A place is four numbers: whether there is an id, the id, the text hash, the packed run. Equal places are one."""
+    order = np.lexsort((*places.T[::-1], h))
+    h, places = h[order], places[order]
+    again = np.concatenate([[False], h[1:] == h[:-1]])
+    keep = ~(again & np.concatenate([[False], (places[1:] == places[:-1]).all(axis=1)]))
+    h, places, at = h[keep], places[keep], np.flatnonzero(~again[keep])
+    ends = np.append(at[1:], len(h))
+    more: list = [None] * len(at)
+    for k in np.flatnonzero(ends - at > 1).tolist():
+        more[k] = places[at[k] + 1 : ends[k]].tobytes()
+    return h[at], places[at], more
+
+
 def repeated_runs(docs: DataFrame) -> DataFrame:
-    """(d, x, at): begin and size of each non-first run, packed, by document id and text hash. docs: (d, x, t)."""
+    """(d, x, cut): begins and sizes of the non-first runs, packed, by document id and text hash; a document
+    may have several rows. docs: (d, x, t).
+
+    Runs of up to `TOGETHER` a part of neighbouring documents travel as one row a hash, so that a passage that
+    all documents share costs a row a part and not one a document, there and back."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part = TaskContext.get().partitionId() << 32
+        h, at, of, n = [], [], [], 0
+
+        def flush() -> pa.RecordBatch:
+            key = np.repeat(np.array(of, np.int64), [len(a) for a in h], axis=0)
+            a, places, more = met(np.concatenate(h), np.column_stack([key, np.concatenate(at)]))
+            d = pa.array(places[:, 1], mask=places[:, 0] == 0)
+            cols = [pa.array(a), pa.array(np.full(len(a), part)), d, pa.array(places[:, 2]), pa.array(places[:, 3]), pa.array(more, pa.binary())]
+            return pa.RecordBatch.from_arrays(cols, names=["h", "part", "d", "x", "at", "more"])
+
         for batch in batches:
-            for part in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
-                h, n, at = [], [], []
-                for t in part.column(2).to_pylist():
+            for some in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
+                for d, x, t in zip(*(c.to_pylist() for c in some.columns)):
                     a, b, _, size = runs(units(t))
-                    h.append(a), at.append(pack(b, size)), n.append(len(a))
-                rows = np.repeat(np.arange(len(n)), n)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(h)), part.column(0).take(pa.array(rows)), part.column(1).take(pa.array(rows)), pa.array(np.concatenate(at))], names=["h", "d", "x", "at"])
-
-    spans = durable(docs.filter(F.length("t") > 0).mapInArrow(run, "h long, d long, x long, at long"), "spans")
-    place = F.struct("d", "x", "at")
-    firsts = spans.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first < last").select("h", "first")
-    firsts = durable(firsts, "firsts")
-    return spans.join(firsts, "h").filter(F.struct("d", "x", "at") > F.col("first")).select("d", "x", "at")
+                    if len(a):
+                        h.append(a), at.append(pack(b, size)), of.append((d is not None, d or 0, x))
+                        n += len(a)
+                    if n >= TOGETHER:
+                        yield flush()
+                        part, n = part + 1, 0
+                        h.clear(), at.clear(), of.clear()
+        if n:
+            yield flush()
+
+    def gather(table: pa.Table) -> pa.Table:
+        at, d, x, more = (c.to_pylist() for c in table.columns[1:])
+        own = [(i is not None, i or 0, y, a) for a, i, y in zip(at, d, x) if a is not None]
+        p = np.concatenate([np.array(own, np.int64).reshape(-1, 4), *(np.frombuffer(b, np.int64).reshape(-1, 4) for b in more if b is not None)])
+        p = np.unique(p, axis=0)
+        begins = np.flatnonzero(np.concatenate([[True], (p[1:, :3] != p[:-1, :3]).any(axis=1)]))
+        cut = pa.ListArray.from_arrays(pa.array(np.append(begins, len(p)), pa.int32()), pa.array(p[:, 3]))
+        return pa.table({"d": pa.array(p[begins, 1], mask=p[begins, 0] == 0), "x": pa.array(p[begins, 2]), "cut": cut})
+
+    spans = durable(docs.filter(F.length("t") > 0).mapInArrow(run, "h long, part long, d long, x long, at long, more binary"), "spans")
+    place, others = F.struct("d", "x", "at"), F.col("more").isNotNull()
+    firsts = spans.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.max(others).alias("others"))
+    firsts = durable(firsts.filter("first < last or others").select("h", "first"), "firsts")
+    later = place > F.col("first")
+    hits = spans.join(firsts, "h").filter(later | others).select("part", F.when(later, F.col("at")).alias("at"), "d", "x", "more")
+    return hits.groupBy("part").applyInArrow(gather, "d long, x long, cut array<long>")
 
 
 def without_repeats(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with the repeated sentences cut from `text_col`, and n_units, n_removed added (replaced if there)."""
     src = docs.drop("n_units", "n_removed")
     d, x = F.col("doc_id").cast("long"), F.xxhash64(F.col(text_col))
-    cut = repeated_runs(src.select(d.alias("d"), x.alias("x"), F.col(text_col).alias("t"))).groupBy("d", "x").agg(F.collect_set("at").alias("cut"))
+    cut = repeated_runs(src.select(d.alias("d"), x.alias("x"), F.col(text_col).alias("t"))).groupBy("d", "x").agg(F.flatten(F.collect_list("cut")).alias("cut"))
     # the row travels as one column, so that no name of its own can clash
     keyed = src.select(F.struct(*src.columns).alias("row"), d.alias("rd"), x.alias("rx"))
     joined = keyed.join(cut, F.col("rd").eqNullSafe(F.col("d")) & (F.col("rx") == F.col("x")), "left")

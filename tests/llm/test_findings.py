@@ -79,6 +79,23 @@ def test_every_language_is_trained(spark, n):
     assert few.langs == sorted({x[2] for x in rows})
 
 
+@pytest.mark.parametrize("together", [1, 40, 200_000])
+def test_spans_of_a_passage_in_every_document(spark, monkeypatch, together):
+    """However runs are gathered: the first document keeps the passage, copies without an id come first."""
+    monkeypatch.setattr(spans, "TOGETHER", together)
+    passage = "A passage that all documents have begins here. " + " ".join(f"It has sentence number {i} too." for i in range(8))
+    rows = [(i, f"Document {i} has words of its own, {i}. {passage} It ends with {i}.") for i in (-5, *range(1, 40))]
+    rows += [(None, f"No id here. {passage} The end."), (7, rows[7][1]), (60, f"{passage} {passage}"), (61, None), (62, "")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    got = sorted(map(tuple, spans.op6_spans(df).collect()), key=str)
+    want = []
+    for i, t in rows:
+        left = t if i is None or not t else t.replace(f"{passage} ", "").replace(passage, "")
+        want.append((i, left, None if not t else t.count("It has sentence number 3")))
+    assert [(r[0], r[1]) for r in got] == sorted([w[:2] for w in want], key=str)
+    assert all((r[3] > 0) == (r[0] is not None and r[0] < 61) for r in got)
+
+
 def test_spans_leave_set_phrases(spark):
     line = "Published under the terms of a licence, of which a copy comes with this text. "
     got = cut(spark, f"{line} First own words.", f"{line} Second own words.")
