@@ -93,6 +93,7 @@ add("rect_build", lambda s, d: RectIndex.build(S.li_pts(s, d).withColumn("id", F
 add("rect_sum", lambda s, d: rect(s, d).agg_many(one(s)).select("a"), f"with {RP} select cast(sum(w) as bigint) as a from rp where {ONE}")
 add("rect_count", lambda s, d: rect(s, d).count_many(one(s)).select("a"), f"with {RP} select count(*) as a from rp where {ONE}")
 add("rect_sum_many", lambda s, d: rect(s, d).agg_many(S.q_rect(s, d)), RSUM)
+add("rect_sum_dominance", lambda s, d: rect(s, d).sums_many(S.q_rect(s, d)).select("qid", "a"), RSUM)
 add("rect_sum_cover", lambda s, d: rect(s, d).cover_many(S.q_rect(s, d), M.sum_()), RSUM)
 add("rect_max_many", lambda s, d: rect(s, d).agg_many(S.q_rect(s, d), M.max_()), f"with {RP}, {RQ} select qid, max(w) as a from rq left join rp on x between xl and xr and y between yl and yr group by 1")
 RLIST = f"with {RP}, {RQ} select qid, count(*) as n from rq join rp on x between xl and xr and y between yl and yr where qid % 50 = 0 group by 1"
