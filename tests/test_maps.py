@@ -9,6 +9,8 @@ from ordsum.operators import batch as R
 from ordsum.operators.intervals import IntervalMap, stab_pairs
 from ordsum.operators.maps import Layout, SummaryMap, concat, link, union
 from ordsum.sources.store import ConflictError, VersionStore
+from ordsum.workloads import ALL
+from tests.harness import DATA, compare, views
 
 HAND = [(1, 10), (3, 30), (5, 50), (7, 70), (9, 90)]
 
@@ -254,3 +256,34 @@ def test_block_of_counts_the_splitters_at_or_below(spark, cuts):
     rows = spark.createDataFrame([(k,) for k in [*keys, None]], f"k {kind}")
     got = rows.select("k", block_of(F.col("k"), cuts).alias("b")).collect()
     assert [r.b for r in got] == [bisect_right(cuts, k) for k in keys] + [0]
+
+
+def test_entries_of_one_key_all_stay(spark, tmp_path):
+    rows = [(1, 10), (3, 30), (3, 30), (3, 31), (5, 50), (7, 70), (7, 70)]
+    m = make(spark, rows, h="all")
+    st = VersionStore(spark, str(tmp_path / "many"), m.layout)
+    st.commit(m)
+    one = lambda df: sorted(tuple(r) for r in df.collect())
+    for x in (m, st.snapshot()):
+        assert one(x.entries()) == rows and one(x.size()) == [(7,)] and one(x.summary()) == [(291,)] and one(x.rank(5)) == [(4,)]
+        assert one(x.summary_range(2, 5)) == [(141,)] and one(x.range(3, 3).entries()) == rows[1:4] and one(x.find(7)) == rows[5:]
+        assert one(x.last()) == rows[5:] and one(x.first()) == rows[:1] and one(x.select(3)) == [(3, 31)]
+        got = R.select_many(x, spark.range(7).select(F.col("id").alias("i")))
+        assert one(got) == [(i, *r) for i, r in enumerate(rows)]
+    batch = spark.createDataFrame([(3, 32), (4, 40)], "k bigint, v bigint")
+    assert one(m.insert_many(batch).entries()) == sorted([*rows, (3, 32), (4, 40)])
+    st.insert_many(batch)
+    assert one(st.snapshot().entries()) == sorted([*rows, (3, 32), (4, 40)])
+
+
+def test_events_of_one_moment_all_stay(spark, tmp_path):
+    """Queries over events whose times repeat, beside their SQL."""
+    e = spark.read.parquet(f"{DATA}/events.parquet").filter("event_id % 10 = 0")
+    again = e.withColumn("event_id", F.col("event_id") + 1_000_001)
+    d = str(tmp_path / "data")
+    e.unionByName(again).coalesce(1).write.parquet(f"{d}/events.parquet")
+    spark.read.parquet(f"{DATA}/customer.parquet").limit(20).coalesce(1).write.parquet(f"{d}/customer.parquet")
+    con = views(d)
+    for name in "op_first_last op_insert_many op_range op_range_many op_up_to op_down_to op_rank sum_all sum_count sum_moments sum_filter_all sum_project_size sql_summary_range base_bulk_insert st_ingest".split():
+        f, sql = ALL[name]
+        assert compare(spark, name, f, sql, d, con) == "", name
