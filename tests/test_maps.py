@@ -287,3 +287,68 @@ def test_events_of_one_moment_all_stay(spark, tmp_path):
     for name in "op_first_last op_insert_many op_range op_range_many op_up_to op_down_to op_rank sum_all sum_count sum_moments sum_filter_all sum_project_size sql_summary_range base_bulk_insert st_ingest".split():
         f, sql = ALL[name]
         assert compare(spark, name, f, sql, d, con) == "", name
+
+
+def test_equal_queries_are_answered_once(spark):
+    q = spark.createDataFrame([(1, 2, 5), (2, 2, 5), (3, 9, 1), (4, 2, 5), (5, 1, 9)], "qid bigint, lo bigint, hi bigint")
+    seen = []
+    got = R.once(q, ["lo", "hi"], lambda each: (seen.append(each.count()), each.select("qid", (F.col("hi") - F.col("lo")).alias("a")))[1], ["a"])
+    assert seen == [3] and sorted(tuple(r) for r in got.collect()) == [(1, 3), (2, 3), (3, -8), (4, 3), (5, 8)]
+    m = make(spark, monoid=M.max_())
+    assert sorted(tuple(r) for r in R.range_summaries(m, q, "overlap").collect()) == [(1, 50), (2, 50), (3, None), (4, 50), (5, 90)]
+
+
+def test_kept_maps_share_files(spark, tmp_path):
+    rows = [(k, k % 7) for k in range(60)]
+    m = make(spark, rows)
+    st = VersionStore(spark, str(tmp_path / "few"), m.layout)
+    st.commit(m, files=4)
+    x = st.snapshot()
+    one = lambda df: sorted(tuple(r) for r in df.collect())
+    assert len(m.splitters) > 20 and len({r.file for r in x.stored.infos}) <= 4
+    assert one(x.entries()) == rows and one(x.range(7, 40).entries()) == rows[7:41] and one(x.find(33)) == [rows[33]]
+    assert one(x.summary_range(3, 50)) == [(sum(v for _, v in rows[3:51]),)] and one(x.rank(21)) == [(21,)]
+    with pytest.raises(ValueError):
+        st.insert_many(spark.createDataFrame([(1, 1)], "k bigint, v bigint"))
+
+
+@pytest.mark.parametrize("most", [1 << 16, 4])
+def test_rectangles_of_both_kinds_of_blocks(spark, monkeypatch, most):
+    """Values of x as blocks of their own, whose bounds cut none, and, where these are too many, blocks of neighbours."""
+    from ordsum.operators import rect
+
+    monkeypatch.setattr(rect, "MOST_BLOCKS", most)
+    rng = random.Random(5)
+    pts = [(i, rng.randrange(12), rng.randrange(-9, 30), rng.randrange(-20, 20)) for i in range(150)]
+    qs = [(i, *sorted(rng.randrange(-2, 15) for _ in range(2)), *sorted(rng.randrange(-12, 34) for _ in range(2))) for i in range(25)] + [(90, 5, 3, 0, 9), (91, 3, 5, 9, 0)]
+    r = rect.RectIndex.build(spark.createDataFrame(pts, "id bigint, x bigint, y bigint, w bigint"), Layout(block_rows=32, fanout=2), y_rows=20)
+    q = spark.createDataFrame(qs, "qid bigint, xl bigint, xr bigint, yl bigint, yr bigint")
+    inside = {i: [(p, w) for p, x, y, w in pts if xl <= x <= xr and yl <= y <= yr] for i, xl, xr, yl, yr in qs}
+    sums = {i: sum(w for _, w in ws) for i, ws in inside.items()}
+    assert r.exact == (most > 4)
+    assert dict(map(tuple, r.sums_many(q).collect())) == sums == dict(map(tuple, r.cover_many(q, M.sum_()).collect()))
+    assert dict(map(tuple, r.cover_many(q, M.max_()).collect())) == {i: max((w for _, w in ws), default=None) for i, ws in inside.items()}
+    assert sorted(map(tuple, r.list_many(q).collect())) == sorted((i, p) for i, ws in inside.items() for p, _ in ws)
+
+
+def test_heights_take_part_in_the_join(spark):
+    """Intervals far above a point are not among the candidates, let alone the answers."""
+    from ordsum.operators import intervals as I
+
+    rng = random.Random(6)
+    h = [(i, lo, lo + rng.randrange(0, 40), rng.randrange(-50, 50)) for i in range(80) for lo in [rng.randrange(-60, 60)]]
+    v = [(i, rng.randrange(-60, 90), y - 4, y + 3) for i in range(40) for y in [rng.randrange(-50, 50)]]
+    hs, vs = spark.createDataFrame(h, "id bigint, lo bigint, hi bigint, y bigint"), spark.createDataFrame(v, "id bigint, x bigint, ylo bigint, yhi bigint")
+    want = sorted((a, b) for a, lo, hi, y in h for b, x, l, u in v if lo < x < hi and l <= y <= u)
+    assert sorted(map(tuple, I.segments_crossing(hs, vs).collect())) == want
+    near = hs.select("id", "lo", "hi", (F.col("y") - 5).alias("ylo"), (F.col("y") + 5).alias("yhi"))
+    want = sorted((a, c) for a, al, ah, ay in h for c, cl, ch, cy in h if al <= ch and cl <= ah and abs(ay - cy) <= 5)
+    assert sorted(map(tuple, I.overlap_pairs(near, hs).collect())) == want
+    want = {b: best[1] for b, x, l, _ in v for best in [max(((y, a) for a, lo, hi, y in h if lo < x < hi and y <= l), default=None)] if best}
+    assert dict(map(tuple, I.locate(hs, vs.select(F.col("id").alias("pid"), "x", F.col("ylo").alias("y"))).collect())) == want
+
+
+def test_streams_of_added_rows_leave_no_table_in_memory(spark):
+    before = len(spark.catalog.listTables())
+    f, sql = ALL["st_stream_static"]
+    assert compare(spark, "st_stream_static", f, sql) == "" and len(spark.catalog.listTables()) == before
