@@ -352,3 +352,24 @@ def test_streams_of_added_rows_leave_no_table_in_memory(spark):
     before = len(spark.catalog.listTables())
     f, sql = ALL["st_stream_static"]
     assert compare(spark, "st_stream_static", f, sql) == "" and len(spark.catalog.listTables()) == before
+
+
+def test_what_comes_after_is_one_pass(spark):
+    """No frame ends behind its row, where it would be folded anew for each: neighbours, carries, boundary folds."""
+    from ordsum.measures import plan_text
+
+    rng = random.Random(8)
+    rows = [(rng.randrange(60), rng.randrange(99)) for _ in range(200)]
+    m = make(spark, rows, monoid=M.max_(), h="all")
+    q = spark.createDataFrame([(i, k) for i, k in enumerate(range(-2, 63))], "qid bigint, k bigint")
+    near = R.neighbor_many(m, q, "next")
+    ends = spark.createDataFrame([(i, *sorted(rng.randrange(-3, 63) for _ in range(2))) for i in range(40)], "qid bigint, lo bigint, hi bigint")
+    most = R.range_summaries(m, ends, "canonical")
+    for x in (near, most):
+        assert "unboundedfollowing" not in plan_text(x).lower()
+    for r in near.collect():
+        later = [k for k, _ in rows if k > r.k]
+        assert r.nk == min(later, default=None) and (r.nk is None or (r.nk, r.nv) in rows)
+    bounds = {r.qid: r for r in ends.collect()}
+    for r in most.collect():
+        assert r.a == max((v for k, v in rows if bounds[r.qid].lo <= k <= bounds[r.qid].hi), default=None)
