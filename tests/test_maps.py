@@ -373,3 +373,19 @@ def test_what_comes_after_is_one_pass(spark):
     bounds = {r.qid: r for r in ends.collect()}
     for r in most.collect():
         assert r.a == max((v for k, v in rows if bounds[r.qid].lo <= k <= bounds[r.qid].hi), default=None)
+
+
+def test_points_alike_are_one_row_of_a_level(spark, tmp_path):
+    from ordsum.operators.rect import RectIndex
+
+    pts = [(i, i % 3, i % 2, i % 2 + 5) for i in range(600)]
+    r = RectIndex.build(spark.createDataFrame(pts, "id bigint, x bigint, y bigint, w bigint"), Layout(block_rows=32, fanout=2)).store(str(tmp_path / "rect"))
+    assert r.levels().filter("level = 0").count() == 6
+    q = spark.createDataFrame([(1, 0, 1, 1, 1), (2, 0, 2, 0, 1), (3, 1, 1, 4, 9)], "qid bigint, xl bigint, xr bigint, yl bigint, yr bigint")
+    inside = {i: [w for _, x, y, w in pts if xl <= x <= xr and yl <= y <= yr] for i, xl, xr, yl, yr in q.collect()}
+    of = lambda df: dict(map(tuple, df.collect()))
+    sums = {i: sum(ws) for i, ws in inside.items()}
+    assert of(r.sums_many(q)) == sums == of(r.cover_many(q, M.sum_())) and of(r.count_many(q)) == {i: len(ws) for i, ws in inside.items()}
+    assert of(r.cover_many(q, M.bit_xor())) == {1: 0, 2: 0, 3: 0}
+    assert of(r.cover_many(q, M.max_())) == {i: max(ws, default=None) for i, ws in inside.items()}
+    assert r.list_many(q).count() == sum(map(len, inside.values()))
