@@ -389,3 +389,21 @@ def test_points_alike_are_one_row_of_a_level(spark, tmp_path):
     assert of(r.cover_many(q, M.bit_xor())) == {1: 0, 2: 0, 3: 0}
     assert of(r.cover_many(q, M.max_())) == {i: max(ws, default=None) for i, ws in inside.items()}
     assert r.list_many(q).count() == sum(map(len, inside.values()))
+
+
+def test_postings_travel_once_for_all_queries(spark):
+    from ordsum.measures import plan_text
+    from ordsum.operators import ranked_index as X
+
+    rng = random.Random(9)
+    rows = [(t, d, rng.randrange(50)) for t in "abcde" for d in rng.sample(range(60), 40)]
+    index = X.RankedIndex(spark.createDataFrame(rows, "term string, doc_id bigint, w bigint"))
+    asked = [(1, ["a", "b"]), (2, ["b", "a", "b"]), (3, ["c", "d", "e"]), (4, ["e"]), (5, ["a", "none"])]
+    of = {(t, d): w for t, d, w in rows}
+    want = []
+    for qid, terms in asked:
+        both = [(sum(of[t, d] for t in set(terms)), d) for d in range(60) if all((t, d) in of for t in terms)]
+        want += [(qid, i + 1, d, w) for i, (w, d) in enumerate(sorted(both, key=lambda x: (-x[0], x[1]))[:3])]
+    q = spark.createDataFrame(asked, "qid bigint, terms array<string>")
+    assert sorted(map(tuple, index.search_batch(q, k=3).collect())) == want
+    assert "FlatMapGroupsInPandas" in plan_text(index.search_batch(q)) and "Exchange range" not in plan_text(index.clustered())
