@@ -407,3 +407,18 @@ def test_postings_travel_once_for_all_queries(spark):
     q = spark.createDataFrame(asked, "qid bigint, terms array<string>")
     assert sorted(map(tuple, index.search_batch(q, k=3).collect())) == want
     assert "FlatMapGroupsInPandas" in plan_text(index.search_batch(q)) and "Exchange range" not in plan_text(index.clustered())
+
+
+def test_overlaps_are_counted_without_pairs(spark):
+    from ordsum.measures import plan_text
+    from ordsum.operators import intervals as I
+
+    rng = random.Random(10)
+    some = lambda n: [(i - n // 2, lo, lo + rng.randrange(-2, 12)) for i in range(n) for lo in [rng.randrange(-30, 30)]]
+    a, b = some(40), some(60) + [(1000 + i, 3, 8) for i in range(50)]
+    met = {x: [y for y, l, h in b if l <= h and l <= hi and lo <= h] for x, lo, hi in a if lo <= hi}
+    frame = lambda rows: spark.createDataFrame(rows, "id bigint, lo bigint, hi bigint")
+    assert sorted(map(tuple, I.overlap_totals(frame(a), frame(b)).collect())) == sorted((x, len(ys), sum(ys)) for x, ys in met.items() if ys)
+    # pairs would meet in cells
+    assert "shiftright" in plan_text(ALL["iv_overlap"][0](spark, DATA)) and "shiftright" not in plan_text(ALL["join_interval"][0](spark, DATA))
+    assert compare(spark, "join_interval", *ALL["join_interval"]) == ""
