@@ -422,3 +422,18 @@ def test_overlaps_are_counted_without_pairs(spark):
     # pairs would meet in cells
     assert "shiftright" in plan_text(ALL["iv_overlap"][0](spark, DATA)) and "shiftright" not in plan_text(ALL["join_interval"][0](spark, DATA))
     assert compare(spark, "join_interval", *ALL["join_interval"]) == ""
+
+
+def test_nested_loop_holds_equal_intervals_once(spark):
+    from ordsum.measures import plan_text
+    from ordsum.operators import baselines as B
+
+    rng = random.Random(11)
+    rows = [(i, lo, lo + rng.randrange(-1, 9)) for i in range(50) for lo in [rng.randrange(-20, 20)]] + [(i, 2, 7) for i in range(100, 400)]
+    points = [(p, p) for p in range(-25, 30)]
+    got = B.interval_counts_nlj(spark.createDataFrame(rows, "id bigint, lo bigint, hi bigint"), spark.createDataFrame(points, "pid bigint, p bigint"))
+    want = {p: sum(lo < p < hi for _, lo, hi in rows) for p, _ in points}
+    assert dict(map(tuple, got.collect())) == {p: n for p, n in want.items() if n}
+    text = plan_text(got)
+    assert "BroadcastNestedLoopJoin" in text and "keys=[lo" in text
+    assert compare(spark, "base_iv_nlj", *ALL["base_iv_nlj"]) == ""
