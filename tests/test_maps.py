@@ -437,3 +437,28 @@ def test_nested_loop_holds_equal_intervals_once(spark):
     text = plan_text(got)
     assert "BroadcastNestedLoopJoin" in text and "keys=[lo" in text
     assert compare(spark, "base_iv_nlj", *ALL["base_iv_nlj"]) == ""
+
+
+@pytest.mark.parametrize("long", [0, 2])
+def test_rectangles_meet_by_heights_alone_where_intervals_are_long(spark, monkeypatch, long):
+    from ordsum.measures import plan_text
+    from ordsum.operators import intervals as I
+
+    monkeypatch.setattr(I, "LONG", long)
+    rng = random.Random(12)
+    h = [(i, lo, lo + rng.randrange(-3, 90), rng.randrange(-50, 50)) for i in range(90) for lo in [rng.randrange(-60, 60)]]
+    hs = spark.createDataFrame(h, "id bigint, lo bigint, hi bigint, y bigint")
+    near = hs.filter("id % 3 = 0").select("id", "lo", "hi", (F.col("y") - 5).alias("ylo"), (F.col("y") + 4).alias("yhi"))
+    got = I.overlap_pairs(near, hs)
+    ok = [r for r in h if r[1] <= r[2]]
+    assert sorted(map(tuple, got.collect())) == sorted((a, c) for a, al, ah, ay in ok if a % 3 == 0 for c, cl, ch, cy in ok if al <= ch and cl <= ah and -5 <= cy - ay <= 4)
+    assert ("shiftright" in plan_text(got)) == (long > 1)
+    assert I.overlap_pairs(near.filter("id < 0"), hs).count() == 0
+
+
+def test_rect_overlap_reads_bars_once_written(spark):
+    from ordsum.measures import plan_text
+
+    text = plan_text(ALL["rect_overlap"][0](spark, DATA))
+    assert "lineitem" not in text and "shiftright" not in text
+    assert compare(spark, "rect_overlap", *ALL["rect_overlap"]) == ""
