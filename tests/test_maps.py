@@ -462,3 +462,26 @@ def test_rect_overlap_reads_bars_once_written(spark):
     text = plan_text(ALL["rect_overlap"][0](spark, DATA))
     assert "lineitem" not in text and "shiftright" not in text
     assert compare(spark, "rect_overlap", *ALL["rect_overlap"]) == ""
+
+
+@pytest.mark.parametrize("long", [0, 2])
+def test_segments_cross_by_heights_alone_where_they_are_long(spark, monkeypatch, long):
+    from ordsum.measures import plan_text
+    from ordsum.operators import intervals as I
+
+    monkeypatch.setattr(I, "LONG", long)
+    rng = random.Random(13)
+    h = [(i, lo, lo + rng.randrange(-2, 80), rng.randrange(-50, 50)) for i in range(80) for lo in [rng.randrange(-60, 60)]]
+    v = [(i, rng.randrange(-60, 90), y - 4, y + rng.randrange(-6, 4)) for i in range(40) for y in [rng.randrange(-50, 50)]]
+    hs, vs = spark.createDataFrame(h, "id bigint, lo bigint, hi bigint, y bigint"), spark.createDataFrame(v, "id bigint, x bigint, ylo bigint, yhi bigint")
+    got = I.segments_crossing(hs, vs)
+    assert sorted(map(tuple, got.collect())) == sorted((a, b) for a, lo, hi, y in h for b, x, l, u in v if lo < x < hi and l <= y <= u)
+    assert ("shiftright" in plan_text(got)) == (long > 1)
+
+
+def test_seg_cross_reads_bars_once_written(spark):
+    from ordsum.measures import plan_text
+
+    text = plan_text(ALL["seg_cross"][0](spark, DATA))
+    assert "lineitem" not in text and "shiftright" not in text
+    assert compare(spark, "seg_cross", *ALL["seg_cross"]) == ""
