@@ -485,3 +485,14 @@ def test_seg_cross_reads_bars_once_written(spark):
     text = plan_text(ALL["seg_cross"][0](spark, DATA))
     assert "lineitem" not in text and "shiftright" not in text
     assert compare(spark, "seg_cross", *ALL["seg_cross"]) == ""
+
+
+def test_positions_of_repeated_times(spark, tmp_path):
+    """Every entry of a moment has a position of its own. Equal times have equal values here: the SQL orders no further."""
+    e = spark.read.parquet(f"{DATA}/events.parquet")
+    many = [e.withColumn("event_id", F.col("event_id") + i * 1000) for i in range(3)]
+    d = str(tmp_path / "data")
+    many[0].unionByName(many[1]).unionByName(many[2]).coalesce(1).write.parquet(f"{d}/events.parquet")
+    f, sql = ALL["op_select_many"]
+    assert compare(spark, "op_select_many", f, sql, d, views(d)) == ""
+    assert f(spark, d).filter("k is not null").count() > e.count()
