@@ -511,3 +511,20 @@ def test_scan_answers_all_ranges_in_one_pass(spark):
     assert "BroadcastNestedLoopJoin" not in plan_text(got)
     f, sql = ALL["base_scan_range"]
     assert compare(spark, "base_scan_range", f, sql) == "" and f(spark, DATA).count() == spark.read.parquet(f"{DATA}/events.parquet").count()
+
+
+def test_rectangles_of_all_orders_are_scanned(spark):
+    from ordsum.measures import plan_text
+    from ordsum.operators import baselines as B
+
+    rng = random.Random(15)
+    pts = [(i, rng.randrange(-20, 20), rng.randrange(-30, 30), rng.randrange(-5, 9)) for i in range(200)]
+    qs = [(i, x, x + rng.randrange(-2, 9), y, y + rng.randrange(-2, 30)) for i in range(60) for x, y in [(rng.randrange(-25, 20), rng.randrange(-35, 30))]] + [(90, 0, 9, 0, 9), (91, 0, 9, 0, 9)]
+    p, q = spark.createDataFrame(pts, "id bigint, x bigint, y bigint, w bigint"), spark.createDataFrame(qs, "qid bigint, xl bigint, xr bigint, yl bigint, yr bigint")
+    inside = {i: [(n, w) for n, x, y, w in pts if xl <= x <= xr and yl <= y <= yr] for i, xl, xr, yl, yr in qs}
+    assert sorted(map(tuple, B.rect_scan(p, q).collect())) == sorted((i, n, w) for i, ws in inside.items() for n, w in ws)
+    got = B.rect_sums_scan(p, q)
+    assert dict(map(tuple, got.collect())) == {i: sum(w for _, w in ws) for i, ws in inside.items() if ws}
+    assert "BroadcastNestedLoopJoin" not in plan_text(got)
+    f, sql = ALL["base_rect_scan"]
+    assert compare(spark, "base_rect_scan", f, sql) == "" and f(spark, DATA).filter("qid % 50 <> 0").count()
