@@ -528,3 +528,23 @@ def test_rectangles_of_all_orders_are_scanned(spark):
     assert "BroadcastNestedLoopJoin" not in plan_text(got)
     f, sql = ALL["base_rect_scan"]
     assert compare(spark, "base_rect_scan", f, sql) == "" and f(spark, DATA).filter("qid % 50 <> 0").count()
+
+
+@pytest.mark.parametrize("most", [1 << 16, 3])
+def test_points_are_located_without_stabbings(spark, monkeypatch, most):
+    from ordsum.measures import plan_text
+    from ordsum.operators import intervals as I
+
+    monkeypatch.setattr(I, "MOST_BLOCKS", most)
+    rng = random.Random(16)
+    h = [(i, lo, lo + rng.randrange(-2, 60), rng.randrange(-9, 9)) for i in range(120) for lo in [rng.randrange(-60, 60)]] + [(-5, -900, 900, -8)]
+    p = [(i, rng.randrange(-70, 130), rng.randrange(-12, 12)) for i in range(150)] + [(900, 5, 3), (901, 5, 3)]
+    hs, ps = spark.createDataFrame(h, "id bigint, lo bigint, hi bigint, y bigint"), spark.createDataFrame(p, "pid bigint, x bigint, y bigint")
+    below = {i: max(((hy, n) for n, lo, hi, hy in h if lo < x < hi and hy <= y), default=None) for i, x, y in p}
+    want = {i: b[1] for i, b in below.items() if b}
+    got = I.locate(hs, ps)
+    assert dict(map(tuple, got.collect())) == want
+    assert dict(map(tuple, I.locate(hs, ps.filter("pid < 9")).collect())) == {i: n for i, n in want.items() if i < 9}
+    assert "lo < p" not in (text := plan_text(got)) and "Window" in text
+    assert I.locate(hs, ps.filter("pid < 0")).count() == 0 == I.locate(hs.filter("id = 999"), ps).count()
+    assert compare(spark, "pt_locate", *ALL["pt_locate"]) == ""
