@@ -548,3 +548,24 @@ def test_points_are_located_without_stabbings(spark, monkeypatch, most):
     assert "lo < p" not in (text := plan_text(got)) and "Window" in text
     assert I.locate(hs, ps.filter("pid < 0")).count() == 0 == I.locate(hs.filter("id = 999"), ps).count()
     assert compare(spark, "pt_locate", *ALL["pt_locate"]) == ""
+
+
+def test_a_sample_for_bounds_sends_the_driver_what_is_wanted(spark, monkeypatch):
+    """Of few distinct keys among many rows all take part in the end; of many only a share of the hashes."""
+    many = spark.range(0, 40_000).select((F.col("id") * 7).alias("k"))
+    by_hash = [r.k for r in many.orderBy(F.xxhash64("k")).limit(640).collect()]
+    seen, kind = [], type(many)
+    collect = kind.collect
+    monkeypatch.setattr(kind, "collect", lambda df: (seen.append(df._jdf.queryExecution().optimizedPlan().toString()), collect(df))[1])
+    cuts = Layout(block_rows=2000).splitters(many)
+    assert cuts == sorted({sorted(by_hash)[640 * i // 20] for i in range(1, 20)}) and "Filter" in seen[0]
+    few = many.filter("k < 700").withColumn("c", F.lit(400))
+    assert len(Layout(block_rows=4000).splitters(few, 40_000)) == 9
+
+
+def test_covers_read_what_was_written_once(spark):
+    from ordsum.measures import plan_text
+
+    for name in ("rect_max_many", "rect_sum_cover"):
+        assert "/covered-" in (text := plan_text(ALL[name][0](spark, DATA))) and "/levels" not in text, name
+    assert compare(spark, "rect_sum_cover", *ALL["rect_sum_cover"]) == "" == compare(spark, "rect_max_many", *ALL["rect_max_many"])
